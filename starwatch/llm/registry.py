@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import linededup, packing, sharding, tokencount
+from . import linededup, packing, sharding, substringdedup, tokencount
 
-MODULES = (tokencount, packing, linededup, sharding)
+MODULES = (tokencount, packing, substringdedup, linededup, sharding)
 
 
 def queries() -> dict:
