@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import linededup, packing, sharding, substringdedup, tokencount
+from . import hostrules, linededup, packing, sharding, substringdedup, tokencount
 
-MODULES = (tokencount, packing, substringdedup, linededup, sharding)
+MODULES = (tokencount, packing, substringdedup, hostrules, linededup, sharding)
 
 
 def queries() -> dict:
