@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import hostrules, linededup, packing, sharding, substringdedup, tokencount
+from . import hostrules, linededup, packing, paritysketch, sharding, substringdedup, tokencount
 
-MODULES = (tokencount, packing, substringdedup, hostrules, linededup, sharding)
+MODULES = (tokencount, packing, substringdedup, hostrules, linededup, paritysketch, sharding)
 
 
 def queries() -> dict:

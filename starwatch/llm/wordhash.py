@@ -14,6 +14,7 @@ import numpy as np
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
+_NOT_WORD = np.array([i < 0x80 and not chr(i).isalnum() for i in range(256)])
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[0x41:0x5B] += 32
 _BYTE_BASE = np.uint64(0x9E3779B97F4A7C15)
@@ -67,15 +68,17 @@ class Words:
         return value, self.doc[k - 1 :] == self.doc[: n - k + 1]
 
 
-def words_of(texts: list[bytes], lower: bool = False) -> Words:
-    """Find and hash the words of ``texts`` (None counts as empty)."""
+def words_of(texts: list[bytes], lower: bool = False, bare: bool = False) -> Words:
+    """Find and hash the words of ``texts`` (None counts as empty).
+
+    ``bare``: every ASCII character but letters and digits separates words."""
     texts = [t or b"" for t in texts]
     raw = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
     if lower:
         raw = _LOWER[raw]
     size = np.array([len(t) + 1 for t in texts], np.int64)
     begin = np.concatenate(([0], np.cumsum(size)))
-    inside = ~_SPACE[raw]
+    inside = ~(_NOT_WORD if bare else _SPACE)[raw]
     edge = np.flatnonzero(np.diff(inside.view(np.int8), prepend=np.int8(0)))
     start, end = edge[0::2], edge[1::2]
     up, down = _power_table(_BYTE_BASE, len(raw))
