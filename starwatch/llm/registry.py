@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import hostrules, linededup, packing, paritysketch, sharding, substringdedup, tokencount
+from . import decontaminate, hostrules, langid, linededup, packing, paritysketch, sharding, substringdedup, tokencount
 
-MODULES = (tokencount, packing, substringdedup, hostrules, linededup, paritysketch, sharding)
+MODULES = (tokencount, packing, langid, substringdedup, hostrules, linededup, paritysketch, decontaminate, sharding)
 
 
 def queries() -> dict:
