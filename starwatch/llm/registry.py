@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import decontaminate, hostrules, langid, linededup, packing, paritysketch, sharding, substringdedup, tokencount
+from . import decontaminate, hostrules, langid, linededup, packing, paritysketch, sharding, substringdedup, tokencount, urlfilter
 
-MODULES = (tokencount, packing, langid, substringdedup, hostrules, linededup, paritysketch, decontaminate, sharding)
+MODULES = (tokencount, packing, urlfilter, langid, substringdedup, hostrules, linededup, paritysketch, decontaminate, sharding)
 
 
 def queries() -> dict:
