@@ -249,10 +249,11 @@ def _verify(k: int, percent: int):
     return run
 
 
-def _leftover(bands: Bands):
-    """Of each larger group that falls into several components so far: the pairs of a member
+def _leftover(bands: Bands, nearest: bool):
+    """Of each larger group that falls into several components so far: pairs of a member
     outside the group's main component with a member of another one, if their sketches allow
-    a link. Sketches, not texts, are held for one group at a time."""
+    a link. With ``nearest`` a member gives only its nearest in the main component and its
+    nearest in any other; else all. Sketches, not texts, are held for one group at a time."""
 
     def emit(rows):
         n = np.array([r[1] for r in rows])
@@ -260,25 +261,44 @@ def _leftover(bands: Bands):
         sketch = np.frombuffer(b"".join(r[3] for r in rows), np.uint64).reshape(len(rows), -1)
         cls = np.array([r[0] for r in rows])
         names, sizes = np.unique(comp, return_counts=True)
-        outside = np.flatnonzero(comp != names[np.argmax(sizes)])
-        for i in outside:
+        main = names[np.argmax(sizes)]
+        pairs: set[tuple[int, int]] = set()
+        for i in np.flatnonzero(comp != main):
             ok = (comp != comp[i]) & (100 * np.minimum(n, n[i]) >= bands.percent * np.maximum(n, n[i]))
             j = np.flatnonzero(ok)
-            j = j[np.bitwise_count(sketch[j] ^ sketch[i]).sum(axis=1, dtype=np.int64) <= bands.largest_difference(n[j], n[i])]
-            if len(j):
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(cls[i], cls[j])), pa.array(np.maximum(cls[i], cls[j]))], names=["a", "b"])
+            apart = np.bitwise_count(sketch[j] ^ sketch[i]).sum(axis=1, dtype=np.int64)
+            near = apart <= bands.largest_difference(n[j], n[i])
+            j, apart = j[near], apart[near]
+            if nearest and len(j):
+                inside = comp[j] == main
+                j = np.array([x[a.argmin()] for x, a in ((j[inside], apart[inside]), (j[~inside], apart[~inside])) if len(x)])
+            pairs.update((min(cls[i], c), max(cls[i], c)) for c in cls[j])
+            if len(pairs) > 100_000:
+                yield pairs
+                pairs = set()
+        yield pairs
 
     def run(batches):
-        key, rows = None, []
+        def out(pairs):
+            a, b = zip(*pairs, strict=True) if pairs else ((), ())
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+        key, rows, waiting = None, [], set()
         for batch in batches:
             for r in zip(*(batch.column(c).to_pylist() for c in ("key", "cls", "n", "component", "sketch")), strict=True):
                 if r[0] != key:
                     if rows:
-                        yield from emit(rows)
+                        for pairs in emit(rows):  # a pair that meets on several keys of the task goes out once
+                            waiting |= pairs
+                            if len(waiting) > 200_000:
+                                yield out(waiting)
+                                waiting = set()
                     key, rows = r[0], []
                 rows.append(r[1:])
         if rows:
-            yield from emit(rows)
+            for pairs in emit(rows):
+                waiting |= pairs
+        yield out(waiting)
 
     return run
 
@@ -302,14 +322,20 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, Da
         return materialise(both.select("a", "b", "t1", "t2").mapInArrow(_verify(k, percent), "a long, b long"), "sketch-links")
 
     links = verified(met.filter("a <> b").select("a", "b"))
-    large = met.filter("key IS NOT NULL")
-    if large.limit(1).count():
+    large = met.filter("key IS NOT NULL").select("key", F.col("b").alias("cls")).distinct()
+    large = materialise(large, "sketch-large")
+    # Leaders may not link all that their group does: what is still apart is tried with its
+    # nearest, twice, and then in full. Joined components need no more pairs, so little is left.
+    for nearest in (True, True, False):
         comp = components(links)
-        members = large.select("key", F.col("b").alias("cls")).distinct().join(comp.withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
-        split = members.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("key")
-        rows = members.join(split, "key").join(classes.select("cls", "n", "sketch"), "cls").select("key", "cls", "n", "component", "sketch")
-        more = rows.repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_leftover(bands), "a long, b long")
-        links = links.unionAll(verified(more))
+        members = large.join(comp.withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
+        members = materialise(members, "sketch-members")
+        split = materialise(members.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("key"), "sketch-split")
+        if not split.limit(1).count():
+            break
+        rows = members.join(split.hint("merge"), "key").join(classes.select("cls", "n", "sketch"), "cls").select("key", "cls", "n", "component", "sketch")
+        more = rows.repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_leftover(bands, nearest), "a long, b long")
+        links = materialise(links.unionAll(verified(more)), "sketch-links")
     return features, links
 
 
