@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..model import BuildParams
+from ..storage import materialise
 from .arithmetic import BASE, EDGE, LABEL, UNIT, P, base_values, label_value, zipf_edges
 
 
@@ -40,7 +41,8 @@ def label_dict(labels: DataFrame, p: BuildParams) -> DataFrame:
         "diag": [f"{p.d} * (bv0 + bv1)"] * len(raw), "l2": ["CAST(floor(sqrt(CAST(" + " + ".join(f"{r} * {r}" for r in raw) + " AS DOUBLE))) AS BIGINT)"] * len(raw),
     }[p.base]
     own = [f"bv{k // p.d}" for k in p.dims] if p.base == "diag" else raw
-    return drawn.select("label", *[f"lv{k}" for k in range(p.d)], *[F.expr(f"({x} * {UNIT}) div ({y})").alias(f"bv{k}") for k, (x, y) in enumerate(zip(own, over, strict=True))])
+    out = drawn.select("label", *[f"lv{k}" for k in range(p.d)], *[F.expr(f"({x} * {UNIT}) div ({y})").alias(f"bv{k}") for k, (x, y) in enumerate(zip(own, over, strict=True))])
+    return materialise(out, "labels")  # else filters on embeddings are pushed down into the long arithmetic
 
 
 def edge_label_dict(labels: DataFrame, p: BuildParams) -> DataFrame:

@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import baselines, cost, measures, oracle as o
+from . import baselines, cost, measures, streaming
+from . import oracle as o
 from .baselines.learned import learned_dominance
 from .functions.arithmetic import normal_cdf
 from .functions.vectors import label_dict
@@ -15,7 +16,7 @@ from .model import ALIVE, BuildParams, Graph, edge_lifetimes, graph_stats, inser
 from .operators import bands, batchgroups, monitor, prune, refine, stars, synopsis
 from .plans.joinorder import candidate_counts, join_orders
 from .plans.patterns import Patterns, embed_patterns, parse, trade_pattern
-from .sources import views
+from .sources import synth, views
 from .storage import materialise
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -535,3 +536,85 @@ def dominance_region(spark, d):
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The flagship: all triangles of the trade graph with the time in which each is an answer."""
     return QUERIES["match_triangle"](spark, sf_dir)
+
+
+# --- generators, streams and workloads -----------------------------------------------------------
+def _mixed_sql(c: str, salt: int) -> str:
+    s = f"((48271 * ({c}) % 2147483647 + {40692 * salt + 12345}) % 2147483647)"
+    for _ in range(3):
+        s = f"(({s} * {s} + 16807 * {s} + 1013904223) % 2147483647)"
+    return f"({s} % 65536)"
+
+
+_N = 2000
+_RING = f"ring AS (SELECT v, j, (v + j) % {_N} AS w FROM (SELECT unnest(range({_N})) AS v), (SELECT unnest([1, 2]) AS j)),\n"
+_CHORD = f"allp AS (SELECT v, w FROM ring UNION ALL SELECT v, ({_mixed_sql('v * 8 + j', 21)} * 65536 + {_mixed_sql('v * 8 + j', 22)}) % {_N} FROM ring WHERE {_mixed_sql('v * 8 + j', 23)} < 16384),\n"
+
+
+@query("nws_edges_uni", o.with_(_RING, _CHORD, select="SELECT DISTINCT least(v, w) AS u, greatest(v, w) AS v FROM allp WHERE v <> w"))
+def nws_edges_uni(spark, d):
+    return synth.nws(spark, _N).edge_life.select("u", "v")
+
+
+@query("nws_labels_uni", f"SELECT v, ({_mixed_sql('v', 1)} % 15 + 1)::INT AS label FROM (SELECT unnest(range({_N})) AS v)")
+def nws_labels_uni(spark, d):
+    return synth.nws(spark, _N).vertices
+
+
+@query("nws_labels_gau", f"SELECT v, (({' + '.join(_mixed_sql('v', s) for s in (1, 2, 3, 4))}) * 15 // 262144 + 1)::INT AS label FROM (SELECT unnest(range({_N})) AS v)")
+def nws_labels_gau(spark, d):
+    return synth.nws(spark, _N, dist="gau").vertices
+
+
+@query("nws_labels_zipf")
+def nws_labels_zipf(spark, d):
+    return synth.nws(spark, _N, dist="zipf").vertices.groupBy("label").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("knn_edges", """WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings),
+n AS (SELECT a.vec_id AS v, b.vec_id AS w, row_number() OVER (PARTITION BY a.vec_id ORDER BY list_cosine_similarity(a.e, b.e) DESC, b.vec_id) AS r FROM e a JOIN e b ON a.vec_id <> b.vec_id)
+SELECT DISTINCT least(v, w) AS u, greatest(v, w) AS v FROM n WHERE r <= 3""")
+def knn_edges(spark, d):
+    return views.knn(spark, d).edge_life.select("u", "v")
+
+
+@query("users_updates", """SELECT event_id, least(p, user_id) AS u, greatest(p, user_id) AS v FROM (SELECT *, lag(user_id) OVER (ORDER BY ts, event_id) AS p FROM events WHERE event_type = 'purchase') WHERE p <> user_id""")
+def users_updates(spark, d):
+    return views.users_updates(spark, d).select("event_id", "u", "v")
+
+
+@query("users_sessions", """WITH g AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS k FROM g)
+SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM s GROUP BY user_id, k""")
+def users_sessions(spark, d):
+    ev = views.read(spark, d, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"))
+    return streaming.user_sessions(ev).select("user_id", F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
+
+
+@query("users_props", "SELECT event_type, count(*) AS n, count(json_extract_string(props, '$.k')) AS with_k FROM events GROUP BY 1")
+def users_props(spark, d):
+    ev = views.read(spark, d, "events")
+    return ev.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), F.count(F.get_json_object("props", "$.k")).alias("with_k"))
+
+
+@query("stream_rate_tumbling", o.with_(o.TRADE, o.MIXED.replace("SELECT seq * 4 AS seq, '+' AS op", "SELECT ts, seq * 4 AS seq, '+' AS op").replace("UNION ALL SELECT seq", "UNION ALL SELECT ts, seq"), select="SELECT strftime(ts, '%Y-%m-%d') AS day, op, count(*) AS n FROM ops GROUP BY 1, 2"))
+def stream_rate_tumbling(spark, d):
+    ops = views.mixed_updates(views.trade_edges(spark, d))
+    return streaming.update_rates(ops).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "op", "n")
+
+
+@query("sample_patterns")
+def sample_patterns(spark, d):
+    return synth.sample_patterns(trade(spark, d), 10).q_vertex(spark)
+
+
+@query("adversarial_a1")
+def adversarial_a1(spark, d):
+    g = trade(spark, d)
+    return prune.candidates(index(spark, d), synth.adversarial(g, CORE, "absent"))
+
+
+@query("adversarial_a2")
+def adversarial_a2(spark, d):
+    g = trade(spark, d)
+    return prune.label_only(index(spark, d).star, synth.adversarial(g, CORE, "heavy"))

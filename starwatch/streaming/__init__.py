@@ -1 +1,102 @@
-"""streaming."""
+"""Structured Streaming: monitoring by epochs, stateful histograms, rates, sessions and late rows."""
+
+from __future__ import annotations
+
+import uuid
+from collections.abc import Iterator
+
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.streaming.query import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+from ..model import BuildParams
+from ..operators.monitor import Monitor
+from ..plans.patterns import Patterns
+from ..sources.io import upsert_epoch
+from ..storage import materialise, shared_root
+from .numbering import numbered_epoch
+
+
+class StreamMonitor:
+    """Feeds a Monitor from a stream of update records, one epoch per trigger.
+
+    Within a trigger the order is (ts, op, u, v) with deletions before insertions of the same
+    time. Records older than the newest time seen less ``late_seconds`` do not rewrite history:
+    they go to ``late``. A batch that was already applied is skipped, so a restart repeats nothing.
+    """
+
+    def __init__(self, spark: SparkSession, patterns: Patterns, vertices: DataFrame, params: BuildParams | None = None, late_seconds: int = 0, sink: str | None = None):
+        self.spark, self.sink, self.late_seconds = spark, sink, late_seconds
+        self.monitor = Monitor(None, vertices, patterns, params)
+        self.applied: set[int] = set()
+        self.newest = None
+        self.late_rows = 0
+        self.rejected = 0
+
+    def epoch(self, batch: DataFrame, batch_id: int) -> None:
+        if batch_id in self.applied:
+            return
+        if self.newest is not None:
+            limit = F.lit(self.newest) - F.expr(f"INTERVAL {self.late_seconds} SECONDS")
+            self.late_rows += batch.filter(F.col("ts") < limit).count()
+            batch = batch.filter(F.col("ts") >= limit)
+        newest = batch.agg(F.max("ts")).first()[0]
+        if newest is not None:
+            self.newest = max(newest, self.newest) if self.newest else newest
+            known = self.monitor.vertices
+            ends = batch.select(F.col("u").alias("v"), F.col("u_label").alias("label")).unionByName(batch.select("v", F.col("v_label").alias("label"))).filter("label IS NOT NULL").groupBy("v").agg(F.min("label").alias("label"))
+            self.rejected += ends.join(known.withColumnRenamed("label", "old"), "v").filter("old <> label").count()
+            self.monitor.vertices = materialise(known.unionByName(ends.join(known, "v", "left_anti").select("v", "label")), "vertices")
+            self.monitor.apply(numbered_epoch(batch, self.monitor.now))
+        self.applied.add(batch_id)
+        if self.sink:
+            upsert_epoch(self.monitor.answers(), self.sink, batch_id)
+
+    def start(self, source: DataFrame, checkpoint: str, available_now: bool = True) -> StreamingQuery:
+        writer = source.writeStream.foreachBatch(self.epoch).option("checkpointLocation", checkpoint)
+        return (writer.trigger(availableNow=True) if available_now else writer).start()
+
+
+def update_rates(updates: DataFrame, size: str = "1 day", slide: str | None = None, delay: str = "2 days") -> DataFrame:
+    """Updates per tumbling (or sliding) window and operation; late rows beyond ``delay`` are left out."""
+    w = F.window("ts", size, slide) if slide else F.window("ts", size)
+    src = updates.withWatermark("ts", delay) if updates.isStreaming else updates
+    return src.groupBy(w.alias("w"), "op").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "op", "n")
+
+
+def user_sessions(events: DataFrame, gap: str = "6 hours") -> DataFrame:
+    """Sessions of each user: events closer than ``gap``."""
+    src = events.withWatermark("ts", gap) if events.isStreaming else events
+    return src.groupBy(F.session_window("ts", gap).alias("s"), "user_id").agg(F.count(F.lit(1)).alias("n")).select("user_id", F.col("s.start").alias("start"), F.col("s.end").alias("end"), "n")
+
+
+def without_repeats(updates: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """Repeated deliveries of a record within ``delay`` are dropped."""
+    return updates.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["ts", "op", "u", "v"])
+
+
+HIST = "v long, nlabel int, cnt long"
+
+
+def stateful_histogram(updates: DataFrame) -> DataFrame:
+    """Streaming neighbour histogram: the counter of each (v, neighbour label) after each trigger."""
+    both = updates.select("op", F.col("u").alias("v"), F.col("v_label").alias("nlabel")).unionAll(updates.select("op", "v", F.col("u_label").alias("nlabel")))
+
+    def add(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n = state.get[0] if state.exists else 0
+        for f in frames:
+            n += int((f["op"] == "+").sum() - (f["op"] == "-").sum())
+        state.update((n,))
+        yield pd.DataFrame({"v": [key[0]], "nlabel": [key[1]], "cnt": [n]})
+
+    return both.groupBy("v", "nlabel").applyInPandasWithState(add, HIST, "n long", "update", GroupStateTimeout.NoTimeout)
+
+
+def run_to_end(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
+    """Run a streaming frame over all that is there now, into a memory table."""
+    spark = df.sparkSession
+    q = df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{shared_root(spark)}/stream-{uuid.uuid4().hex}").trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.table(name)
