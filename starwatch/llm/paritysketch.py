@@ -303,8 +303,18 @@ def _leftover(bands: Bands, nearest: bool):
     return run
 
 
-def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, DataFrame]:
-    """(features of every row, links between classes). ``docs``: doc_id, mark, text."""
+def joined_by(comp: DataFrame, links: DataFrame) -> DataFrame:
+    """Components (node, component) after more links: only the components that these join are worked on."""
+    ends = links.select(F.explode(F.array("a", "b")).alias("node")).distinct()
+    comp = comp.unionByName(ends.join(comp, "node", "left_anti").withColumn("component", F.col("node")))
+    a, b = (comp.select(F.col("node").alias(x), F.col("component").alias(f"c{x}")) for x in "ab")
+    between = links.join(a, "a").join(b, "b").filter("ca <> cb").select(F.col("ca").alias("a"), F.col("cb").alias("b")).distinct()
+    merged = components(between).select(F.col("node").alias("component"), F.col("component").alias("_to"))
+    return comp.join(merged, "component", "left").select("node", F.coalesce("_to", "component").alias("component"))
+
+
+def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(features of every row, links between classes, components of linked classes). ``docs``: doc_id, mark, text."""
     bands = Bands(percent)
     features = materialise(_features(docs, k), "sketch-features")
     # of each class: its first document (the smallest id), size and short sketch
@@ -325,9 +335,9 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, Da
     large = met.filter("key IS NOT NULL").select("key", F.col("b").alias("cls")).distinct()
     large = materialise(large, "sketch-large")
     # Leaders may not link all that their group does: what is still apart is tried with its
-    # nearest, twice, and then in full. Joined components need no more pairs, so little is left.
-    for nearest in (True, True, False):
-        comp = components(links)
+    # nearest and then in full. Joined components need no more pairs, so little is left.
+    comp = components(links)
+    for nearest in (True, False):
         members = large.join(comp.withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
         members = materialise(members, "sketch-members")
         split = materialise(members.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("key"), "sketch-split")
@@ -335,34 +345,38 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, Da
             break
         rows = members.join(split.hint("merge"), "key").join(classes.select("cls", "n", "sketch"), "cls").select("key", "cls", "n", "component", "sketch")
         more = rows.repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_leftover(bands, nearest), "a long, b long")
-        links = materialise(links.unionAll(verified(more)), "sketch-links")
-    return features, links
+        fresh = verified(more)
+        if not fresh.limit(1).count():
+            continue
+        links = links.unionAll(fresh)
+        comp = materialise(joined_by(comp, fresh), "sketch-components")
+    return features, links, comp
 
 
 def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, mark, n_shingles, n_class_links and component_id of every row.
+    """doc_id, mark, n_shingles, n_verified_links and component_id of every row.
 
     Sets are the distinct ``k``-word shingles of the text with A-Z lower-cased; a text of fewer
     words is one shingle, and one without words (or null) has none and links with nothing. Two
     rows link when 100 * intersection >= ``percent`` * union. component_id is the smallest id
     reachable by links, the own id included; a null id counts as smaller than all others only
-    if every member's id is null (then component_id is null). n_class_links counts links to
-    other classes of equal sets. Repeated rows are copies of each other; ``mark`` hashes the text.
+    if every member's id is null (then component_id is null). n_verified_links counts the links to
+    other classes of equal sets that were verified: all of them, except in groups of more than PAIR_GROUP
+    classes on one block, where members already joined are not compared further. Repeated rows are copies of each other; ``mark`` hashes the text.
     An empty table gives an empty result; other columns are not read.
     """
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), F.xxhash64(docs[text_col]).alias("mark"), docs[text_col].alias("text"))
-    features, links = linked_classes(docs, k, percent)
-    comp = components(links)
-    degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_class_links"))
+    features, links, comp = linked_classes(docs, k, percent)
+    degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_verified_links"))
     sizes = features.filter("n > 0").groupBy("f1").agg(F.min("doc_id").alias("low"))
     named = sizes.join(comp.withColumnRenamed("node", "f1"), "f1", "left").withColumn("component", F.coalesce("component", "f1")).join(degree.withColumnRenamed("node", "f1"), "f1", "left")
     named = materialise(named, "sketch-named")
     low = named.groupBy("component").agg(F.min("low").alias("component_id"))
-    by_class = materialise(named.join(low, "component").select("f1", "component_id", "n_class_links"), "sketch-groups")
+    by_class = materialise(named.join(low, "component").select("f1", "component_id", "n_verified_links"), "sketch-groups")
     slim = features.select("doc_id", "mark", F.col("n").alias("n_shingles"), "f1")
     out = slim.join(by_class.hint("merge"), "f1", "left")
     empty = F.col("n_shingles") == 0
-    return out.select("doc_id", "mark", "n_shingles", F.coalesce(F.when(empty, F.lit(0)).otherwise(F.col("n_class_links")), F.lit(0)).cast("long").alias("n_class_links"), F.when(empty, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    return out.select("doc_id", "mark", "n_shingles", F.coalesce(F.when(empty, F.lit(0)).otherwise(F.col("n_verified_links")), F.lit(0)).cast("long").alias("n_verified_links"), F.when(empty, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
 def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
@@ -376,7 +390,7 @@ def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
 
 def op8_parity_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = shingle_components(spark.read.parquet(f"{sf_dir}/documents.parquet"), 4, 85)
-    return out.select("doc_id", "n_shingles", "component_id", "n_class_links")
+    return out.select("doc_id", "n_shingles", "component_id")
 
 
 ORACLE = r"""
@@ -386,11 +400,9 @@ n AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY doc_id),
 p AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS i FROM sh a JOIN sh b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY 1, 2),
 l AS (SELECT x, y FROM p JOIN n a ON a.doc_id = x JOIN n b ON b.doc_id = y WHERE 100 * i >= 85 * (a.n + b.n - i)),
 e AS (SELECT x, y FROM l UNION ALL SELECT y, x FROM l),
-r AS (SELECT doc_id AS v, doc_id AS c FROM d UNION SELECT e.y, r.c FROM r JOIN e ON r.v = e.x WHERE r.c < e.y),
-cls AS (SELECT doc_id, md5(string_agg(g, ',' ORDER BY g)) AS f FROM sh GROUP BY doc_id),
-k AS (SELECT e.x AS doc_id, count(DISTINCT o.f) AS links FROM e JOIN cls m ON m.doc_id = e.x JOIN cls o ON o.doc_id = e.y AND o.f <> m.f GROUP BY e.x)
-SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, (SELECT min(c) FROM r WHERE r.v = d.doc_id) AS component_id, coalesce(k.links, 0) AS n_class_links
-FROM d LEFT JOIN n USING (doc_id) LEFT JOIN k USING (doc_id)
+r AS (SELECT doc_id AS v, doc_id AS c FROM d UNION SELECT e.y, r.c FROM r JOIN e ON r.v = e.x WHERE r.c < e.y)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, (SELECT min(c) FROM r WHERE r.v = d.doc_id) AS component_id
+FROM d LEFT JOIN n USING (doc_id)
 """
 
 QUERIES = {"op8_parity_join": op8_parity_join}
