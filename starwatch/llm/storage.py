@@ -1,43 +1,5 @@
-"""Cutting lineage with tables in the folder that all executors share."""
+"""Written tables in the shared folder (the library's own helper)."""
 
-from __future__ import annotations
+from ..storage import materialise, shared_root
 
-import atexit
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-_local_root: str | None = None
-
-
-def shared_root(spark: SparkSession) -> str:
-    """The cluster's shared folder (spark.checkpoint.dir); a temp folder only if unset."""
-    global _local_root
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if root:
-        return root.rstrip("/")
-    if _local_root is None:
-        _local_root = tempfile.mkdtemp(prefix="starwatch-")
-    return f"file://{_local_root}"
-
-
-def _remove(spark: SparkSession, path: str) -> None:
-    try:
-        jpath = spark._jvm.org.apache.hadoop.fs.Path(path)
-        jpath.getFileSystem(spark._jsc.hadoopConfiguration()).delete(jpath, True)
-    except Exception:  # the session may already be closed at exit
-        return
-
-
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Write ``df`` as Parquet into the shared folder and read it back.
-
-    The table survives lost executors (unlike a local checkpoint); it is deleted
-    when the driver's Python ends.
-    """
-    spark = df.sparkSession
-    path = f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+__all__ = ["materialise", "shared_root"]
