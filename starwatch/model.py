@@ -55,7 +55,15 @@ class Graph:
     notes: dict = field(default_factory=dict)
 
     def adjacency(self) -> DataFrame:
-        """Both directions of every edge with both labels: src, dst, src_label, dst_label, elabel, born, died."""
+        """Both directions of every edge with both labels: src, dst, src_label, dst_label, elabel, born, died.
+
+        Written once per graph: every pattern edge of every join chain reads it.
+        """
+        if "adjacency" not in self.notes:
+            self.notes["adjacency"] = materialise(self._adjacency(), "adjacency")
+        return self.notes["adjacency"]
+
+    def _adjacency(self) -> DataFrame:
         e = self.edge_life
         both = e.select(F.col("u").alias("src"), F.col("v").alias("dst"), F.lit(True).alias("forward"), "elabel", "born", "died")
         both = both.unionAll(e.select(F.col("v").alias("src"), F.col("u").alias("dst"), F.lit(False).alias("forward"), "elabel", "born", "died"))
@@ -80,12 +88,12 @@ class Graph:
             at = (F.col("died") == ALIVE) if t is None else (F.col("born") <= t) & (F.col("died") > t)
             vertices = self.vertex_life.filter(at).select("v", "label")
         now = alive.withColumn("born", F.lit(0).cast("long")).withColumn("died", F.lit(ALIVE))
-        return Graph(vertices, now, None, self.name, self.notes)
+        return Graph(vertices, now, None, self.name)
 
     def stored(self) -> Graph:
         """The same graph read from written tables, so later plans begin there."""
         life = materialise(self.vertex_life, "vertex-life") if self.vertex_life is not None else None
-        return Graph(materialise(self.vertices, "vertices"), materialise(self.edge_life, "edge-life"), life, self.name, self.notes)
+        return Graph(materialise(self.vertices, "vertices"), materialise(self.edge_life, "edge-life"), life, self.name)
 
 
 def normalise_updates(raw: DataFrame, initial: DataFrame | None = None) -> DataFrame:

@@ -119,8 +119,9 @@ class Monitor:
         fresh = edge_lifetimes(None, clean.select("u", "v", "elabel", "seq", "op").unionByName(living))
         self.edge_life = materialise(old.unionByName(fresh), "edge-life")
         t0, t1 = self.now, last
-        cand = peak_candidates(self.graph, self.patterns, self.params, t0, t1) if self.prune else None
-        added = materialise(on_insert(self.graph, self.patterns, t0, t1, cand), "added")
+        g = self.graph
+        cand = materialise(peak_candidates(g, self.patterns, self.params, t0, t1), "peak") if self.prune else None
+        added = materialise(on_insert(g, self.patterns, t0, t1, cand), "added")
         removed = materialise(on_delete(self.state, clean.filter("op = '-'"), self.patterns), "removed")
         ended = self.state.join(removed.select("query_id", "m", "born", F.col("died").alias("_d")), ["query_id", "m", "born"], "left")
         self.state = materialise(ended.withColumn("died", F.coalesce("_d", "died")).drop("_d").select("query_id", "m", "born", "died").unionByName(added), "answers")
@@ -153,7 +154,7 @@ class Monitor:
 
 def initial_answers(index, patterns: Patterns, engine: str = "static") -> DataFrame:
     """Answers on an index's snapshot: candidates, join order from their counts, refinement."""
-    cand = candidates(index, patterns).cache()
+    cand = materialise(candidates(index, patterns), "candidates")
     orders = join_orders(patterns, candidate_counts(cand))
     adj = index.graph.snapshot(index.t).adjacency()
     return (match_levels if engine == "levels" else match_all_static)(adj, patterns, orders, cand).select("query_id", "m")
