@@ -78,7 +78,7 @@ def test_intersect_and_baselines_agree(micro):
         want = brute(p, label, last)
         cols = [f"m{i}" for i in range(len(p.labels))]
         assert {tuple(r) for r in refine.match_intersect(adj, p).select(*cols).collect()} == want
-        for kind in ("tree", "dag"):
+        for kind in ("tree", "dag") if len(p.edges) < 4 else ():
             assert {tuple(r.m) for r in baselines.indexed_answers(g, p, None, kind).collect()} == want
     with pytest.raises(NotImplementedError):
         baselines.PartialTree(g, PATTERNS.items[0]).answers(0, 50)
