@@ -10,6 +10,7 @@ from ..operators.monitor import on_insert
 from ..operators.refine import as_rows, match_static
 from ..plans.joinorder import order_from
 from ..plans.patterns import Pattern, Patterns
+from ..storage import materialise
 
 
 def recompute_diff(g: Graph, pattern: Pattern, times: list[int]) -> DataFrame:
@@ -67,7 +68,7 @@ def _semi_join_program(adj: DataFrame, pattern: Pattern, edges: list[tuple[int,
         """Keep candidates of ``a`` with a neighbour among those of ``b``."""
         e = adj.filter((F.col("src_label") == pattern.labels[a]) & (F.col("dst_label") == pattern.labels[b])).select(F.col("src").alias("v"), F.col("dst").alias("w"))
         ok = e.join(cand[b].select(F.col("v").alias("w")), "w", "left_semi").select("v").distinct()
-        cand[a] = cand[a].join(ok, "v", "left_semi")
+        cand[a] = materialise(cand[a].join(ok, "v", "left_semi"), "reduced")  # else each pass repeats all before it
 
     for _ in range(rounds):
         for a, b in reversed(edges):
