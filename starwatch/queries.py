@@ -240,7 +240,7 @@ def synopsis_space(spark, d):
 
 @query("synopsis_after_updates")
 def synopsis_after_updates(spark, d):
-    """Rows of touched vertices replaced, others kept; the tests hold it equal to a rebuilt synopsis."""
+    """Rows of touched vertices replaced, others kept."""
     g, ix = trade(spark, d), index(spark, d)
     after = once(spark, d, "index after", lambda: synopsis.Index(g, D, CORE.deltas(spark), None, ix.bands, ix.grid))
     return synopsis.maintain(ix, after, g.edge_life.filter("born > 0")).select("band", "cell", "v", "deg", "ub0", "ub1", "ub2", "ub3")
