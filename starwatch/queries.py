@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -24,6 +25,7 @@ CORE = Patterns([trade_pattern(n) for n in ("triangle", "star3", "tri_tail", "tw
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 _memo: dict[tuple, object] = {}
+_all_lines = False  # while a full_ query is built: its graphs come from all line items
 
 
 def query(name: str, sql: str | None = None):
@@ -38,23 +40,37 @@ def query(name: str, sql: str | None = None):
 
 def once(spark: SparkSession, sf_dir: str, key: str, make):
     """A graph or index built once per application and data set; kept as written tables."""
-    full = (spark.sparkContext.applicationId, sf_dir, key)
+    full = (spark.sparkContext.applicationId, sf_dir, key, _all_lines)
     if full not in _memo:
         _memo[full] = make()
     return _memo[full]
 
 
+@contextmanager
+def all_lines():
+    global _all_lines
+    before, _all_lines = _all_lines, True
+    try:
+        yield
+    finally:
+        _all_lines = before
+
+
+def edges_of(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return views.trade_edges(spark, sf_dir, _all_lines)
+
+
 def trade(spark: SparkSession, sf_dir: str) -> Graph:
-    return once(spark, sf_dir, "trade", lambda: views.trade(spark, sf_dir).stored())
+    return once(spark, sf_dir, "trade", lambda: views.trade(spark, sf_dir, full=_all_lines).stored())
 
 
 def trade_deleted(spark: SparkSession, sf_dir: str) -> Graph:
-    return once(spark, sf_dir, "deleted", lambda: views.deletion_stream(views.trade_vertices(spark, sf_dir), views.trade_edges(spark, sf_dir), 10, "trade_del").stored())
+    return once(spark, sf_dir, "deleted", lambda: views.deletion_stream(views.trade_vertices(spark, sf_dir), edges_of(spark, sf_dir), 10, "trade_del").stored())
 
 
 def trade_mixed(spark: SparkSession, sf_dir: str) -> Graph:
     def make():
-        ops = normalise_updates(views.mixed_updates(views.trade_edges(spark, sf_dir)))
+        ops = normalise_updates(views.mixed_updates(edges_of(spark, sf_dir)))
         return Graph(views.trade_vertices(spark, sf_dir).select("v", "label"), edge_lifetimes(None, ops), name="trade_mixed").stored()
 
     return once(spark, sf_dir, "mixed", make)
@@ -109,7 +125,7 @@ def q_lifetimes(spark, d):
 
 @query("noop_updates", o.with_(o.TRADE, o.MIXED, select="SELECT count(*) AS n_raw, (SELECT count(*) FROM clean) AS n_clean FROM ops"))
 def noop_updates(spark, d):
-    raw = views.mixed_updates(views.trade_edges(spark, d))
+    raw = views.mixed_updates(edges_of(spark, d))
     return raw.agg(F.count(F.lit(1)).alias("n_raw")).join(normalise_updates(raw).agg(F.count(F.lit(1)).alias("n_clean")))
 
 
@@ -137,7 +153,7 @@ def hubs_top10(spark, d):
 
 @query("updates_per_month", o.with_(o.TRADE, select="SELECT strftime(ts, '%Y-%m') AS month, count(*) AS n FROM te GROUP BY 1"))
 def updates_per_month(spark, d):
-    return views.trade_edges(spark, d).groupBy(F.date_format("ts", "yyyy-MM").alias("month")).agg(F.count(F.lit(1)).alias("n"))
+    return edges_of(spark, d).groupBy(F.date_format("ts", "yyyy-MM").alias("month")).agg(F.count(F.lit(1)).alias("n"))
 
 
 # --- vectors -----------------------------------------------------------------------------------
@@ -596,7 +612,7 @@ def users_props(spark, d):
 
 @query("stream_rate_tumbling", o.with_(o.TRADE, o.MIXED.replace("SELECT seq * 4 AS seq, '+' AS op", "SELECT ts, seq * 4 AS seq, '+' AS op").replace("UNION ALL SELECT seq", "UNION ALL SELECT ts, seq"), select="SELECT strftime(ts, '%Y-%m-%d') AS day, op, count(*) AS n FROM ops GROUP BY 1, 2"))
 def stream_rate_tumbling(spark, d):
-    ops = views.mixed_updates(views.trade_edges(spark, d))
+    ops = views.mixed_updates(edges_of(spark, d))
     return streaming.update_rates(ops).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "op", "n")
 
 
@@ -615,3 +631,22 @@ def adversarial_a1(spark, d):
 def adversarial_a2(spark, d):
     g = trade(spark, d)
     return prune.label_only(index(spark, d).star, synth.adversarial(g, CORE, "heavy"))
+
+
+# --- whole tables --------------------------------------------------------------------------------
+#: Queries that read no line item, and the one that reads all of them already.
+NO_LINES = ("trade_vertices", "trade_edges", "trade_full_edges", "query_embedding", "label_vec_", "base_vec_", "nws_", "knn_", "users_")
+
+
+def _full_query(name: str, first_lines: Query):
+    sql = ORACLES[name].replace("WHERE l_linenumber = 1", "") if name in ORACLES else None
+
+    @query(f"full_{name}", sql)
+    def run(spark, d):
+        with all_lines():
+            return first_lines(spark, d)
+
+
+for _n, _f in list(QUERIES.items()):
+    if not _n.startswith(NO_LINES):
+        _full_query(_n, _f)
