@@ -31,6 +31,7 @@ from .wordhash import Words, groups, mix, words_of
 
 SKETCH_BITS = 1024
 PAIR_GROUP = 16  # up to so many classes on one block, all pairs are tried; more go by leaders first
+TILE = 256  # classes of a component that are counted together with as many others in one task
 
 
 class Bands:
@@ -303,6 +304,84 @@ def _leftover(bands: Bands, nearest: bool):
     return run
 
 
+def _common(x: np.ndarray, bx: np.ndarray, y: np.ndarray, by: np.ndarray, width: int = 8192) -> np.ndarray:
+    """Sizes of the intersections of the sets x[bx[i]:bx[i + 1]] with the sets of y, as a matrix:
+    products of 0/1 matrices over ``width`` shared members at a time."""
+    shared = np.intersect1d(x, y)
+    out = np.zeros((len(bx) - 1, len(by) - 1), np.int64)
+    sides = []
+    for v, b in ((x, bx), (y, by)):
+        at = np.minimum(np.searchsorted(shared, v), max(0, len(shared) - 1))
+        hit = np.flatnonzero(shared[at] == v) if len(shared) else np.zeros(0, np.int64)
+        row = np.repeat(np.arange(len(b) - 1), np.diff(b))[hit]
+        order = np.argsort(at[hit], kind="stable")
+        sides.append((row[order], at[hit][order], len(b) - 1))
+    for begin in range(0, len(shared), width):
+        parts = []
+        for row, at, n in sides:
+            i, j = np.searchsorted(at, (begin, begin + width))
+            m = np.zeros((n, min(width, len(shared) - begin)), np.float32)
+            m[row[i:j], at[i:j] - begin] = 1
+            parts.append(m)
+        out += (parts[0] @ parts[1].T).astype(np.int64)
+    return out
+
+
+def _tile_links(k: int, percent: int):
+    """From rows sorted by (component, p, q): each class's number of links between the tiles p and q."""
+
+    def count(p, q, rows):
+        sides = []
+        for tile in (p, q):
+            mine = [(c, t) for at, c, t in rows if at == tile]
+            values, begin = shingle_sets(words_of([t.encode() for _, t in mine], lower=True), len(mine), k)
+            sides.append(([c for c, _ in mine], values, begin))
+        (c1, x, bx), (c2, y, by) = sides
+        common = _common(x, bx, y, by)
+        linked = 100 * common >= percent * (np.diff(bx)[:, None] + np.diff(by)[None, :] - common)
+        if p == q:
+            np.fill_diagonal(linked, False)
+            return c1, linked.sum(axis=1).tolist()
+        return c1 + c2, linked.sum(axis=1).tolist() + linked.sum(axis=0).tolist()
+
+    def run(batches):
+        key, rows = None, []
+        for batch in batches:
+            for c, p, q, *row in zip(*(batch.column(x).to_pylist() for x in ("component", "p", "q", "tile", "cls", "text")), strict=True):
+                if (c, p, q) != key:
+                    if rows:
+                        yield out(*count(*key[1:], rows))
+                    key, rows = (c, p, q), []
+                rows.append(row)
+        if rows:
+            yield out(*count(*key[1:], rows))
+
+    def out(classes, n):
+        return pa.RecordBatch.from_arrays([pa.array(classes, pa.int64()), pa.array(n, pa.int64())], names=["node", "n"])
+
+    return run
+
+
+def all_degrees(docs: DataFrame, classes: DataFrame, links: DataFrame, comp: DataFrame, large: DataFrame, k: int, percent: int) -> DataFrame:
+    """(node, n_verified_links): every class's number of links to other classes, none left out.
+
+    Classes that meet in small groups only had all their pairs tried. Of the classes in larger
+    groups, all pairs within a component (no link leaves it) are counted: the component is dealt
+    into tiles by hash, and a task gets two tiles at a time. Counts go out, not pairs.
+    """
+    members = materialise(large.select(F.col("cls").alias("node")).distinct().join(comp, "node"), "tile-members")
+    tiles = members.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / TILE).cast("int").alias("tiles"))
+    dealt = members.join(tiles, "component").withColumn("tile", F.pmod(F.xxhash64("node"), F.col("tiles")).cast("int"))
+    named = dealt.join(classes.select(F.col("cls").alias("node"), "first.doc_id", "first.mark"), "node")
+    texts = docs.join(named.hint("shuffle_hash"), docs.doc_id.eqNullSafe(named.doc_id) & (docs.mark == named.mark)).select("component", "tiles", "tile", F.col("node").alias("cls"), "text").dropDuplicates(["cls"])
+    other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("other")
+    pairs = materialise(texts, "tile-texts").select("component", "tile", "cls", "text", other).select("component", F.least("tile", "other").alias("p"), F.greatest("tile", "other").alias("q"), "tile", "cls", "text")
+    inner = pairs.repartition("component", "p", "q").sortWithinPartitions("component", "p", "q").mapInArrow(_tile_links(k, percent), "node long, n long")
+    a, b = (members.select(F.col("node").alias(x), F.lit(True).alias(f"_{x}")) for x in "ab")
+    outer = links.join(a, "a", "left").join(b, "b", "left").filter("_a IS NULL OR _b IS NULL").select(F.explode(F.array("a", "b")).alias("node"), F.lit(1).cast("long").alias("n"))
+    return inner.unionByName(outer).groupBy("node").agg(F.sum("n").alias("n_verified_links"))
+
+
 def joined_by(comp: DataFrame, links: DataFrame) -> DataFrame:
     """Components (node, component) after more links: only the components that these join are worked on."""
     ends = links.select(F.explode(F.array("a", "b")).alias("node")).distinct()
@@ -313,8 +392,9 @@ def joined_by(comp: DataFrame, links: DataFrame) -> DataFrame:
     return comp.join(merged, "component", "left").select("node", F.coalesce("_to", "component").alias("component"))
 
 
-def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(features of every row, links between classes, components of linked classes). ``docs``: doc_id, mark, text."""
+def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame, DataFrame]:
+    """(features of every row, links between classes, components of linked classes, classes, members of larger groups).
+    ``docs``: doc_id, mark, text. The links join all that belongs together but lack some within larger groups: see all_degrees."""
     bands = Bands(percent)
     features = materialise(_features(docs, k), "sketch-features")
     # of each class: its first document (the smallest id), size and short sketch
@@ -350,10 +430,10 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, Da
             continue
         links = links.unionAll(fresh)
         comp = materialise(joined_by(comp, fresh), "sketch-components")
-    return features, links, comp
+    return features, links, comp, classes, large
 
 
-def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", every_link: bool = True) -> DataFrame:
     """doc_id, mark, n_shingles, n_verified_links and component_id of every row.
 
     Sets are the distinct ``k``-word shingles of the text with A-Z lower-cased; a text of fewer
@@ -361,13 +441,16 @@ def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
     rows link when 100 * intersection >= ``percent`` * union. component_id is the smallest id
     reachable by links, the own id included; a null id counts as smaller than all others only
     if every member's id is null (then component_id is null). n_verified_links counts the links to
-    other classes of equal sets that were verified: all of them, except in groups of more than PAIR_GROUP
-    classes on one block, where members already joined are not compared further. Repeated rows are copies of each other; ``mark`` hashes the text.
+    other classes of equal sets, all of them; without ``every_link`` members of groups of more than PAIR_GROUP
+    classes on one block are not compared further once joined (components are exact either way). Repeated rows are copies of each other; ``mark`` hashes the text.
     An empty table gives an empty result; other columns are not read.
     """
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), F.xxhash64(docs[text_col]).alias("mark"), docs[text_col].alias("text"))
-    features, links, comp = linked_classes(docs, k, percent)
-    degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_verified_links"))
+    features, links, comp, classes, large = linked_classes(docs, k, percent)
+    if every_link:
+        degree = all_degrees(docs, classes, links, comp, large, k, percent)
+    else:
+        degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_verified_links"))
     sizes = features.filter("n > 0").groupBy("f1").agg(F.min("doc_id").alias("low"))
     named = sizes.join(comp.withColumnRenamed("node", "f1"), "f1", "left").withColumn("component", F.coalesce("component", "f1")).join(degree.withColumnRenamed("node", "f1"), "f1", "left")
     named = materialise(named, "sketch-named")
@@ -381,7 +464,7 @@ def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
 
 def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """``docs`` with one row of each component: the one with the smallest id (of repeated rows, one)."""
-    found = shingle_components(docs, k, percent).filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.min("mark").alias("mark"), F.count(F.lit(1)).alias("n"))
+    found = shingle_components(docs, k, percent, every_link=False).filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.min("mark").alias("mark"), F.count(F.lit(1)).alias("n"))
     found = materialise(found, "keep-one").select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"), "n")
     kept = docs.withColumn("_own_mark", F.xxhash64("text"))
     kept = kept.join(found.drop("n").hint("shuffle_hash"), kept.doc_id.eqNullSafe(found._id) & (kept._own_mark == found._mark), "left_semi").drop("_own_mark")
@@ -389,10 +472,16 @@ def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
 
 
 def op8_parity_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = shingle_components(spark.read.parquet(f"{sf_dir}/documents.parquet"), 4, 85)
+    out = shingle_components(spark.read.parquet(f"{sf_dir}/documents.parquet"), 4, 85, every_link=False)
     return out.select("doc_id", "n_shingles", "component_id")
 
 
+def op8_parity_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The join with each document's number of links to different texts."""
+    out = shingle_components(spark.read.parquet(f"{sf_dir}/documents.parquet"), 4, 85)
+    return out.select("doc_id", "n_shingles", "component_id", F.col("n_verified_links").alias("n_links"))
+
+
 ORACLE = r"""
 WITH RECURSIVE d AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
 sh AS (SELECT DISTINCT doc_id, md5(array_to_string(w[s + 1 : s + 4], ' ')) AS g FROM (SELECT doc_id, w, unnest(range(greatest(1, len(w) - 3))) AS s FROM d WHERE len(w) > 0)),
@@ -405,5 +494,5 @@ SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, (SELECT min(c) FROM r WHERE r.v
 FROM d LEFT JOIN n USING (doc_id)
 """
 
-QUERIES = {"op8_parity_join": op8_parity_join}
+QUERIES = {"op8_parity_join": op8_parity_join, "op8_parity_links": op8_parity_links}
 ORACLES = {"op8_parity_join": ORACLE}
