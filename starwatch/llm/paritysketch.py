@@ -445,6 +445,11 @@ def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
     classes on one block are not compared further once joined (components are exact either way). Repeated rows are copies of each other; ``mark`` hashes the text.
     An empty table gives an empty result; other columns are not read.
     """
+    return _rows(docs, k, percent, id_col, text_col, every_link).drop("component")
+
+
+def _rows(docs: DataFrame, k: int, percent: int, id_col: str, text_col: str, every_link: bool) -> DataFrame:
+    """The rows of shingle_components with ``component``: the fingerprint of a class, null where a text has no words."""
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), F.xxhash64(docs[text_col]).alias("mark"), docs[text_col].alias("text"))
     features, links, comp, classes, large = linked_classes(docs, k, percent)
     if every_link:
@@ -455,20 +460,24 @@ def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
     named = sizes.join(comp.withColumnRenamed("node", "f1"), "f1", "left").withColumn("component", F.coalesce("component", "f1")).join(degree.withColumnRenamed("node", "f1"), "f1", "left")
     named = materialise(named, "sketch-named")
     low = named.groupBy("component").agg(F.min("low").alias("component_id"))
-    by_class = materialise(named.join(low, "component").select("f1", "component_id", "n_verified_links"), "sketch-groups")
+    by_class = materialise(named.join(low, "component").select("f1", "component", "component_id", "n_verified_links"), "sketch-groups")
     slim = features.select("doc_id", "mark", F.col("n").alias("n_shingles"), "f1")
     out = slim.join(by_class.hint("merge"), "f1", "left")
     empty = F.col("n_shingles") == 0
-    return out.select("doc_id", "mark", "n_shingles", F.coalesce(F.when(empty, F.lit(0)).otherwise(F.col("n_verified_links")), F.lit(0)).cast("long").alias("n_verified_links"), F.when(empty, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+    return out.select("doc_id", "mark", "n_shingles", F.coalesce(F.when(empty, F.lit(0)).otherwise(F.col("n_verified_links")), F.lit(0)).cast("long").alias("n_verified_links"), F.when(empty, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "component")
 
 
 def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """``docs`` with one row of each component: the one with the smallest id (of repeated rows, one)."""
-    found = shingle_components(docs, k, percent, every_link=False).filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.min("mark").alias("mark"), F.count(F.lit(1)).alias("n"))
+    """``docs`` with one row of each component: the one with the smallest (id, mark), null ids last (of repeated rows, one).
+    Texts without words link with nothing and all stay. Components go by fingerprint, as ids may be null or shared."""
+    rows = _rows(docs, k, percent, "doc_id", "text", False).groupBy("component", "doc_id", "mark").agg(F.count(F.lit(1)).alias("n"))
+    rows = materialise(rows, "keep-one-rows")
+    first = rows.filter("component IS NOT NULL").groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "mark", "n")).alias("f"))
+    found = first.select("f.doc_id", "f.mark", "f.n").unionAll(rows.filter("component IS NULL").select("doc_id", "mark", "n"))
     found = materialise(found, "keep-one").select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"), "n")
     kept = docs.withColumn("_own_mark", F.xxhash64("text"))
-    kept = kept.join(found.drop("n").hint("shuffle_hash"), kept.doc_id.eqNullSafe(found._id) & (kept._own_mark == found._mark), "left_semi").drop("_own_mark")
-    return kept.dropDuplicates(["doc_id"]) if found.filter("n > 1").limit(1).count() else kept
+    kept = kept.join(found.drop("n").hint("shuffle_hash"), kept.doc_id.eqNullSafe(found._id) & (kept._own_mark == found._mark), "left_semi")
+    return (kept.dropDuplicates(["doc_id", "_own_mark"]) if found.filter("n > 1").limit(1).count() else kept).drop("_own_mark")
 
 
 def op8_parity_join(spark: SparkSession, sf_dir: str) -> DataFrame:
