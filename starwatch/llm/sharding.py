@@ -8,12 +8,13 @@ Native: DataFrame functions only.
 
 from __future__ import annotations
 
+import hashlib
 import heapq
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .storage import materialise, shared_root
 
 SLOTS = 4096
 MAP_SCHEMA = "version int, virtual_slot int, shard int, slot_bytes long, slot_rows long"
@@ -112,6 +113,24 @@ def grow(owner: list[int], loads: list[tuple[int, int]], n_shards: int) -> list[
     return owner
 
 
+def edited(owner: list[int], loads: list[tuple[int, int]], n_shards: int) -> list[int]:
+    """The next map after ``owner``: shards that are gone give their slots to the lightest, new ones
+    are grown one by one, and the rest is rebalanced; slots that no edit names stay."""
+    if len(owner) != len(loads):
+        raise ValueError(f"the stored map has {len(owner)} slots, not {len(loads)}")
+    owner, have = list(owner), max(owner) + 1
+    total = [0] * n_shards
+    for slot, shard in enumerate(owner):
+        if shard < n_shards:
+            total[shard] += loads[slot][0]
+    for slot in sorted((i for i, s in enumerate(owner) if s >= n_shards), key=lambda i: (-loads[i][0], i)):
+        owner[slot] = min(range(n_shards), key=lambda s: (total[s], s))
+        total[owner[slot]] += loads[slot][0]
+    for new in range(have, n_shards):
+        owner = grow(owner, loads, new)
+    return rebalance(owner, loads, n_shards)
+
+
 def map_rows(owner: list[int], loads: list[tuple[int, int]], version: int) -> list[tuple]:
     return [(version, slot, shard, *loads[slot]) for slot, shard in enumerate(owner)]
 
@@ -144,7 +163,7 @@ def shard_rows(
     holds a whole shard. Null text: size 1 and the CRC of no bytes; null ids and repeated
     rows are rows like any other (order within a slot: id, CRC, size); an empty table
     gives an empty result. Other columns are not looked at, whatever their names.
-    ``map_path``: also append the map there as its next version.
+    ``map_path``: the newest map there is edited (or a first one made) and appended as the next version.
     """
     spark = docs.sparkSession
     raw = F.coalesce(F.col(text_col), F.lit(""))
@@ -158,11 +177,15 @@ def shard_rows(
         "shard-rows",
     )
     loads = slot_loads(rows, slots)
-    owner = assign_slots(loads, n_shards)
+    owner, version = None, 1
     if map_path is not None:
         have = spark._jvm.org.apache.hadoop.fs.Path(map_path)
-        there = have.getFileSystem(spark._jsc.hadoopConfiguration()).exists(have)
-        version = spark.read.schema(MAP_SCHEMA).parquet(map_path).agg(F.max("version")).first()[0] + 1 if there else 1
+        if have.getFileSystem(spark._jsc.hadoopConfiguration()).exists(have):
+            version = spark.read.schema(MAP_SCHEMA).parquet(map_path).agg(F.max("version")).first()[0]
+            owner, version = edited(load_map(spark, map_path, version), loads, n_shards), version + 1
+    if owner is None:
+        owner = assign_slots(loads, n_shards)
+    if map_path is not None:
         save_map(spark, map_path, owner, loads, version)
     before, upto = [], [0] * n_shards
     for slot, shard in enumerate(owner):
@@ -183,8 +206,9 @@ def shard_rows(
 
 
 def op10_virtual_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Shards 0..7 of ``documents`` under the law ``bytes``."""
-    placed = shard_rows(spark.read.parquet(f"{sf_dir}/documents.parquet"), 8)
+    """Shards 0..7 of ``documents`` under the law ``bytes``; each data set's map is kept in the shared folder."""
+    name = hashlib.md5(sf_dir.rstrip("/").encode()).hexdigest()
+    placed = shard_rows(spark.read.parquet(f"{sf_dir}/documents.parquet"), 8, map_path=f"{shared_root(spark)}/op10-slots-{name}")
     return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "virtual_slot")
 
 
