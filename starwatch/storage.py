@@ -12,11 +12,15 @@ _local_root: str | None = None
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The cluster's shared folder (spark.checkpoint.dir); a temp folder only if unset."""
+    """The cluster's shared folder (spark.checkpoint.dir). Only a session whose executors run
+    in the driver's own process may leave it unset; it then gets a temporary folder."""
     global _local_root
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
+    master = spark.conf.get("spark.master", "local")
+    if not master.startswith("local") or master.startswith("local-cluster"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     if _local_root is None:
         _local_root = tempfile.mkdtemp(prefix="starwatch-")
     return f"file://{_local_root}"
@@ -33,11 +37,26 @@ def _remove(spark: SparkSession, path: str) -> None:
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` as Parquet into the shared folder and read it back.
 
-    The table survives lost executors (unlike a local checkpoint); it is deleted
-    when the driver's Python ends.
+    The table survives lost executors (unlike a local checkpoint). It is deleted by ``free``, at the
+    latest when the driver's Python ends.
     """
     spark = df.sparkSession
     path = f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     atexit.register(_remove, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    table = spark.read.schema(df.schema).parquet(path)
+    table._stored_at = path
+    return table
+
+
+def free(*tables: DataFrame | None) -> None:
+    """Delete tables that ``materialise`` wrote, once all that reads them is itself written.
+
+    Shuffle files of finished plans go when the driver's JVM collects the plans, so it is asked to.
+    """
+    stored = [t for t in tables if getattr(t, "_stored_at", None)]
+    for t in stored:
+        _remove(t.sparkSession, t._stored_at)
+        t._stored_at = None
+    if stored:
+        stored[0].sparkSession._jvm.System.gc()
