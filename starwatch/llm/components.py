@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .storage import free, materialise
 
 
 def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
@@ -15,7 +15,6 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
     smaller ones, until the table is a set of stars; the rounds grow with the logarithm of a
     component's length. Self-links name isolated nodes. Each round is a written table.
     """
-    spark = edges.sparkSession
     nodes = edges.select(F.explode(F.array("a", "b")).alias("node")).distinct()
     links = materialise(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "links")
     state = None
@@ -30,9 +29,12 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
         large = materialise(large, "large-star")
         low = materialise(large.groupBy("a").agg(F.min("b").alias("m")), "least")
         kept = large.join(low.hint("merge"), "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        links = materialise(kept.unionAll(low.select("a", F.col("m").alias("b"))).distinct(), "links")
+        old, links = links, materialise(kept.unionAll(low.select("a", F.col("m").alias("b"))).distinct(), "links")
+        free(old, least, large, low)
     else:
         raise RuntimeError("components: not settled")
     if state is None or not state[0]:
         return nodes.select("node", F.col("node").alias("component"))
-    return materialise(nodes.join(links.withColumnRenamed("a", "node"), "node", "left").select("node", F.coalesce("b", "node").alias("component")), "components")
+    out = materialise(nodes.join(links.withColumnRenamed("a", "node"), "node", "left").select("node", F.coalesce("b", "node").alias("component")), "components")
+    free(links)
+    return out

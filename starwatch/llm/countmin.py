@@ -52,7 +52,7 @@ def _unpack(block: bytes) -> np.ndarray:
 class Partial:
     """A task's sketch: which cells it has hit once and twice or more."""
 
-    def __init__(self, shape: SketchShape, limit: int = 2_000_000):
+    def __init__(self, shape: SketchShape, limit: int = 1_000_000):
         self.shape, self.limit = shape, limit
         self.waiting: list[np.ndarray] = []
         self.n = 0

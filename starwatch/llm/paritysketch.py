@@ -7,18 +7,20 @@ band the (very wide) sketch is cut into D + 1 + slack blocks, so a linked pair a
 least slack + 1 blocks: sets are joined on equal blocks, pairs filtered by a short sketch,
 and verified on the shingles themselves.
 
-The slack serves blocks of at most one shingle: they say little and are shared by many. A
+The slack serves blocks without a shingle: they say nothing and are shared by many. A
 set with at most ``slack`` of them leaves them out; whatever it links with still meets it in
 another block. Sets with more give them all.
 
-Equal sets are one class throughout, so copies are never paired.
+Equal sets are one class throughout, so copies are never paired. A class is named by 64 bits of
+its fingerprint; where two classes share them, the other 64 bits tell them apart and all but one get another name.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from functools import lru_cache
+from dataclasses import dataclass
+from functools import lru_cache, reduce
 
 import numpy as np
 import pyarrow as pa
@@ -26,10 +28,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .storage import materialise
-from .wordhash import Words, groups, mix, words_of
+from .storage import free, materialise
+from .wordhash import Words, byte_groups, mix, words_of
 
-SKETCH_BITS = 1024
+SKETCH_BITS = 1024  # of the short sketch, at least; two a shingle for larger sets
+MOST_BITS = 1 << 17
 PAIR_GROUP = 16  # up to so many classes on one block, all pairs are tried; more go by leaders first
 TILE = 256  # classes of a component that are counted together with as many others in one task
 
@@ -60,11 +63,11 @@ class Bands:
         if not d:
             return 0, 0
         slack = 1
-        for _ in range(6):
+        for _ in range(8):
             m = d + 1 + slack
             load = self.percent / 100 * self.low(band) / m
-            few = m * math.exp(-load) * (1 + load)
-            slack = max(1, min(d + 1, math.ceil(few + 2 * math.sqrt(few))))
+            empty = m * math.exp(-load)
+            slack = max(1, min(d + 1, math.ceil(empty + 2 * math.sqrt(empty))))
         return d + 1 + slack, slack
 
     @lru_cache(maxsize=1 << 16)
@@ -99,8 +102,23 @@ def shingle_sets(words: Words, n_docs: int, k: int) -> tuple[np.ndarray, np.ndar
 
 
 def short_sketch(values: np.ndarray) -> bytes:
-    bits = np.bincount((values >> np.uint64(7)).astype(np.int64) & (SKETCH_BITS - 1), minlength=SKETCH_BITS) & 1
-    return np.packbits(bits.astype(np.uint8)).tobytes()
+    """Parities of the set at 2**i bits. Positions are low bits of the hash, so a wide sketch folds into a narrow one."""
+    width = min(MOST_BITS, max(SKETCH_BITS, 1 << (2 * len(values) - 1).bit_length()))
+    bits = np.bincount((values >> np.uint64(7)).astype(np.int64) & (width - 1), minlength=width) & 1
+    return np.packbits(bits.astype(np.uint8), bitorder="little").tobytes()
+
+
+def folded(sketches: list[bytes], width: int = SKETCH_BITS) -> np.ndarray:
+    """The sketches folded to ``width`` bits, a row of 64-bit words each."""
+    if all(8 * len(x) == width for x in sketches):
+        return np.frombuffer(b"".join(sketches), np.uint64).reshape(len(sketches), -1)
+    return np.array([np.bitwise_xor.reduce(np.frombuffer(x, np.uint64).reshape(-1, width // 64), axis=0) for x in sketches]).reshape(len(sketches), -1)
+
+
+def apart(x: bytes, y: bytes) -> int:
+    """Bits in which two sketches differ, at the narrower one's width."""
+    width = 8 * min(len(x), len(y))
+    return int(np.bitwise_count(folded([x], width) ^ folded([y], width)).sum())
 
 
 def block_keys(values: np.ndarray, bands: Bands) -> np.ndarray:
@@ -113,15 +131,10 @@ def block_keys(values: np.ndarray, bands: Bands) -> np.ndarray:
         order = np.argsort(block, kind="stable")
         block, bits = block[order], mix(spread[order] ^ np.uint64(0x5851F42D4C957F2D))
         begin = np.flatnonzero(np.concatenate(([True], block[1:] != block[:-1])))
-        size = np.diff(np.append(begin, len(block)))
         odd = np.bitwise_xor.reduceat(bits, begin)
-        named = mix(odd ^ mix(block[begin].astype(np.uint64) + np.uint64(band << 40)))
-        empty = np.setdiff1d(np.arange(m), block[begin])
-        few = int((size == 1).sum()) + len(empty)
-        if few <= slack:
-            out.append(named[size > 1])
-        else:
-            out.append(named)
+        out.append(mix(odd ^ mix(block[begin].astype(np.uint64) + np.uint64(band << 40))))
+        if m - len(begin) > slack:
+            empty = np.setdiff1d(np.arange(m), block[begin])
             out.append(mix(mix(empty.astype(np.uint64) + np.uint64(band << 40))))
     return np.concatenate(out) if out else np.zeros(0, np.uint64)
 
@@ -129,9 +142,8 @@ def block_keys(values: np.ndarray, bands: Bands) -> np.ndarray:
 def _sets(batches: Iterator[pa.RecordBatch], k: int):
     """(batch columns before the text, row numbers, set members, begins) of groups of texts."""
     for batch in batches:
-        texts = [None if t is None else t.encode() for t in batch.column(batch.num_columns - 1).to_pylist()]
-        for some in groups([len(t or b"") for t in texts]):
-            values, begin = shingle_sets(words_of(texts[some], lower=True), some.stop - some.start, k)
+        for some, texts in byte_groups(batch.column(batch.num_columns - 1)):
+            values, begin = shingle_sets(words_of(texts, lower=True), len(texts), k)
             yield batch.slice(some.start, some.stop - some.start), values, begin
 
 
@@ -154,13 +166,30 @@ def _features(docs: DataFrame, k: int) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, mark long, n long, f1 long, f2 long, sketch binary")
 
 
-def _keyed(docs: DataFrame, k: int, bands: Bands) -> DataFrame:
+def shared_names(classes: DataFrame) -> dict[tuple[int, int], int]:
+    """New names of classes whose first 64 bits another class has too, by both halves of the fingerprint.
+
+    Of n classes about n^2 / 2^65 pairs are expected: a few hundred at 10^11."""
+    twice = classes.groupBy("cls").agg(F.sort_array(F.collect_list("f2")).alias("f2")).filter(F.size("f2") > 1)
+    out = {}
+    for r in twice.collect():
+        for f2 in r.f2[1:]:
+            out[r.cls, f2] = int(mix(np.array([r.cls ^ f2], np.int64).view(np.uint64) * _OTHER).view(np.int64)[0])
+    return out
+
+
+_OTHER = np.uint64(0xA24BAED4963EE407)
+
+
+def _keyed(docs: DataFrame, k: int, bands: Bands, other: dict[tuple[int, int], int]) -> DataFrame:
     """(key, cls) of every set's blocks; each task gives a class once."""
 
     def run(batches):
         seen: set[int] = set()
         for _, values, begin in _sets(batches, k):
-            f1, _ = _prints(values, begin)
+            f1, f2 = _prints(values, begin)
+            if other:
+                f1 = np.array([other.get(x, x[0]) for x in zip(f1.view(np.int64).tolist(), f2.view(np.int64).tolist(), strict=True)], np.int64).view(np.uint64)
             keys, owners = [], []
             for i, (a, b) in enumerate(zip(begin[:-1].tolist(), begin[1:].tolist(), strict=True)):
                 c = int(f1[i])
@@ -221,9 +250,12 @@ def _near(bands: Bands):
             if not batch.num_rows:
                 continue
             n1, n2 = batch.column("n1").to_numpy(), batch.column("n2").to_numpy()
-            s1, s2 = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint64).reshape(len(n1), -1) for c in ("s1", "s2"))
-            apart = np.bitwise_count(s1 ^ s2).sum(axis=1, dtype=np.int64)
-            ok = (100 * np.minimum(n1, n2) >= bands.percent * np.maximum(n1, n2)) & (apart <= bands.largest_difference(n1, n2))
+            s1, s2 = batch.column("s1").to_pylist(), batch.column("s2").to_pylist()
+            most = bands.largest_difference(n1, n2)
+            ok = (100 * np.minimum(n1, n2) >= bands.percent * np.maximum(n1, n2)) & (np.bitwise_count(folded(s1) ^ folded(s2)).sum(axis=1, dtype=np.int64) <= most)
+            for i in np.flatnonzero(ok):
+                if 8 * len(s1[i]) > SKETCH_BITS and apart(s1[i], s2[i]) > most[i]:
+                    ok[i] = False
             yield batch.select(["a", "b"]).filter(pa.array(ok))
 
     return run
@@ -251,33 +283,32 @@ def _verify(k: int, percent: int):
 
 
 def _leftover(bands: Bands, nearest: bool):
-    """Of each larger group that falls into several components so far: pairs of a member
-    outside the group's main component with a member of another one, if their sketches allow
-    a link. With ``nearest`` a member gives only its nearest in the main component and its
-    nearest in any other; else all. Sketches, not texts, are held for one group at a time."""
-
-    def emit(rows):
-        n = np.array([r[1] for r in rows])
-        comp = np.array([r[2] for r in rows])
-        sketch = np.frombuffer(b"".join(r[3] for r in rows), np.uint64).reshape(len(rows), -1)
-        cls = np.array([r[0] for r in rows])
+    """From rows sorted by (key, p, q): pairs of the tiles p and q of a larger group that are in
+    different components so far, if their sketches allow a link. With ``nearest`` a member outside
+    the tiles' main component gives only its nearest in it and its nearest in any other; else all.
+    Sketches, not texts, are held, for two tiles at a time."""
+
+    def emit(p, q, rows):
+        cls, n, comp, tile = (np.array([r[i] for r in rows]) for i in range(4))
+        whole = [r[4] for r in rows]
+        sketch = folded(whole)
         names, sizes = np.unique(comp, return_counts=True)
         main = names[np.argmax(sizes)]
-        pairs: set[tuple[int, int]] = set()
         for i in np.flatnonzero(comp != main):
             ok = (comp != comp[i]) & (100 * np.minimum(n, n[i]) >= bands.percent * np.maximum(n, n[i]))
+            if p != q:
+                ok &= tile != tile[i]
             j = np.flatnonzero(ok)
-            apart = np.bitwise_count(sketch[j] ^ sketch[i]).sum(axis=1, dtype=np.int64)
-            near = apart <= bands.largest_difference(n[j], n[i])
-            j, apart = j[near], apart[near]
+            most = bands.largest_difference(n[j], n[i])
+            far = np.bitwise_count(sketch[j] ^ sketch[i]).sum(axis=1, dtype=np.int64)
+            j, far, most = j[far <= most], far[far <= most], most[far <= most]
+            if len(j) and 8 * len(whole[i]) > SKETCH_BITS:
+                far = np.array([apart(whole[x], whole[i]) for x in j])
+                j, far = j[far <= most], far[far <= most]
             if nearest and len(j):
                 inside = comp[j] == main
-                j = np.array([x[a.argmin()] for x, a in ((j[inside], apart[inside]), (j[~inside], apart[~inside])) if len(x)])
-            pairs.update((min(cls[i], c), max(cls[i], c)) for c in cls[j])
-            if len(pairs) > 100_000:
-                yield pairs
-                pairs = set()
-        yield pairs
+                j = np.array([x[a.argmin()] for x, a in ((j[inside], far[inside]), (j[~inside], far[~inside])) if len(x)])
+            yield {(min(cls[i], c), max(cls[i], c)) for c in cls[j]}
 
     def run(batches):
         def out(pairs):
@@ -286,24 +317,33 @@ def _leftover(bands: Bands, nearest: bool):
 
         key, rows, waiting = None, [], set()
         for batch in batches:
-            for r in zip(*(batch.column(c).to_pylist() for c in ("key", "cls", "n", "component", "sketch")), strict=True):
-                if r[0] != key:
+            for r in zip(*(batch.column(c).to_pylist() for c in ("key", "p", "q", "cls", "n", "component", "tile", "sketch")), strict=True):
+                if r[:3] != key:
                     if rows:
-                        for pairs in emit(rows):  # a pair that meets on several keys of the task goes out once
+                        for pairs in emit(*key[1:], rows):  # a pair that meets on several keys of the task goes out once
                             waiting |= pairs
                             if len(waiting) > 200_000:
                                 yield out(waiting)
                                 waiting = set()
-                    key, rows = r[0], []
-                rows.append(r[1:])
+                    key, rows = r[:3], []
+                rows.append(r[3:])
         if rows:
-            for pairs in emit(rows):
+            for pairs in emit(*key[1:], rows):
                 waiting |= pairs
         yield out(waiting)
 
     return run
 
 
+def in_tiles(rows: DataFrame, sizes: DataFrame, group: str, member: str) -> DataFrame:
+    """``rows`` once for each pair of tiles (p <= q) of its group that its own tile is in. ``sizes``: group, size;
+    a group is dealt by hash into tiles of about TILE members, so a task never holds a large group."""
+    tiles = F.ceil(F.col("size") / TILE).cast("int")
+    dealt = rows.join(sizes.withColumn("tiles", tiles).drop("size"), group).withColumn("tile", F.pmod(F.xxhash64(member), F.col("tiles")).cast("int"))
+    each = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    return each.withColumn("p", F.least("tile", "other")).withColumn("q", F.greatest("tile", "other")).drop("tiles", "other")
+
+
 def _common(x: np.ndarray, bx: np.ndarray, y: np.ndarray, by: np.ndarray, width: int = 8192) -> np.ndarray:
     """Sizes of the intersections of the sets x[bx[i]:bx[i + 1]] with the sets of y, as a matrix:
     products of 0/1 matrices over ``width`` shared members at a time."""
@@ -370,16 +410,23 @@ def all_degrees(docs: DataFrame, classes: DataFrame, links: DataFrame, comp: Dat
     into tiles by hash, and a task gets two tiles at a time. Counts go out, not pairs.
     """
     members = materialise(large.select(F.col("cls").alias("node")).distinct().join(comp, "node"), "tile-members")
-    tiles = members.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / TILE).cast("int").alias("tiles"))
-    dealt = members.join(tiles, "component").withColumn("tile", F.pmod(F.xxhash64("node"), F.col("tiles")).cast("int"))
-    named = dealt.join(classes.select(F.col("cls").alias("node"), "first.doc_id", "first.mark"), "node")
-    texts = docs.join(named.hint("shuffle_hash"), docs.doc_id.eqNullSafe(named.doc_id) & (docs.mark == named.mark)).select("component", "tiles", "tile", F.col("node").alias("cls"), "text").dropDuplicates(["cls"])
-    other = F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)).alias("other")
-    pairs = materialise(texts, "tile-texts").select("component", "tile", "cls", "text", other).select("component", F.least("tile", "other").alias("p"), F.greatest("tile", "other").alias("q"), "tile", "cls", "text")
+    named = members.join(classes.select(F.col("cls").alias("node"), "first.doc_id", "first.mark"), "node")
+    texts = materialise(texts_of(docs, named.select(F.col("node").alias("cls"), "component", "doc_id", "mark"), "component"), "tile-texts")
+    pairs = in_tiles(texts, members.groupBy("component").agg(F.count(F.lit(1)).alias("size")), "component", "cls")
     inner = pairs.repartition("component", "p", "q").sortWithinPartitions("component", "p", "q").mapInArrow(_tile_links(k, percent), "node long, n long")
     a, b = (members.select(F.col("node").alias(x), F.lit(True).alias(f"_{x}")) for x in "ab")
     outer = links.join(a, "a", "left").join(b, "b", "left").filter("_a IS NULL OR _b IS NULL").select(F.explode(F.array("a", "b")).alias("node"), F.lit(1).cast("long").alias("n"))
-    return inner.unionByName(outer).groupBy("node").agg(F.sum("n").alias("n_verified_links"))
+    out = materialise(inner.unionByName(outer).groupBy("node").agg(F.sum("n").alias("n_verified_links")), "tile-degrees")
+    free(members, texts)
+    return out
+
+
+def texts_of(docs: DataFrame, named: DataFrame, *more: str) -> DataFrame:
+    """(cls, text, ``more``) of classes named by (doc_id, mark). The names are written first, so that the planner
+    knows their size: a small table is sent to the documents, for a larger one both are shuffled."""
+    named = materialise(named, "text-names")
+    found = docs.join(named, docs.doc_id.eqNullSafe(named.doc_id) & (docs.mark == named.mark))
+    return found.select("cls", "text", *more).dropDuplicates(["cls"])
 
 
 def joined_by(comp: DataFrame, links: DataFrame) -> DataFrame:
@@ -392,45 +439,81 @@ def joined_by(comp: DataFrame, links: DataFrame) -> DataFrame:
     return comp.join(merged, "component", "left").select("node", F.coalesce("_to", "component").alias("component"))
 
 
-def linked_classes(docs: DataFrame, k: int, percent: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame, DataFrame]:
-    """(features of every row, links between classes, components of linked classes, classes, members of larger groups).
-    ``docs``: doc_id, mark, text. The links join all that belongs together but lack some within larger groups: see all_degrees."""
+@dataclass
+class Linked:
+    """What the join leaves: features of every row, links between classes (each a written table),
+    components of linked classes, classes, members of larger groups. The links join all that belongs
+    together but lack some within larger groups: see all_degrees."""
+
+    features: DataFrame
+    links: list[DataFrame]
+    comp: DataFrame
+    classes: DataFrame
+    large: DataFrame
+
+    def all_links(self) -> DataFrame:
+        return reduce(DataFrame.unionAll, self.links)
+
+    def free(self) -> None:
+        free(self.features, *self.links, self.comp, self.classes, self.large)
+
+
+def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
+    """``docs``: doc_id, mark, text."""
     bands = Bands(percent)
     features = materialise(_features(docs, k), "sketch-features")
     # of each class: its first document (the smallest id), size and short sketch
-    classes = materialise(features.filter("n > 0").groupBy(F.col("f1").alias("cls"), "f2").agg(F.min(F.struct("doc_id", "mark")).alias("first"), F.max("n").alias("n"), F.max("sketch").alias("sketch")), "sketch-classes")
-    met = materialise(_keyed(docs.select("text"), k, bands).repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_meet, "a long, b long, key long"), "sketch-meet")
+    first = features.filter("n > 0").groupBy(F.col("f1").alias("cls"), "f2").agg(F.min(F.struct("doc_id", "mark")).alias("first"), F.max("n").alias("n"), F.max("sketch").alias("sketch"))
+    classes = materialise(first, "sketch-classes")
+    other = shared_names(classes)
+    if other:
+
+        def renamed(name: str):
+            out = F.col(name)
+            for (f1, f2), new in other.items():
+                out = F.when((F.col(name) == f1) & (F.col("f2") == f2), F.lit(new)).otherwise(out)
+            return out
+
+        old = features, classes
+        classes = materialise(classes.withColumn("cls", renamed("cls")), "sketch-classes")
+        features = materialise(features.withColumn("f1", renamed("f1")), "sketch-features")
+        free(*old)
+    met = materialise(_keyed(docs.select("text"), k, bands, other).repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_meet, "a long, b long, key long"), "sketch-meet")
 
     def verified(pairs: DataFrame) -> DataFrame:
         first = pairs.distinct().join(classes.select(F.col("cls").alias("a"), F.col("n").alias("n1"), F.col("sketch").alias("s1")), "a")
         near = first.join(classes.select(F.col("cls").alias("b"), F.col("n").alias("n2"), F.col("sketch").alias("s2")), "b").mapInArrow(_near(bands), "a long, b long")
         near = materialise(near, "sketch-near")
         need = near.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
-        named = classes.join(need, "cls").select("cls", "first.doc_id", "first.mark")
-        texts = materialise(docs.join(named.hint("shuffle_hash"), (docs.doc_id.eqNullSafe(named.doc_id)) & (docs.mark == named.mark)).select("cls", "text").dropDuplicates(["cls"]), "sketch-texts")
+        texts = materialise(texts_of(docs, classes.join(need, "cls").select("cls", "first.doc_id", "first.mark")), "sketch-texts")
         both = near.join(texts.select(F.col("cls").alias("a"), F.col("text").alias("t1")), "a").join(texts.select(F.col("cls").alias("b"), F.col("text").alias("t2")), "b")
-        return materialise(both.select("a", "b", "t1", "t2").mapInArrow(_verify(k, percent), "a long, b long"), "sketch-links")
+        out = materialise(both.select("a", "b", "t1", "t2").mapInArrow(_verify(k, percent), "a long, b long"), "sketch-links")
+        free(near, texts)
+        return out
 
-    links = verified(met.filter("a <> b").select("a", "b"))
-    large = met.filter("key IS NOT NULL").select("key", F.col("b").alias("cls")).distinct()
-    large = materialise(large, "sketch-large")
+    links = [verified(met.filter("a <> b").select("a", "b"))]
+    large = materialise(met.filter("key IS NOT NULL").select("key", F.col("b").alias("cls")).distinct(), "sketch-large")
+    free(met)
     # Leaders may not link all that their group does: what is still apart is tried with its
     # nearest and then in full. Joined components need no more pairs, so little is left.
-    comp = components(links)
+    comp = components(links[0])
     for nearest in (True, False):
         members = large.join(comp.withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
         members = materialise(members, "sketch-members")
-        split = materialise(members.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y")).filter("x <> y").select("key"), "sketch-split")
+        split = members.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count(F.lit(1)).alias("size")).filter("x <> y").select("key", "size")
+        split = materialise(split, "sketch-split")
         if not split.limit(1).count():
+            free(members, split)
             break
-        rows = members.join(split.hint("merge"), "key").join(classes.select("cls", "n", "sketch"), "cls").select("key", "cls", "n", "component", "sketch")
-        more = rows.repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_leftover(bands, nearest), "a long, b long")
+        rows = in_tiles(members, split, "key", "cls").join(classes.select("cls", "n", "sketch"), "cls").select("key", "p", "q", "cls", "n", "component", "tile", "sketch")
+        more = rows.repartition("key", "p", "q").sortWithinPartitions("key", "p", "q", "cls").mapInArrow(_leftover(bands, nearest), "a long, b long")
         fresh = verified(more)
-        if not fresh.limit(1).count():
-            continue
-        links = links.unionAll(fresh)
-        comp = materialise(joined_by(comp, fresh), "sketch-components")
-    return features, links, comp, classes, large
+        if fresh.limit(1).count():
+            links.append(fresh)
+            old, comp = comp, materialise(joined_by(comp, fresh), "sketch-components")
+            free(old)
+        free(members, split)
+    return Linked(features, links, comp, classes, large)
 
 
 def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text", every_link: bool = True) -> DataFrame:
@@ -451,17 +534,19 @@ def shingle_components(docs: DataFrame, k: int = 5, percent: int = 80, id_col: s
 def _rows(docs: DataFrame, k: int, percent: int, id_col: str, text_col: str, every_link: bool) -> DataFrame:
     """The rows of shingle_components with ``component``: the fingerprint of a class, null where a text has no words."""
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), F.xxhash64(docs[text_col]).alias("mark"), docs[text_col].alias("text"))
-    features, links, comp, classes, large = linked_classes(docs, k, percent)
+    found = linked_classes(docs, k, percent)
     if every_link:
-        degree = all_degrees(docs, classes, links, comp, large, k, percent)
+        degree = all_degrees(docs, found.classes, found.all_links(), found.comp, found.large, k, percent)
     else:
-        degree = links.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_verified_links"))
-    sizes = features.filter("n > 0").groupBy("f1").agg(F.min("doc_id").alias("low"))
-    named = sizes.join(comp.withColumnRenamed("node", "f1"), "f1", "left").withColumn("component", F.coalesce("component", "f1")).join(degree.withColumnRenamed("node", "f1"), "f1", "left")
+        degree = found.all_links().select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_verified_links"))
+    slim = materialise(found.features.select("doc_id", "mark", F.col("n").alias("n_shingles"), "f1"), "sketch-rows")
+    sizes = slim.filter("n_shingles > 0").groupBy("f1").agg(F.min("doc_id").alias("low"))
+    named = sizes.join(found.comp.withColumnRenamed("node", "f1"), "f1", "left").withColumn("component", F.coalesce("component", "f1")).join(degree.withColumnRenamed("node", "f1"), "f1", "left")
     named = materialise(named, "sketch-named")
+    found.free()
     low = named.groupBy("component").agg(F.min("low").alias("component_id"))
     by_class = materialise(named.join(low, "component").select("f1", "component", "component_id", "n_verified_links"), "sketch-groups")
-    slim = features.select("doc_id", "mark", F.col("n").alias("n_shingles"), "f1")
+    free(named)
     out = slim.join(by_class.hint("merge"), "f1", "left")
     empty = F.col("n_shingles") == 0
     return out.select("doc_id", "mark", "n_shingles", F.coalesce(F.when(empty, F.lit(0)).otherwise(F.col("n_verified_links")), F.lit(0)).cast("long").alias("n_verified_links"), F.when(empty, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "component")
@@ -474,7 +559,8 @@ def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     rows = materialise(rows, "keep-one-rows")
     first = rows.filter("component IS NOT NULL").groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "mark", "n")).alias("f"))
     found = first.select("f.doc_id", "f.mark", "f.n").unionAll(rows.filter("component IS NULL").select("doc_id", "mark", "n"))
-    found = materialise(found, "keep-one").select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"), "n")
+    found = materialise(found.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"), "n"), "keep-one")
+    free(rows)
     kept = docs.withColumn("_own_mark", F.xxhash64("text"))
     kept = kept.join(found.drop("n").hint("shuffle_hash"), kept.doc_id.eqNullSafe(found._id) & (kept._own_mark == found._mark), "left_semi")
     return (kept.dropDuplicates(["doc_id", "_own_mark"]) if found.filter("n > 1").limit(1).count() else kept).drop("_own_mark")

@@ -1,5 +1,5 @@
 """Written tables in the shared folder (the library's own helper)."""
 
-from ..storage import materialise, shared_root
+from ..storage import free, materialise, shared_root
 
-__all__ = ["materialise", "shared_root"]
+__all__ = ["free", "materialise", "shared_root"]

@@ -19,11 +19,13 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .countmin import BLOCKS, Partial, SketchShape, at_least_twice, merge
-from .wordhash import Words, groups, mix, sliding, words_of
+from .wordhash import Words, byte_groups, mix, sliding, words_of
 
 WIDTH = 20
-SHAPE = SketchShape()
-FLUSH = 1_000_000
+FLUSH = 600_000
+CELLS_PER_ANCHOR = 8  # at this load about one unrepeated window in a hundred passes
+BYTES_PER_ANCHOR = 24  # anchors are a sixth of the words or so
+LOG_WIDTHS = (20, 30)  # the smallest sketch, and the largest (256 MB as bits, sent to every worker)
 NO_ID = -(1 << 63)
 
 
@@ -46,6 +48,14 @@ def _windows(words: Words, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarr
     return np.flatnonzero(ok), low, value, anchor, words.runs(width)[0]
 
 
+def shape_for(docs: DataFrame, text_col: str = "text") -> SketchShape:
+    """A sketch for the bytes of text there are, between the two ends of LOG_WIDTHS."""
+    size = docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
+    need = max(1, size // BYTES_PER_ANCHOR * CELLS_PER_ANCHOR)
+    width = min(LOG_WIDTHS[1], max(LOG_WIDTHS[0], (need - 1).bit_length()))
+    return SketchShape(2, width, max(18, width - 6))
+
+
 def _sketch(docs: DataFrame, width: int, shape: SketchShape) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part = TaskContext.get().partitionId()
@@ -55,12 +65,13 @@ def _sketch(docs: DataFrame, width: int, shape: SketchShape) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array([b[0] for b in block], pa.int32()), pa.array([part] * len(block), pa.int64()), pa.array([b[1] for b in block], pa.binary()), pa.array([b[2] for b in block], pa.binary())], names=["tile", "part", "once", "twice"])
 
         for batch in batches:
-            texts = [None if t is None else t.encode() for t in batch.column(1).to_pylist()]
-            for some in groups([len(t or b"") for t in texts]):
-                _, _, value, anchor, _ = _windows(words_of(texts[some]), width)
+            for _, texts in byte_groups(batch.column(1)):
+                _, _, value, anchor, _ = _windows(words_of(texts), width)
                 for block in partial.add(value[anchor]):
                     yield rows(block)
-        yield rows(partial.flush())
+        block = partial.flush()
+        if block:
+            yield rows(block)
 
     return docs.mapInArrow(run, BLOCKS)
 
@@ -76,9 +87,8 @@ def _candidates(docs: DataFrame, width: int, shape: SketchShape, sent) -> DataFr
         n = 0
         for batch in batches:
             ids = batch.column(0).fill_null(NO_ID).to_numpy()
-            texts = [None if t is None else t.encode() for t in batch.column(1).to_pylist()]
-            for some in groups([len(t or b"") for t in texts]):
-                words = words_of(texts[some])
+            for some, texts in byte_groups(batch.column(1)):
+                words = words_of(texts)
                 at, low, _, _, value = _windows(words, width)
                 at = at[at_least_twice(bits, shape, low[at])]
                 if len(at):
@@ -148,7 +158,7 @@ def _remove(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
-def drop_repeats(docs: DataFrame, width: int = WIDTH, shape: SketchShape = SHAPE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def drop_repeats(docs: DataFrame, width: int = WIDTH, shape: SketchShape | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Remove every word covered by a window of ``width`` words that also starts earlier.
 
     Earlier: a smaller id, or the same id and an earlier start; windows are judged on the
@@ -157,9 +167,11 @@ def drop_repeats(docs: DataFrame, width: int = WIDTH, shape: SketchShape = SHAPE
     Rows that share an id count as copies of one document: a window of one is not earlier
     than the same place of another, and all lose the same word positions. A null id comes
     before all others. An empty table gives an empty result; other columns are not read.
+    ``shape``: of the sketch, by default from the size of the texts.
     """
     spark = docs.sparkSession
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
+    shape = shape or shape_for(docs)
     sent = spark.sparkContext.broadcast(merge(_sketch(docs, width, shape), shape))
     found = _candidates(docs, width, shape, sent)
     # each task sent one row per hash, so a window that is everywhere has a row per task

@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from starwatch.llm import paritysketch
@@ -33,3 +34,26 @@ def test_every_link_of_a_large_group(spark, monkeypatch, tile):
     docs = spark.createDataFrame(near_copies(), "doc_id long, text string").repartition(3)
     got = {r.doc_id: r.n_verified_links for r in paritysketch.shingle_components(docs, 4, 85).collect()}
     assert got == want and max(want.values()) > paritysketch.PAIR_GROUP
+
+
+def test_classes_that_share_half_a_fingerprint(spark, monkeypatch):
+    whole = paritysketch._prints
+
+    def half(values, begin):
+        f1, f2 = whole(values, begin)
+        return f1 & np.uint64(7), f2
+
+    docs = spark.createDataFrame(near_copies(), "doc_id long, text string").repartition(3)
+    want = {r.doc_id: r[1:] for r in paritysketch.shingle_components(docs, 4, 85).collect()}
+    monkeypatch.setattr(paritysketch, "_prints", half)
+    assert {r.doc_id: r[1:] for r in paritysketch.shingle_components(docs, 4, 85).collect()} == want
+
+
+def test_sketches_fold_and_bound_the_difference():
+    r = np.random.default_rng(3)
+    x = np.unique(r.integers(0, 1 << 62, 5000).astype(np.uint64))
+    for y in (x[100:], x[::2], np.unique(r.integers(0, 1 << 62, 400).astype(np.uint64))):
+        a, b = paritysketch.short_sketch(x), paritysketch.short_sketch(y)
+        assert paritysketch.apart(a, b) <= len(np.setxor1d(x, y))
+        assert (paritysketch.folded([a], 8 * len(b)) == paritysketch.folded([a])).all() or len(b) > 128
+    assert paritysketch.apart(a, a) == 0
