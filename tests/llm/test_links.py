@@ -55,5 +55,4 @@ def test_sketches_fold_and_bound_the_difference():
     for y in (x[100:], x[::2], np.unique(r.integers(0, 1 << 62, 400).astype(np.uint64))):
         a, b = paritysketch.short_sketch(x), paritysketch.short_sketch(y)
         assert paritysketch.apart(a, b) <= len(np.setxor1d(x, y))
-        assert (paritysketch.folded([a], 8 * len(b)) == paritysketch.folded([a])).all() or len(b) > 128
     assert paritysketch.apart(a, a) == 0
