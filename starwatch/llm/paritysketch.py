@@ -24,12 +24,13 @@ from functools import lru_cache, reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
 from .storage import free, materialise
-from .wordhash import Words, byte_groups, mix, words_of
+from .wordhash import Words, byte_groups, groups, mix, words_of
 
 SKETCH_BITS = 1024  # of the short sketch, at least; two a shingle for larger sets
 MOST_BITS = 1 << 17
@@ -84,21 +85,29 @@ class Bands:
 
 def shingle_sets(words: Words, n_docs: int, k: int) -> tuple[np.ndarray, np.ndarray]:
     """The distinct shingle hashes of each text, end to end, and where each text's begin."""
-    value, ok = words.runs(k)
-    at = np.flatnonzero(ok)
-    doc, val = words.doc[at], value[at]
+    value, _ = words.runs(k)
     count = np.diff(words.first)
-    for short in range(1, k):  # fewer words than a shingle: the whole sequence is one
-        few = np.flatnonzero(count == short)
-        if len(few):
-            v, _ = words.runs(short)
-            doc, val = np.concatenate((doc, few)), np.concatenate((val, v[words.first[few]]))
-    order = np.lexsort((val, doc))
-    doc, val = doc[order], val[order]
-    new = np.ones(len(val), bool)
-    new[1:] = (val[1:] != val[:-1]) | (doc[1:] != doc[:-1])
-    doc, val = doc[new], val[new]
-    return val, np.searchsorted(doc, np.arange(n_docs + 1))
+    # fewer words than a shingle: the whole sequence is one
+    short = {n: words.runs(n)[0] for n in np.unique(count[(count > 0) & (count < k)]).tolist()}
+    sets = []
+    for at, n in zip(words.first[:n_docs].tolist(), count.tolist(), strict=True):
+        if n >= k:
+            v = np.sort(value[at : at + n - k + 1])
+            sets.append(v[np.concatenate(([True], v[1:] != v[:-1]))])
+        else:
+            sets.append(short[n][at : at + 1] if n else value[:0])
+    begin = np.cumsum([0, *map(len, sets)])
+    return (np.concatenate(sets) if sets else value[:0]), begin
+
+
+def sets_of(texts: list[str], k: int) -> tuple[np.ndarray, np.ndarray]:
+    """The same of any list of texts, hashed a bounded group at a time."""
+    values, begin = [np.zeros(0, np.uint64)], [np.zeros(1, np.int64)]
+    for some, raw in byte_groups(pa.array(texts, pa.large_string())):
+        v, b = shingle_sets(words_of(raw, lower=True), some.stop - some.start, k)
+        values.append(v)
+        begin.append(begin[-1][-1] + b[1:])
+    return np.concatenate(values), np.concatenate(begin)
 
 
 def short_sketch(values: np.ndarray) -> bytes:
@@ -265,14 +274,9 @@ def _verify(k: int, percent: int):
     def run(batches):
         for batch in batches:
             ok = []
-            texts = [batch.column(c).to_pylist() for c in ("t1", "t2")]
-            n = len(texts[0])
-            for i in range(0, n, 200):
-                sides = []
-                for t in texts:
-                    some = [x.encode() for x in t[i : i + 200]]
-                    sides.append(shingle_sets(words_of(some, lower=True), len(some), k))
-                (v1, b1), (v2, b2) = sides
+            t1, t2 = batch.column("t1"), batch.column("t2")
+            for some in groups((pc.binary_length(t1).to_numpy() + pc.binary_length(t2).to_numpy()).tolist()):
+                (v1, b1), (v2, b2) = (sets_of(t.slice(some.start, some.stop - some.start).to_pylist(), k) for t in (t1, t2))
                 for j in range(len(b1) - 1):
                     x, y = v1[b1[j] : b1[j + 1]], v2[b2[j] : b2[j + 1]]
                     common = len(np.intersect1d(x, y, assume_unique=True))
@@ -374,7 +378,7 @@ def _tile_links(k: int, percent: int):
         sides = []
         for tile in (p, q):
             mine = [(c, t) for at, c, t in rows if at == tile]
-            values, begin = shingle_sets(words_of([t.encode() for _, t in mine], lower=True), len(mine), k)
+            values, begin = sets_of([t for _, t in mine], k)
             sides.append(([c for c, _ in mine], values, begin))
         (c1, x, bx), (c2, y, by) = sides
         common = _common(x, bx, y, by)
