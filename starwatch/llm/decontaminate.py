@@ -15,6 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
+from .storage import small_batches
 from .wordhash import groups, words_of
 
 MIN_TILE = 4
@@ -150,6 +151,7 @@ def find_leaks(
     match nothing. Repeated rows give repeated results. Empty tables give an empty result. The
     benchmark is broadcast in blocks of ``block_words`` words; each block reads the documents once.
     """
+    small_batches(docs.sparkSession)
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
     out = None
     for block in item_blocks(benchmark, item_col, item_text, block_words):
@@ -175,6 +177,7 @@ def find_leaks(
 
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, min_tile: int = MIN_TILE, coverage: float = COVERAGE, text_col: str = "text", block_words: int = BLOCK_WORDS) -> DataFrame:
     """``docs`` without the rows that leak a test item; all columns pass through."""
+    small_batches(docs.sparkSession)
     at = docs.columns.index(text_col)
     out = docs
     for block in item_blocks(benchmark, "item_id", "text", block_words):

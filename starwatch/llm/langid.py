@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .storage import small_batches
 from .wordhash import groups
 
 LOG_BUCKETS = 12
@@ -157,6 +158,7 @@ def learn(docs: DataFrame, per_language: int = PER_LANGUAGE, id_col: str = "doc_
     The sample is bounded by that parameter whatever the table's size; a document is in it by a
     hash of its id, against its language's share. Each gives its whole text and a short piece.
     """
+    small_batches(docs.sparkSession)
     usable = docs.filter(docs[id_col].isNotNull() & ~held_out(docs[id_col]) & docs[lang_col].isNotNull() & docs[text_col].isNotNull())
     counts = {r[0]: r[1] for r in usable.groupBy(lang_col).count().collect()}
     if not counts:

@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .storage import materialise, small_batches
 from .wordhash import groups, mix
 
 MIN_DOCS = 10
@@ -158,6 +158,7 @@ def drop_lines(docs: DataFrame, min_docs: int = MIN_DOCS, min_chars: int = MIN_C
     change the verdict on others, as counts are those of the input.
     """
     spark = docs.sparkSession
+    small_batches(spark)
     clash = [c for c in docs.columns if c in ("line_count", "lines_dropped")]
     docs = docs.drop(*clash)
     frequent = materialise(count_keys(docs, text_col, min_chars).filter(F.col("n") >= min_docs), "frequent-lines")

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import tokens
-from .storage import materialise
+from .storage import materialise, small_batches
 
 WINDOW = 1024
 PIECES = "doc_id long, doc_tokens long, start long, length long, ids binary, part long, local_rank long"
@@ -143,6 +143,7 @@ def pack_documents(
     ``window`` numbers); what rides in the plan is bounded by the window length too.
     """
     spark = docs.sparkSession
+    small_batches(spark)
     json_path = json_path or tokens.vocabulary_path()
     ranks_path = ranks_path or tokens.vocabulary_path("byte_bpe_50k.tiktoken")
     cut = cut_pieces(docs, id_col, text_col, window, json_path, ranks_path)

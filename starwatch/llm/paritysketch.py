@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .components import components
-from .storage import free, materialise
+from .storage import free, materialise, small_batches
 from .wordhash import Words, byte_groups, groups, mix, words_of
 
 SKETCH_BITS = 1024  # of the short sketch, at least; two a shingle for larger sets
@@ -465,6 +465,7 @@ class Linked:
 def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
     """``docs``: doc_id, mark, text."""
     bands = Bands(percent)
+    small_batches(docs.sparkSession)
     features = materialise(_features(docs, k), "sketch-features")
     # of each class: its first document (the smallest id), size and short sketch
     first = features.filter("n > 0").groupBy(F.col("f1").alias("cls"), "f2").agg(F.min(F.struct("doc_id", "mark")).alias("first"), F.max("n").alias("n"), F.max("sketch").alias("sketch"))

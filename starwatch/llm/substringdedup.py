@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .countmin import BLOCKS, Partial, SketchShape, at_least_twice, merge
+from .storage import small_batches
 from .wordhash import Words, byte_groups, mix, sliding, words_of
 
 WIDTH = 20
@@ -170,6 +171,7 @@ def drop_repeats(docs: DataFrame, width: int = WIDTH, shape: SketchShape | None
     ``shape``: of the sketch, by default from the size of the texts.
     """
     spark = docs.sparkSession
+    small_batches(spark)
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
     shape = shape or shape_for(docs)
     sent = spark.sparkContext.broadcast(merge(_sketch(docs, width, shape), shape))

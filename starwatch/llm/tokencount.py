@@ -17,6 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from . import tokens
+from .storage import small_batches
 
 CHUNK_CHARS = 32_768
 OVERLAP_CHARS = 256
@@ -79,6 +80,7 @@ def count_tokens(
     are not read. Memory is bounded by a chunk (and the row itself), whatever a text's length.
     """
     path = path or tokens.vocabulary_path()
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         whole = tokens.encoder(path)
