@@ -35,6 +35,7 @@ from .wordhash import Words, byte_groups, groups, mix, words_of
 SKETCH_BITS = 1024  # of the short sketch, at least; two a shingle for larger sets
 MOST_BITS = 1 << 17
 PAIR_GROUP = 16  # up to so many classes on one block, all pairs are tried; more go by leaders first
+SENT_PAIRS = 200_000  # pairs a task remembers, so that copies with many common blocks do not come again and again
 TILE = 256  # classes of a component that are counted together with as many others in one task
 
 
@@ -215,9 +216,10 @@ def _keyed(docs: DataFrame, k: int, bands: Bands, other: dict[tuple[int, int], i
 
 def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """From rows sorted by (key, cls): pairs (a, b) to try, and for larger groups the pairs with
-    the group's first class only, with the key set. A group may span batches; only its first
-    class and size so far, or its few first members, are held."""
+    the group's first class only (and its own), marked as such. A group may span batches; only its
+    first class and size so far, or its few first members, are held. Pairs that went out before go out once."""
     key, lead, members, size, last = None, 0, [], 0, None
+    sent: set[tuple[int, int, bool]] = set()
     for batch in batches:
         keys, classes = batch.column(0).to_numpy(), batch.column(1).to_numpy()
         if not len(keys):
@@ -227,28 +229,30 @@ def _meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         begin = np.flatnonzero(new)
         alone = np.diff(np.append(begin, len(keys))) == 1
         alone[[0, -1]] = False  # may go on in another batch
-        a_out, b_out, k_out = [], [], []
+        out: list[tuple[int, int, bool]] = []
         begins, ends = begin[~alone].tolist(), np.append(begin[1:], len(keys))[~alone].tolist()
         for i, j in zip(begins, ends, strict=True):
             if keys[i] != key:
                 key, members, size, last = keys[i], [], 0, None
-                lead = classes[i]
+                lead = int(classes[i])
             for c in classes[i:j].tolist():
                 if c == last:
                     continue
                 last = c
                 size += 1
                 if size <= PAIR_GROUP:
-                    for m in members:
-                        a_out.append(m), b_out.append(c), k_out.append(None)
+                    out += [(m, c, False) for m in members]
                     members.append(c)
                 else:
                     if size == PAIR_GROUP + 1:
-                        for m in members[1:]:
-                            a_out.append(lead), b_out.append(m), k_out.append(key)
-                        a_out.append(lead), b_out.append(lead), k_out.append(key)
-                    a_out.append(lead), b_out.append(c), k_out.append(key)
-        yield pa.RecordBatch.from_arrays([pa.array(a_out, pa.int64()), pa.array(b_out, pa.int64()), pa.array(k_out, pa.int64())], names=["a", "b", "key"])
+                        out += [(lead, m, True) for m in members]
+                    out.append((lead, c, True))
+        if len(sent) > SENT_PAIRS:
+            sent = set()
+        fresh = set(out) - sent
+        sent |= fresh
+        a, b, large = zip(*fresh, strict=True) if fresh else ((), (), ())
+        yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(large, pa.bool_())], names=["a", "b", "large"])
 
 
 def _near(bands: Bands):
@@ -483,7 +487,7 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
         classes = materialise(classes.withColumn("cls", renamed("cls")), "sketch-classes")
         features = materialise(features.withColumn("f1", renamed("f1")), "sketch-features")
         free(*old)
-    met = materialise(_keyed(docs.select("text"), k, bands, other).repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_meet, "a long, b long, key long"), "sketch-meet")
+    met = materialise(_keyed(docs.select("text"), k, bands, other).repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_meet, "a long, b long, large boolean"), "sketch-meet")
 
     def verified(pairs: DataFrame) -> DataFrame:
         first = pairs.distinct().join(classes.select(F.col("cls").alias("a"), F.col("n").alias("n1"), F.col("sketch").alias("s1")), "a")
@@ -497,7 +501,8 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
         return out
 
     links = [verified(met.filter("a <> b").select("a", "b"))]
-    large = materialise(met.filter("key IS NOT NULL").select("key", F.col("b").alias("cls")).distinct(), "sketch-large")
+    # Larger groups with one leader are one group: near copies share many blocks, and so many groups.
+    large = materialise(met.filter("large").select(F.col("a").alias("key"), F.col("b").alias("cls")).distinct(), "sketch-large")
     free(met)
     # Leaders may not link all that their group does: what is still apart is tried with its
     # nearest and then in full. Joined components need no more pairs, so little is left.
