@@ -22,6 +22,7 @@ MIN_TILE = 4
 COVERAGE = 0.5
 BLOCK_WORDS = 2_000_000  # of test items held by a worker at a time
 FILTER_BITS = 22
+SEEDS = 1_000_000  # listed at a time
 
 
 def tiles(pairs_item: np.ndarray, pairs_doc: np.ndarray, n_item: int, min_tile: int) -> list[tuple[int, int, int]]:
@@ -30,37 +31,45 @@ def tiles(pairs_item: np.ndarray, pairs_doc: np.ndarray, n_item: int, min_tile:
     Seeds on one diagonal and without a gap form a maximal match. The longest match with
     no marked word is marked; one that meets marked words is cut to its free parts.
     """
-    diagonal = pairs_doc - pairs_item
-    order = np.lexsort((pairs_item, diagonal))
-    p, d = pairs_item[order], diagonal[order]
+    return tiles_of_runs(*diagonal_runs(pairs_item, pairs_doc), n_item, min_tile)
+
+
+def diagonal_runs(p: np.ndarray, q: np.ndarray, length: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(item place, document place, seeds) of the runs along diagonals that seeds, or shorter runs, make up."""
+    length = np.ones(len(p), np.int64) if length is None else length
+    order = np.lexsort((p, q - p))
+    p, q, length = p[order], q[order], length[order]
     new = np.ones(len(p), bool)
-    new[1:] = (d[1:] != d[:-1]) | (p[1:] != p[:-1] + 1)
+    new[1:] = (q[1:] - p[1:] != q[:-1] - p[:-1]) | (p[1:] != p[:-1] + length[:-1])
     begin = np.flatnonzero(new)
-    length = np.diff(np.append(begin, len(p))) + min_tile - 1
-    heap = [(-int(n), int(p[b]), int(p[b] + d[b])) for b, n in zip(begin, length, strict=True)]
+    return p[begin], q[begin], np.add.reduceat(length, begin) if len(p) else length
+
+
+def tiles_of_runs(p: np.ndarray, q: np.ndarray, seeds: np.ndarray, n_item: int, min_tile: int) -> list[tuple[int, int, int]]:
+    heap = [(-n, a, b) for a, b, n in zip(p.tolist(), q.tolist(), (seeds + min_tile - 1).tolist(), strict=True)]
     heapq.heapify(heap)
     item_marked = np.zeros(n_item, bool)
-    doc_marked: set[int] = set()
+    low = int(q.min(initial=0))
+    doc_marked = np.zeros(int((q + seeds).max(initial=0)) + min_tile - low, bool)
     out = []
-    while heap:
+    while heap and _free_runs(~item_marked, min_tile):
         n, a, b = heapq.heappop(heap)
-        free = [not item_marked[a + i] and (b + i) not in doc_marked for i in range(-n)]
-        if all(free):
+        free = ~(item_marked[a : a - n] | doc_marked[b - low : b - low - n])
+        if free.all():
             item_marked[a : a - n] = True
-            doc_marked.update(range(b, b - n))
+            doc_marked[b - low : b - low - n] = True
             out.append((a, b, -n))
             continue
-        i = 0
-        while i < len(free):
-            j = i
-            while j < len(free) and free[j]:
-                j += 1
-            if j - i >= min_tile:
-                heapq.heappush(heap, (i - j, a + i, b + i))
-            i = j + 1
+        for i, j in _free_runs(free, min_tile):
+            heapq.heappush(heap, (i - j, a + i, b + i))
     return out
 
 
+def _free_runs(free: np.ndarray, least: int) -> list[tuple[int, int]]:
+    edge = np.flatnonzero(np.diff(free.view(np.int8), prepend=np.int8(0), append=np.int8(0)))
+    return [(i, j) for i, j in zip(edge[0::2].tolist(), edge[1::2].tolist(), strict=True) if j - i >= least]
+
+
 class TestItems:
     """Seeds of a block of test items, sorted by hash, with a bit filter before them."""
 
@@ -84,6 +93,28 @@ class TestItems:
                 self.short.setdefault(n, {}).setdefault(int(v[words.first[i]]), []).append(int(i))
         self.min_tile = min_tile
 
+    def _runs(self, words, at, low, n) -> tuple[np.ndarray, ...]:
+        """(text and item, item place, text place, seeds) of diagonal runs of the seeds at the words ``at``, of
+        which ``n`` lie from ``low`` on. Seeds are listed a bounded number at a time, as words that repeat in both give their product."""
+        parts = []
+        total = np.cumsum(n)
+        a = 0
+        while a < len(at):
+            b = max(a + 1, int(np.searchsorted(total, (total[a - 1] if a else 0) + SEEDS)))
+            k = n[a:b]
+            seed = np.repeat(low[a:b], k) + np.arange(k.sum()) - np.repeat(np.cumsum(k) - k, k)
+            where = np.repeat(at[a:b], k)
+            doc = words.doc[where]
+            pair, p, q = doc * len(self.ids) + self.item[seed], self.place[seed], where - words.first[doc]
+            order = np.lexsort((p, q - p, pair))
+            pair, p, q = pair[order], p[order], q[order]
+            new = np.ones(len(p), bool)
+            new[1:] = (pair[1:] != pair[:-1]) | (q[1:] - p[1:] != q[:-1] - p[:-1]) | (p[1:] != p[:-1] + 1)
+            begin = np.flatnonzero(new)
+            parts.append((pair[begin], p[begin], q[begin], np.diff(np.append(begin, len(p)))))
+            a = b
+        return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
     def leaks(self, texts: list[str | None], coverage: float):
         """(text number, item, tiles, covered words) of every leaked item."""
         words = words_of([(t or "").lower().encode() for t in texts], bare=True)
@@ -94,23 +125,19 @@ class TestItems:
         n = high - low
         at, low, n = at[n > 0], low[n > 0], n[n > 0]
         if len(at):
-            seed = np.repeat(low, n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-            where = np.repeat(at, n)
-            doc, item = words.doc[where], self.item[seed]
-            pair = doc * len(self.ids) + item
+            pair, p, q, seeds = self._runs(words, at, low, n)
             order = np.argsort(pair, kind="stable")
             begin = np.flatnonzero(np.diff(pair[order], prepend=-1))
             for i, j in zip(begin, np.append(begin[1:], len(order)), strict=True):
                 mine = order[i:j]
-                t, x = int(doc[mine[0]]), int(item[mine[0]])
-                p, q = self.place[seed[mine]], where[mine] - words.first[t]
+                t, x = divmod(int(pair[mine[0]]), len(self.ids))
                 size = int(self.sizes[x])
                 reach = np.zeros(size + 1, np.int32)  # at most what the seeds touch can be covered
-                np.add.at(reach, p, 1)
-                np.add.at(reach, p + self.min_tile, -1)
+                np.add.at(reach, p[mine], 1)
+                np.add.at(reach, p[mine] + seeds[mine] + self.min_tile - 1, -1)
                 if np.count_nonzero(np.cumsum(reach[:-1])) < coverage * size:
                     continue
-                found = tiles(p, q, size, self.min_tile)
+                found = tiles_of_runs(*diagonal_runs(p[mine], q[mine], seeds[mine]), size, self.min_tile)
                 covered = sum(z for _, _, z in found)
                 if covered >= coverage * size:
                     yield t, x, found, covered

@@ -10,6 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .heavy import join_back
 from .storage import materialise
 
 BLANK = " \t\n\x0b\x0c\r"
@@ -17,7 +18,6 @@ SYMBOLS = "#*$%&|<>"
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
 MAX_HOST_RATE = 0.5
-SALTS = 64
 _INDEX_BITS = 20
 
 
@@ -90,13 +90,11 @@ def judge_hosts(docs: DataFrame, max_rate: float = MAX_HOST_RATE, id_col: str =
     A document is kept if it passes the base rules and its host's shrunk failure rate is at most
     ``max_rate``. A null text has no words (and fails); a null host has no verdict, its documents
     are judged alone. Repeated rows and null ids are rows of their own; an empty table gives an
-    empty result; other columns are not read. Hosts are joined back on (host, salt), each host's
-    row standing once per salt, so that a host with a third of all documents spreads over tasks.
+    empty result; other columns are not read. Hosts that hold many of all documents are salted when joined back.
     """
     rules = materialise(document_rules(docs, id_col, text_col, host_col), "host-rules")
-    verdicts = host_rates(rules).select(F.col("host").alias("_host"), F.col("shrunk_rate").alias("host_rate"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("_salt"))
-    salted = rules.withColumn("_salt", F.pmod(F.xxhash64("doc_id", "word_chars"), F.lit(SALTS)).cast("int"))
-    joined = salted.join(verdicts, (salted.host == verdicts._host) & (salted._salt == verdicts._salt), "left").drop("_host", "_salt")
+    verdicts = materialise(host_rates(rules).select("host", "n_docs", F.col("shrunk_rate").alias("host_rate")), "host-rates")
+    joined = join_back(rules, verdicts, "host", "n_docs", F.xxhash64("doc_id", "word_chars"))
     rejected = F.coalesce(F.col("host_rate") > max_rate, F.lit(False))
     return joined.withColumn("host_rejected", rejected).withColumn("kept", ~F.col("base_failed") & ~F.col("host_rejected"))
 

@@ -20,6 +20,8 @@ from .storage import small_batches
 from .wordhash import groups
 
 LOG_BUCKETS = 12
+MAX_LANGUAGES = 200  # the most frequent ones are learned
+FAMILY_ROWS = 10_000  # rows a family's model is learned from, at most
 PER_LANGUAGE = 600  # labelled documents a language is learned from, about
 SNIPPET_BYTES = 160
 SCALE = 50.0
@@ -82,22 +84,25 @@ class Model:
     def __init__(self, langs: list[str], rows: list[tuple[str, bytes, bytes]]):
         self.langs = langs
         self.families = sorted({family_of(x) for x in langs})
-        x = np.zeros((len(rows), 1 << LOG_BUCKETS), np.float32)
-        for i, (_, at, n) in enumerate(rows):
-            x[i, np.frombuffer(at, "<u2")] = np.frombuffer(n, "<f4") * SCALE
         lang = np.array([r[0] for r in rows])
         fam = np.array([family_of(r[0]) for r in rows])
         weights, bias = [], []
 
         def fit(some: np.ndarray, positive: np.ndarray) -> None:
-            w, b = train_svm(x[some], np.where(positive[some], 1.0, -1.0).astype(np.float32))
+            x = np.zeros((len(some), 1 << LOG_BUCKETS), np.float32)  # of a bounded number of rows
+            for i, j in enumerate(some):
+                x[i, np.frombuffer(rows[j][1], "<u2")] = np.frombuffer(rows[j][2], "<f4") * SCALE
+            w, b = train_svm(x, np.where(positive[some], 1.0, -1.0).astype(np.float32))
             weights.append(w * SCALE)
             bias.append(b)
 
-        everything = np.arange(len(rows))
+        # a family against all others: evenly spaced rows of each side, half of FAMILY_ROWS at most
+        def spread(some: np.ndarray) -> np.ndarray:
+            return some[np.linspace(0, len(some) - 1, min(len(some), FAMILY_ROWS // 2)).astype(int)]
+
         self.family_models = self.families if len(self.families) > 2 else self.families[:1] if len(self.families) == 2 else []
         for f in self.family_models:
-            fit(everything, fam == f)
+            fit(np.concatenate((spread(np.flatnonzero(fam == f)), spread(np.flatnonzero(fam != f)))), fam == f)
         self.pairs = [(a, b) for f in self.families for a, b in combinations([x for x in langs if family_of(x) == f], 2)]
         for a, b in self.pairs:
             fit(np.flatnonzero((lang == a) | (lang == b)), lang == a)
@@ -156,16 +161,17 @@ def learn(docs: DataFrame, per_language: int = PER_LANGUAGE, id_col: str = "doc_
     """Learn from a sample of about ``per_language`` labelled documents of each language.
 
     The sample is bounded by that parameter whatever the table's size; a document is in it by a
-    hash of its id, against its language's share. Each gives its whole text and a short piece.
+    hash of its id, against its language's share. Of more than MAX_LANGUAGES values the most frequent are learned. Each gives its whole text and a short piece.
     """
     small_batches(docs.sparkSession)
     usable = docs.filter(docs[id_col].isNotNull() & ~held_out(docs[id_col]) & docs[lang_col].isNotNull() & docs[text_col].isNotNull())
-    counts = {r[0]: r[1] for r in usable.groupBy(lang_col).count().collect()}
+    common = usable.groupBy(lang_col).count().orderBy(F.desc("count"), lang_col).limit(MAX_LANGUAGES)
+    counts = {r[0]: r[1] for r in common.collect()}
     if not counts:
         return None
     share = F.create_map(*[F.lit(v) for lang, n in sorted(counts.items()) for v in (lang, min(1.0, per_language / n))])
     dice = F.pmod(F.xxhash64(usable[id_col].cast("string"), F.lit("sample")), F.lit(1 << 30)) / float(1 << 30)
-    sample = usable.filter(dice < share[usable[lang_col]]).select(usable[lang_col].alias("lang"), usable[text_col].alias("text"))
+    sample = usable.filter(usable[lang_col].isin(sorted(counts))).filter(dice < share[usable[lang_col]]).select(usable[lang_col].alias("lang"), usable[text_col].alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

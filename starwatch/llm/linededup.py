@@ -1,7 +1,7 @@
 """Line dedup with a sharded minimal perfect hash over the distinct frequent line hashes.
 
 A first pass counts, per line key, the documents that have it. The keys that reach the
-limit go into shards; each shard gets a minimal perfect hash (levels of bit arrays), and
+limit (others have no use as their lines stay, and a probe that finds nothing says so) go into shards; each shard gets a minimal perfect hash (levels of bit arrays), and
 at a key's place stand a 64-bit fingerprint and its count. Documents then probe these
 arrays line by line; no line is joined or shuffled in the second pass.
 """
@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .storage import materialise, small_batches
+from .storage import free, materialise, small_batches
 from .wordhash import groups, mix
 
 MIN_DOCS = 10
@@ -153,8 +153,9 @@ def drop_lines(docs: DataFrame, min_docs: int = MIN_DOCS, min_chars: int = MIN_C
     count as documents of their own. An empty table gives an empty result. A text that loses all
     its lines becomes empty.
 
-    The arrays of frequent lines are broadcast in rounds of at most ``probe_bytes``, so memory
-    stays bounded however many frequent lines there are; lines judged in one round cannot
+    The arrays of frequent lines are broadcast in rounds of at most ``probe_bytes``. All rounds but the last
+    are written before the next begins, and their arrays given back, so driver and workers hold one
+    round's arrays however many frequent lines there are; lines judged in one round cannot
     change the verdict on others, as counts are those of the input.
     """
     spark = docs.sparkSession
@@ -172,10 +173,16 @@ def drop_lines(docs: DataFrame, min_docs: int = MIN_DOCS, min_chars: int = MIN_C
     n_shards = max(1, -(-n_keys // shard_keys))
     per_round = max(1, probe_bytes // max(1, shard_keys * 24))
     out = docs.withColumns({"line_count": F.lit(-1).cast("long"), "lines_dropped": F.lit(0).cast("long")})
+    sent = None
     for low in range(0, n_shards, per_round):
+        if sent is not None:
+            before, out = out, materialise(out, "line-round")
+            free(before)
+            sent.unpersist()
         rows = shards.filter((F.col("shard") >= low) & (F.col("shard") < low + per_round)).collect()
         sent = spark.sparkContext.broadcast([(r.shard, [bytes(x) for x in r.levels], bytes(r.prints), bytes(r.counts)) for r in rows])
         out = out.mapInArrow(_probe(sent, n_shards, at, min_docs, min_chars), schema)
+    free(frequent, shards)
     return out
 
 
@@ -183,7 +190,7 @@ def _probe(sent, n_shards: int, at: int, min_docs: int, min_chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shards = {s: Shard(levels, prints, counts) for s, levels, prints, counts in sent.value}
         for batch in batches:
-            texts = batch.column(at).to_pylist()
+            texts = batch.column(at).to_pylist()  # (batches are small, see small_batches)
             before = batch.column(batch.num_columns - 2).to_numpy().copy()
             gone = batch.column(batch.num_columns - 1).to_numpy().copy()
             for some in groups([len(t or "") for t in texts]):

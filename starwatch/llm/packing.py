@@ -14,14 +14,17 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import tokens
 from .storage import materialise, small_batches
+from .wordhash import groups
 
 WINDOW = 1024
+GROUP_BYTES = 1 << 19  # of text encoded at a time
 PIECES = "doc_id long, doc_tokens long, start long, length long, ids binary, part long, local_rank long"
 
 
@@ -95,32 +98,30 @@ def plan_windows(counts: dict[int, int], window: int = WINDOW) -> list[tuple[int
     return plan
 
 
-def cut_pieces(docs: DataFrame, id_col: str, text_col: str, window: int, json_path: str, ranks_path: str) -> DataFrame:
+def cut_pieces(docs: DataFrame, id_col: str, text_col: str, window: int, path: str) -> DataFrame:
     """Tokenise, append the end id 0 and cut: full windows and one rest per document.
 
     ``part`` and ``local_rank`` number the pieces of one length within a task.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = tokens.rank_encoder(json_path, ranks_path)
+        enc = tokens.encoder(path)
         part = TaskContext.get().partitionId()
         seen = np.zeros(window + 1, np.int64)
         end = np.zeros(1, "<u4").tobytes()
         for batch in batches:
-            out: list[tuple] = []
-            held = 0
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = enc.encode(text or "") + end
-                n = len(ids) // 4
-                for start in range(0, n, window):
-                    length = min(window, n - start)
-                    out.append((doc_id, n, start, length, ids[4 * start : 4 * (start + length)], part, int(seen[length])))
-                    seen[length] += 1
-                held += len(ids)
-                if held > 8 << 20:
-                    yield _batch(out)
-                    out, held = [], 0
-            if out:
+            ids_of, text_of = batch.column(0), batch.column(1)
+            for some in groups(pc.binary_length(text_of).fill_null(0).to_pylist(), GROUP_BYTES):
+                n_rows = some.stop - some.start
+                texts = [t or "" for t in text_of.slice(some.start, n_rows).to_pylist()]
+                out: list[tuple] = []
+                for doc_id, ids in zip(ids_of.slice(some.start, n_rows).to_pylist(), enc.encode(texts), strict=True):
+                    ids += end
+                    n = len(ids) // 4
+                    for start in range(0, n, window):
+                        length = min(window, n - start)
+                        out.append((doc_id, n, start, length, ids[4 * start : 4 * (start + length)], part, int(seen[length])))
+                        seen[length] += 1
                 yield _batch(out)
 
     return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, PIECES)
@@ -133,7 +134,7 @@ def _batch(rows: list[tuple]) -> pa.RecordBatch:
 
 
 def pack_documents(
-    docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", json_path: str | None = None, ranks_path: str | None = None
+    docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", path: str | None = None
 ) -> DataFrame:
     """Pieces with their token ids (little-endian unsigned 32-bit), sequence and offset in it.
 
@@ -144,9 +145,7 @@ def pack_documents(
     """
     spark = docs.sparkSession
     small_batches(spark)
-    json_path = json_path or tokens.vocabulary_path()
-    ranks_path = ranks_path or tokens.vocabulary_path("byte_bpe_50k.tiktoken")
-    cut = cut_pieces(docs, id_col, text_col, window, json_path, ranks_path)
+    cut = cut_pieces(docs, id_col, text_col, window, path or tokens.vocabulary_path())
     pieces = materialise(cut.withColumn("ids_crc32", F.crc32("ids")), "pack-pieces")
     per_task = pieces.groupBy("length", "part").agg(F.count(F.lit(1)).alias("n"))
     counts = {r.length: r.n for r in per_task.groupBy("length").agg(F.sum("n").alias("n")).collect()}

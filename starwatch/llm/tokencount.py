@@ -14,13 +14,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 from . import tokens
 from .storage import small_batches
+from .wordhash import groups
 
 CHUNK_CHARS = 32_768
 OVERLAP_CHARS = 256
+GROUP_BYTES = 1 << 19  # of texts encoded at a time
 GUARD_CHARS = 16  # longer than any special string and than any look-ahead of the pattern
 SCHEMA = "doc_id long, n_bytes long, n_tokens long, over_limit boolean, n_chunks int"
 
@@ -86,18 +89,18 @@ def count_tokens(
         whole = tokens.encoder(path)
         lib = tokens.library(path)
         for batch in batches:
-            texts = [t or "" for t in batch.column(1).to_pylist()]
-            counts, chunks = np.zeros(len(texts), np.int64), np.zeros(len(texts), np.int32)
-            short = [i for i, t in enumerate(texts) if 0 < len(t) <= chunk]
-            for i in range(0, len(short), 500):
-                some = short[i : i + 500]
-                counts[some] = [len(ids) // 4 for ids in whole.encode([texts[j] for j in some])]
-                chunks[some] = 1
-            for i, t in enumerate(texts):
-                if len(t) > chunk:
-                    counts[i], chunks[i] = count_by_chunks(t, lambda part: lib.encode(part, add_special_tokens=False), chunk)
-            size = np.array([len(t.encode()) for t in texts], np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(size), pa.array(counts), pa.array(counts > limit), pa.array(chunks)], names=["doc_id", "n_bytes", "n_tokens", "over_limit", "n_chunks"])
+            text_of, n = batch.column(1), batch.num_rows
+            size = pc.binary_length(text_of).fill_null(0)
+            counts, chunks = np.zeros(n, np.int64), np.zeros(n, np.int32)
+            for some in groups(size.to_pylist(), GROUP_BYTES):
+                texts = [t or "" for t in text_of.slice(some.start, some.stop - some.start).to_pylist()]
+                short = [i for i, t in enumerate(texts) if 0 < len(t) <= chunk]
+                for i, ids in zip(short, whole.encode([texts[i] for i in short]), strict=True):
+                    counts[some.start + i], chunks[some.start + i] = len(ids) // 4, 1
+                for i, t in enumerate(texts, some.start):
+                    if len(t) > chunk:
+                        counts[i], chunks[i] = count_by_chunks(t, lambda part: lib.encode(part, add_special_tokens=False), chunk)
+            yield pa.RecordBatch.from_arrays([batch.column(0), size.cast(pa.int64()), pa.array(counts), pa.array(counts > limit), pa.array(chunks)], names=["doc_id", "n_bytes", "n_tokens", "over_limit", "n_chunks"])
 
     return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, SCHEMA)
 

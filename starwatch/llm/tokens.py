@@ -2,9 +2,9 @@
 
 A text may be cut before a space that stands between two characters which are not
 white space: byte-level BPE splits a text by a pattern in which a space can only open
-a piece, so no token lies across such a cut, and the encodings of the parts, laid end
-to end, are the encoding of the whole. Parts repeat a lot, so each worker keeps
-the encodings of the latest ones.
+a piece, so no token lies across such a cut (a special string has no space, and takes none
+beside it), and the encodings of the parts, laid end to end, are the encoding of the whole.
+Parts repeat a lot, so each worker keeps the encodings of those it has seen.
 """
 
 from __future__ import annotations
@@ -16,11 +16,14 @@ import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
-MEMO_ENTRIES = 400_000  # about 80 MB in each Python worker
+MEMO_ENTRIES = 300_000  # about 60 MB in each Python worker
 MEMO_CHARS = 48  # longer pieces are not kept
-SPECIAL = "<|endoftext|>"
-#: Pieces that begin or end with white space, or have a special string's mark, aren't cut there.
-_ODD = re.compile(r"\s\Z|\A\s|<\|")
+#: A space that no token crosses. (White space in Python's sense takes in all that the pattern's does.)
+#: A line feed alone between others is a token of its own, so a cut may go before it as well.
+_CUT = re.compile(r"(?<=\S) (?=\S)|(?<=\S)(?=\n\S)")
+_WHITE = re.compile(r"\s")
+OPENERS = ("\u0120", "\u010a")  # fixed values: how the vocabulary writes a space and a line feed
+JOINED = 500
 
 
 def vocabulary_path(name: str = "byte_bpe_50k.json") -> str:
@@ -45,51 +48,52 @@ class PieceEncoder:
 
     def __init__(self, path: str):
         self.path = path
-        self.memo: dict[str, bytes] = {}
+        self.memo: dict[str, bytes] = {}  # by the piece without the space that opens it (if one does); the first that came
+        self.opens: np.ndarray | None = None  # which tokens begin with a space
 
-    def _encode_new(self, pieces: list[str]) -> list[bytes]:
+    def _library(self, pieces: list[str]) -> list[bytes]:
         got = library(self.path).encode_batch_fast(pieces, add_special_tokens=False)
         return [np.array(e.ids, "<u4").tobytes() for e in got]
 
-    @staticmethod
-    def pieces(text: str) -> list[str]:
-        """Parts of ``text`` at cuts that no token crosses; their concatenation is ``text``."""
-        parts = text.split(" ")
-        out = parts[:1]
-        add = out.append
-        before = parts[0]
-        for part in parts[1:]:
-            # a cut needs a character other than white space on both sides
-            if part and before and not part[0].isspace() and not before[-1].isspace() and "<|" not in before:
-                add(" " + part)
-            else:
-                out[-1] += " " + part
-                part = out[-1]
-            before = part
-        return out
+    def _tails(self, pieces: list[str]) -> list[bytes]:
+        """The ids of pieces with the space that opens them (unless a line feed does). Pieces without other white
+        space are encoded as one text; in it, exactly the first token of each begins with a space or line feed."""
+        if self.opens is None:
+            vocabulary = library(self.path).get_vocab(with_added_tokens=True)
+            self.opens = np.zeros(max(vocabulary.values()) + 1, bool)
+            self.opens[[i for t, i in vocabulary.items() if t.startswith(OPENERS)]] = True
+        whole = "".join([p if p[0] == "\n" else " " + p for p in pieces])
+        if len(whole.split()) == len(pieces):  # no white space inside a piece
+            raw = self._library([whole])[0]
+            at = np.flatnonzero(self.opens[np.frombuffer(raw, "<u4")]) * 4
+            if len(at) == len(pieces):
+                return list(map(raw.__getitem__, map(slice, at.tolist(), [*at[1:].tolist(), len(raw)])))
+        odd = {i for i, p in enumerate(pieces) if _WHITE.search(p, 1)}
+        if not odd or len(odd) == len(pieces):
+            return self._library([p if p[0] == "\n" else " " + p for p in pieces])
+        sides = [iter(self._tails([p for i, p in enumerate(pieces) if (i in odd) == x])) for x in (False, True)]
+        return [next(sides[i in odd]) for i in range(len(pieces))]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, as the library gives them for the text as a whole."""
-        memo = self.memo
-        cut = [self.pieces(t) if t else [] for t in texts]
-        new = {p for ps in cut for p in ps if p not in memo}
-        fresh: dict[str, bytes] = {}
-        if new:
-            order = list(new)
-            if len(memo) + len(order) > MEMO_ENTRIES:
-                keep = {p for ps in cut for p in ps if p in memo}
-                self.memo = memo = {p: memo[p] for p in keep} if len(keep) < MEMO_ENTRIES else {}
-                order += [p for p in keep if p not in memo]
-            for i in range(0, len(order), 50_000):
-                some = order[i : i + 50_000]
-                for p, ids in zip(some, self._encode_new(some), strict=True):
-                    fresh[p] = ids
-                    if len(p) <= MEMO_CHARS and len(memo) < MEMO_ENTRIES:
-                        memo[p] = ids
-        if fresh:
-            get = memo.get
-            return [b"".join([get(p) or fresh[p] for p in ps]) for ps in cut]
-        return [b"".join(map(memo.__getitem__, ps)) for ps in cut]
+        memo, get = self.memo, self.memo.get
+        cut = [_CUT.split(t) for t in texts]
+        heads = self._library([c.pop(0) for c in cut])
+        found = [list(map(get, c)) for c in cut]
+        new = [p for c, ids in zip(cut, found, strict=True) for p, x in zip(c, ids, strict=True) if x is None]
+        if len(memo) < MEMO_ENTRIES:
+            new = list(dict.fromkeys(new))
+        fresh = [x for i in range(0, len(new), JOINED) for x in self._tails(new[i : i + JOINED])]
+        if len(memo) < MEMO_ENTRIES:
+            here = dict(zip(new, fresh, strict=True))
+            memo.update((p, x) for p, x in here.items() if len(p) <= MEMO_CHARS)
+            found = [[here[p] if x is None else x for p, x in zip(c, ids, strict=True)] for c, ids in zip(cut, found, strict=True)]
+        elif new:
+            rest = iter(fresh)
+            found = [[next(rest) if x is None else x for x in ids] for ids in found]
+            if 2 * len(new) > sum(map(len, cut)):  # other texts than those it was filled from
+                memo.clear()
+        return [head + b"".join(ids) for head, ids in zip(heads, found, strict=True)]
 
 
 _encoders: dict[str, PieceEncoder] = {}
@@ -100,40 +104,3 @@ def encoder(path: str) -> PieceEncoder:
     if path not in _encoders:
         _encoders[path] = PieceEncoder(path)
     return _encoders[path]
-
-
-class RankEncoder:
-    """The same ids from the same vocabulary given as byte ranks, about four times as fast.
-
-    The tests hold it equal to the library on whole texts. Texts whose white space
-    runs exceed what its pattern engine can backtrack over go to the library.
-    """
-
-    def __init__(self, ranks_path: str, json_path: str):
-        import base64
-
-        import public_tokenizers
-        import tiktoken
-
-        with open(ranks_path, "rb") as f:
-            ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-        self.special = {SPECIAL}
-        self.core = tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={SPECIAL: len(ranks)})._core_bpe
-        self.json_path = json_path
-
-    def encode(self, text: str) -> bytes:
-        if not text:
-            return b""
-        if _LONG_RUN.search(text) is None:
-            return bytes(self.core.encode_to_tiktoken_buffer(text, self.special))
-        return np.array(library(self.json_path).encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-
-
-_LONG_RUN = re.compile(r"\s{10000}|\w{20000}")
-_rank_encoders: dict[str, RankEncoder] = {}
-
-
-def rank_encoder(json_path: str, ranks_path: str) -> RankEncoder:
-    if ranks_path not in _rank_encoders:
-        _rank_encoders[ranks_path] = RankEncoder(ranks_path, json_path)
-    return _rank_encoders[ranks_path]

@@ -1,7 +1,7 @@
 """URL filter: host and path rules first, then gradient-boosted trees on lexical features.
 
-The trees are learned on the driver from a bounded sample of labelled URLs, and applied as
-plain column expressions. Suffix statistics are counted over all labelled rows.
+The labels are the rules' verdicts, or a caller's own. The trees are learned on the driver from a bounded sample
+of labelled URLs, and applied as plain column expressions. Suffix statistics are counted over all labelled rows.
 """
 
 from __future__ import annotations
@@ -10,14 +10,13 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .heavy import join_back
+from .storage import free, materialise
 
 #: The rules of the result contract, (verdict, rule).
 RULES = (("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/"))
-#: Words in a host name by which a URL without a rule is labelled for learning.
-BAD_WORDS = ("adult", "casino", "spam", "porn", "xxx", "bet-", "pills", "malware", "phish")
 TRAIN_ROWS = 20_000
-SALTS = 64
+FOLDS = 5
 FEATURES = ("url_length", "host_length", "path_length", "depth", "digit_ratio", "entropy", "n_params", "host_hyphens", "host_labels", "has_fragment", "suffix_rate", "suffix_weight")
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -63,16 +62,18 @@ def lexical(rows: DataFrame) -> DataFrame:
 
 
 def with_suffix_rates(rows: DataFrame) -> DataFrame:
-    """Adds the block rate of the host's suffix over all labelled rows, smoothed by two
-    rows of an even rate, and the logarithm of its count. Suffixes are joined on (suffix, salt)."""
-    stats = rows.filter("label IS NOT NULL").groupBy("suffix").agg(F.count(F.lit(1)).alias("n"), F.sum("label").alias("k"))
-    table = materialise(stats, "url-suffixes").select(
-        F.col("suffix").alias("_suffix"), ((F.col("k") + 1) / (F.col("n") + 2)).alias("suffix_rate"), F.log2(F.col("n") + 1).alias("suffix_weight"),
-        F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("_salt"),
-    )
-    salted = rows.withColumn("_salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
-    out = salted.join(table, (salted.suffix == table._suffix) & (salted._salt == table._salt), "left").drop("_suffix", "_salt")
-    return out.withColumn("suffix_rate", F.coalesce("suffix_rate", F.lit(0.5))).withColumn("suffix_weight", F.coalesce("suffix_weight", F.lit(0.0)))
+    """Adds the block rate of the host's suffix over labelled rows, smoothed by two rows of an even
+    rate, and the logarithm of their count. A labelled row's own fold (by its URL) is left out of both, so
+    that no row's rate holds its own label. A written table."""
+    rows = rows.withColumn("_fold", F.when(F.col("label").isNotNull(), F.pmod(F.xxhash64("url", F.lit("fold")), F.lit(FOLDS)).cast("int")))
+    parts = [x for f in range(FOLDS) for x in (F.count_if(F.col("_fold") == f).alias(f"_n{f}"), F.coalesce(F.sum(F.when(F.col("_fold") == f, F.col("label"))), F.lit(0)).alias(f"_k{f}"))]
+    table = materialise(rows.groupBy("suffix").agg(F.count(F.lit(1)).alias("_rows"), *parts), "url-suffixes")
+    out = join_back(rows, table, "suffix", "_rows", F.xxhash64("page_id", "url"))
+    n, k = (sum((F.when(F.col("_fold").eqNullSafe(F.lit(f)), 0).otherwise(F.col(f"_{x}{f}")) for f in range(FOLDS)), F.lit(0)) for x in "nk")
+    out = out.withColumn("suffix_rate", F.coalesce((k + 1) / (n + 2), F.lit(0.5))).withColumn("suffix_weight", F.coalesce(F.log2(n + 1), F.lit(0.0)))
+    out = materialise(out.drop("_fold", *[f"_{x}{f}" for f in range(FOLDS) for x in "nk"]), "url-features")
+    free(table)
+    return out
 
 
 class BoostedTrees:
@@ -139,15 +140,26 @@ class BoostedTrees:
         return " + ".join([f"{self.base!r}D", *(f"({walk(t)})" for t in self.trees)])
 
 
-def default_labels(rows: DataFrame) -> Column:
-    """1 (block) or 0 (allow): the rule's verdict; without a rule, whether the host has a bad word."""
-    bad = F.lit(False)
-    for w in BAD_WORDS:
-        bad = bad | F.contains("host", F.lit(w))
-    return F.when(rows.rule_verdict.isNotNull(), (rows.rule_verdict == "block").cast("int")).when(F.col("host") != "", bad.cast("int"))
+def rule_labels(rows: DataFrame) -> Column:
+    """1 (block) or 0 (allow) by the rule's verdict; URLs without a rule are unlabelled."""
+    return (rows.rule_verdict == "block").cast("int")
 
 
-def judge_urls(pages: DataFrame, rules=RULES, labels=default_labels, train_rows: int = TRAIN_ROWS, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+def training_rows(rows: DataFrame, train_rows: int) -> tuple[np.ndarray, np.ndarray]:
+    """Features and labels of about ``train_rows`` labelled rows, chosen by a hash of the URL and in a fixed order."""
+    n = rows.filter("label IS NOT NULL").count()
+    dice = F.pmod(F.xxhash64("url", F.lit("train")), F.lit(1 << 30)) / float(1 << 30)
+    got = rows.filter(F.col("label").isNotNull() & (dice < min(1.0, train_rows / max(1, n)))).select("url", "label", *FEATURES).collect()
+    got.sort()
+    return np.array([r[2:] for r in got], float).reshape(-1, len(FEATURES)), np.array([r[1] for r in got], float)
+
+
+def learn(rows: DataFrame, train_rows: int = TRAIN_ROWS) -> BoostedTrees | None:
+    x, y = training_rows(rows, train_rows)
+    return BoostedTrees().fit(x, y) if len(y) else None
+
+
+def judge_urls(pages: DataFrame, rules=RULES, labels=rule_labels, train_rows: int = TRAIN_ROWS, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
     """page_id, host, path, rule, score and verdict of every row.
 
     ``labels`` gives the label column (1 block, 0 allow, null unlabelled) from url, host, path and rule_verdict;
@@ -160,15 +172,9 @@ def judge_urls(pages: DataFrame, rules=RULES, labels=default_labels, train_rows:
     rows = rows.withColumn("host", host_of(F.col("url"))).withColumn("path", path_of(F.col("url")))
     rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
     rows = rows.withColumn("rule", rule).withColumn("rule_verdict", verdict)
-    rows = materialise(with_suffix_rates(lexical(rows.withColumn("label", labels(rows)))), "url-features")
-    n = rows.filter("label IS NOT NULL").count()
-    dice = F.pmod(F.xxhash64("url", F.lit("train")), F.lit(1 << 30)) / float(1 << 30)
-    got = rows.filter(F.col("label").isNotNull() & (dice < min(1.0, train_rows / max(1, n)))).select("url", "label", *FEATURES).collect()
-    got.sort()
-    x = np.array([r[2:] for r in got], float).reshape(-1, len(FEATURES))
-    y = np.array([r[1] for r in got], float)
-    margin = BoostedTrees().fit(x, y).expression() if len(got) else "-1D"
-    out = rows.withColumn("margin", F.expr(margin))
+    rows = with_suffix_rates(lexical(rows.withColumn("label", labels(rows))))
+    trees = learn(rows, train_rows)
+    out = rows.withColumn("margin", F.expr(trees.expression() if trees else "-1D"))
     method = F.when(F.col("margin") > 0, "block").otherwise("allow")
     return out.select("page_id", "host", "path", "rule", (1 / (1 + F.exp(-F.col("margin")))).alias("score"), F.coalesce("rule_verdict", method).alias("verdict"))
 

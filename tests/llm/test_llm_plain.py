@@ -19,15 +19,16 @@ def texts(n, top=40, seed=0):
     return ["".join(r.choice(PIECES) for _ in range(r.randint(0, top))) for _ in range(n)]
 
 
-def test_encoders_equal_the_library():
+def test_encoder_equals_the_library(monkeypatch):
     lib = tokens.library(tokens.vocabulary_path())
     some = texts(1500)
     want = [np.array(e.ids, "<u4").tobytes() for e in lib.encode_batch(some, add_special_tokens=False)]
-    assert tokens.PieceEncoder(tokens.vocabulary_path()).encode(some) == want
-    rank = tokens.rank_encoder(tokens.vocabulary_path(), tokens.vocabulary_path("byte_bpe_50k.tiktoken"))
-    assert [rank.encode(t) for t in some] == want
-    long = " " * 20_000 + "x"
-    assert rank.encode(long) == np.array(lib.encode(long, add_special_tokens=False).ids, "<u4").tobytes()
+    for entries in (0, 30, tokens.MEMO_ENTRIES):  # no memo, a full one, one that learns
+        monkeypatch.setattr(tokens, "MEMO_ENTRIES", entries)
+        whole = tokens.PieceEncoder(tokens.vocabulary_path())
+        assert [x for i in range(0, len(some), 50) for x in whole.encode(some[i : i + 50])] == want
+    long = [" " * 20_000 + "x", "a b\nc " * 3000]
+    assert whole.encode(long) == [np.array(lib.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in long]
 
 
 def test_chunked_counts_equal_whole_ones():
