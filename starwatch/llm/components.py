@@ -24,12 +24,12 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
             break
         state = now
         both = links.unionAll(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = materialise(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "least")
+        least = materialise(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "least", 2 * now[0])
         large = both.filter("b > a").join(least.hint("merge"), "a").select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").distinct()
-        large = materialise(large, "large-star")
-        low = materialise(large.groupBy("a").agg(F.min("b").alias("m")), "least")
+        large = materialise(large, "large-star", 2 * now[0])
+        low = materialise(large.groupBy("a").agg(F.min("b").alias("m")), "least", 2 * now[0])
         kept = large.join(low.hint("merge"), "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
-        old, links = links, materialise(kept.unionAll(low.select("a", F.col("m").alias("b"))).distinct(), "links")
+        old, links = links, materialise(kept.unionAll(low.select("a", F.col("m").alias("b"))).distinct(), "links", 2 * now[0])
         free(old, least, large, low)
     else:
         raise RuntimeError("components: not settled")

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from .storage import materialise
 
 BLOCKS = "tile int, part long, once binary, twice binary"
-FAN_IN = 64
+FAN_IN = 256
 
 
 @dataclass(frozen=True)

@@ -54,7 +54,7 @@ def shape_for(docs: DataFrame, text_col: str = "text") -> SketchShape:
     size = docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
     need = max(1, size // BYTES_PER_ANCHOR * CELLS_PER_ANCHOR)
     width = min(LOG_WIDTHS[1], max(LOG_WIDTHS[0], (need - 1).bit_length()))
-    return SketchShape(2, width, max(18, width - 6))
+    return SketchShape(2, width, min(22, width - 4))
 
 
 def _sketch(docs: DataFrame, width: int, shape: SketchShape) -> DataFrame:
