@@ -104,3 +104,51 @@ def encoder(path: str) -> PieceEncoder:
     if path not in _encoders:
         _encoders[path] = PieceEncoder(path)
     return _encoders[path]
+
+
+class RankEncoder:
+    """The same ids from the same vocabulary given as byte ranks, at under half the library's cost.
+
+    Every CHECK_EACH-th text goes through the library as well, and a difference is an error. Texts whose white
+    space runs exceed what the pattern engine here can backtrack over go to the library alone.
+    """
+
+    def __init__(self, json_path: str, ranks_path: str):
+        import base64
+
+        import public_tokenizers
+        import tiktoken
+
+        with open(ranks_path, "rb") as f:
+            ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
+        self.special = {SPECIAL}
+        self.core = tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={SPECIAL: len(ranks)})._core_bpe
+        self.json_path = json_path
+        self.seen = 0
+
+    def _library(self, text: str) -> bytes:
+        return np.array(library(self.json_path).encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        out = []
+        for text in texts:
+            if _LONG_RUN.search(text) is not None:
+                out.append(self._library(text))
+                continue
+            out.append(bytes(self.core.encode_to_tiktoken_buffer(text, self.special)) if text else b"")
+            self.seen += 1
+            if self.seen % CHECK_EACH == 1 and out[-1] != self._library(text):
+                raise ValueError("the two vocabulary files disagree on a text")
+        return out
+
+
+SPECIAL = "<|endoftext|>"  # fixed value: the vocabulary's one special string
+CHECK_EACH = 25
+_LONG_RUN = re.compile(r"\s{10000}|\w{20000}")
+_rank_encoders: dict[str, RankEncoder] = {}
+
+
+def rank_encoder(json_path: str, ranks_path: str) -> RankEncoder:
+    if ranks_path not in _rank_encoders:
+        _rank_encoders[ranks_path] = RankEncoder(json_path, ranks_path)
+    return _rank_encoders[ranks_path]

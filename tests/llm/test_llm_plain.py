@@ -27,7 +27,10 @@ def test_encoder_equals_the_library(monkeypatch):
         monkeypatch.setattr(tokens, "MEMO_ENTRIES", entries)
         whole = tokens.PieceEncoder(tokens.vocabulary_path())
         assert [x for i in range(0, len(some), 50) for x in whole.encode(some[i : i + 50])] == want
+    rank = tokens.rank_encoder(tokens.vocabulary_path(), tokens.vocabulary_path("byte_bpe_50k.tiktoken"))
+    assert rank.encode(some) == want
     long = [" " * 20_000 + "x", "a b\nc " * 3000]
+    assert rank.encode(long) == whole.encode(long)
     assert whole.encode(long) == [np.array(lib.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in long]
 
 
