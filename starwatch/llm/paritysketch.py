@@ -419,7 +419,7 @@ def all_degrees(docs: DataFrame, classes: DataFrame, links: DataFrame, comp: Dat
     """
     members = materialise(large.select(F.col("cls").alias("node")).distinct().join(comp, "node"), "tile-members")
     named = members.join(classes.select(F.col("cls").alias("node"), "first.doc_id", "first.mark"), "node")
-    texts = materialise(texts_of(docs, named.select(F.col("node").alias("cls"), "component", "doc_id", "mark"), "component"), "tile-texts")
+    texts = materialise(texts_of(docs, named.select(F.col("node").alias("cls"), "component", "doc_id", "mark"), members.count(), "component"), "tile-texts")
     pairs = in_tiles(texts, members.groupBy("component").agg(F.count(F.lit(1)).alias("size")), "component", "cls")
     inner = pairs.repartition("component", "p", "q").sortWithinPartitions("component", "p", "q").mapInArrow(_tile_links(k, percent), "node long, n long")
     a, b = (members.select(F.col("node").alias(x), F.lit(True).alias(f"_{x}")) for x in "ab")
@@ -429,10 +429,10 @@ def all_degrees(docs: DataFrame, classes: DataFrame, links: DataFrame, comp: Dat
     return out
 
 
-def texts_of(docs: DataFrame, named: DataFrame, *more: str) -> DataFrame:
+def texts_of(docs: DataFrame, named: DataFrame, most: int, *more: str) -> DataFrame:
     """(cls, text, ``more``) of classes named by (doc_id, mark). The names are written first, so that the planner
-    knows their size: a small table is sent to the documents, for a larger one both are shuffled."""
-    named = materialise(named, "text-names")
+    knows their size (``most`` rows): a small table is sent to the documents, for a larger one both are shuffled."""
+    named = materialise(named, "text-names", most)
     found = docs.join(named, docs.doc_id.eqNullSafe(named.doc_id) & (docs.mark == named.mark))
     return found.select("cls", "text", *more).dropDuplicates(["cls"])
 
@@ -489,29 +489,32 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
         free(*old)
     met = materialise(_keyed(docs.select("text"), k, bands, other).repartition("key").sortWithinPartitions("key", "cls").mapInArrow(_meet, "a long, b long, large boolean"), "sketch-meet")
 
-    def verified(pairs: DataFrame) -> DataFrame:
+    n_met = met.count()
+
+    def verified(pairs: DataFrame, most: int | None = None) -> DataFrame:
+        """The links among ``pairs``, of which there are ``most`` at most."""
         first = pairs.distinct().join(classes.select(F.col("cls").alias("a"), F.col("n").alias("n1"), F.col("sketch").alias("s1")), "a")
         near = first.join(classes.select(F.col("cls").alias("b"), F.col("n").alias("n2"), F.col("sketch").alias("s2")), "b").mapInArrow(_near(bands), "a long, b long")
-        near = materialise(near, "sketch-near")
+        near = materialise(near, "sketch-near", most)
         need = near.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
-        texts = materialise(texts_of(docs, classes.join(need, "cls").select("cls", "first.doc_id", "first.mark")), "sketch-texts")
+        texts = materialise(texts_of(docs, classes.join(need, "cls").select("cls", "first.doc_id", "first.mark"), 2 * near.count()), "sketch-texts")
         both = near.join(texts.select(F.col("cls").alias("a"), F.col("text").alias("t1")), "a").join(texts.select(F.col("cls").alias("b"), F.col("text").alias("t2")), "b")
-        out = materialise(both.select("a", "b", "t1", "t2").mapInArrow(_verify(k, percent), "a long, b long"), "sketch-links")
+        out = materialise(both.select("a", "b", "t1", "t2").mapInArrow(_verify(k, percent), "a long, b long"), "sketch-links")  # (texts pass here: many tasks)
         free(near, texts)
         return out
 
-    links = [verified(met.filter("a <> b").select("a", "b"))]
+    links = [verified(met.filter("a <> b").select("a", "b"), n_met)]
     # Larger groups with one leader are one group: near copies share many blocks, and so many groups.
-    large = materialise(met.filter("large").select(F.col("a").alias("key"), F.col("b").alias("cls")).distinct(), "sketch-large")
+    large = materialise(met.filter("large").select(F.col("a").alias("key"), F.col("b").alias("cls")).distinct(), "sketch-large", n_met)
     free(met)
     # Leaders may not link all that their group does: what is still apart is tried with its
     # nearest and then in full. Joined components need no more pairs, so little is left.
     comp = components(links[0])
     for nearest in (True, False):
         members = large.join(comp.withColumnRenamed("node", "cls"), "cls", "left").withColumn("component", F.coalesce("component", "cls"))
-        members = materialise(members, "sketch-members")
+        members = materialise(members, "sketch-members", n_met)
         split = members.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count(F.lit(1)).alias("size")).filter("x <> y").select("key", "size")
-        split = materialise(split, "sketch-split")
+        split = materialise(split, "sketch-split", n_met)
         if not split.limit(1).count():
             free(members, split)
             break
@@ -552,10 +555,11 @@ def _rows(docs: DataFrame, k: int, percent: int, id_col: str, text_col: str, eve
     slim = materialise(found.features.select("doc_id", "mark", F.col("n").alias("n_shingles"), "f1"), "sketch-rows")
     sizes = slim.filter("n_shingles > 0").groupBy("f1").agg(F.min("doc_id").alias("low"))
     named = sizes.join(found.comp.withColumnRenamed("node", "f1"), "f1", "left").withColumn("component", F.coalesce("component", "f1")).join(degree.withColumnRenamed("node", "f1"), "f1", "left")
-    named = materialise(named, "sketch-named")
+    n_classes = found.classes.count()
+    named = materialise(named, "sketch-named", n_classes)
     found.free()
     low = named.groupBy("component").agg(F.min("low").alias("component_id"))
-    by_class = materialise(named.join(low, "component").select("f1", "component", "component_id", "n_verified_links"), "sketch-groups")
+    by_class = materialise(named.join(low, "component").select("f1", "component", "component_id", "n_verified_links"), "sketch-groups", n_classes)
     free(named)
     out = slim.join(by_class.hint("merge"), "f1", "left")
     empty = F.col("n_shingles") == 0
