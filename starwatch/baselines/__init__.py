@@ -6,9 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model import Graph
-from ..operators.monitor import on_insert
-from ..operators.refine import as_rows, match_static
-from ..plans.joinorder import order_from
+from ..operators.refine import as_rows, match_static, seeds
+from ..plans.joinorder import anchored_orders, order_from
 from ..plans.patterns import Pattern, Patterns
 from ..storage import materialise
 
@@ -27,37 +26,83 @@ def recompute_diff(g: Graph, pattern: Pattern, times: list[int]) -> DataFrame:
 
 
 def delta_join(g: Graph, patterns: Patterns, t0: int, t1: int) -> DataFrame:
-    """Direct enumeration from each new edge over the raw adjacency: no candidates, order by degree only."""
-    return on_insert(g, patterns, t0, t1, None)
+    """Direct enumeration from each new edge over the raw adjacency, a join chain for every pattern
+    edge: no candidates, order by degree only."""
+    adj = g.adjacency()
+    fresh = adj.filter((F.col("born") > t0) & (F.col("born") <= t1))
+    out = None
+    for q, p in patterns:
+        for i, j, order in anchored_orders(p):
+            if not any((i, j) == e[:2] for e in p.edges):
+                continue
+            seed = seeds(fresh, patterns, [(q, p, order)], anchored=True).select(F.col("m")[0].alias(f"m{i}"), F.col("m")[1].alias(f"m{j}"), "born", "died", "anchor")
+            rows = as_rows(match_static(adj, p, order, seed=seed, before_anchor=True), p, q)
+            out = rows if out is None else out.unionAll(rows)
+    return out
 
 
 class PartialTree:
-    """Materialised prefixes of the pattern's edges; a new edge joins the stored prefix before it
-    and then the later edges. Insertions only."""
+    """Stored matches of the pattern's prefixes, in a fixed order of its positions. New edges join the stored
+    prefix before them, then what is new goes on to the next prefix. Insertions only."""
 
-    def __init__(self, g: Graph, pattern: Pattern):
-        self.g, self.pattern = g, pattern
+    def __init__(self, g: Graph, pattern: Pattern, t0: int = 0):
+        self.pattern, self.now = pattern, t0
         self.order = order_from(pattern, {}, [0])
-
-    def prefixes(self) -> list[DataFrame]:
-        """Matches of the first 1, 2, ... positions' induced sub-patterns, with lifetimes."""
-        out = []
-        for n in range(2, len(self.order) + 1):
-            keep = self.order[:n]
-            at = {x: i for i, x in enumerate(keep)}
-            sub = Pattern(f"{self.pattern.name}_{n}", tuple(self.pattern.labels[x] for x in keep), tuple((at[e[0]], at[e[1]], *e[2:]) for e in self.pattern.edges if e[0] in at and e[1] in at))
-            out.append(match_static(self.g.adjacency(), sub, list(range(n))))
+        adj = g.adjacency().filter(F.col("born") <= t0)
+        self.stored: list[DataFrame] = []
+        for n in range(1, len(self.order)):
+            rows = self._edges(adj, n) if n == 1 else self._extend(self.stored[-1], adj, n)
+            self.stored.append(materialise(rows, "prefix"))
+
+    def _back(self, n: int) -> list[int]:
+        return [y for y in self.order[:n] if y in self.pattern.neighbours(self.order[n])]
+
+    def _between(self, adj: DataFrame, a: int, b: int) -> DataFrame:
+        p = self.pattern
+        e = adj.filter((F.col("src_label") == p.labels[a]) & (F.col("dst_label") == p.labels[b]))
+        want = p.edge_label(a, b)
+        e = e.filter(F.col("elabel") == want) if want is not None else e
+        return e.select(F.col("src").alias(f"m{a}"), F.col("dst").alias(f"m{b}"), F.col("born").alias("_b"), F.col("died").alias("_d"))
+
+    def _edges(self, adj: DataFrame, n: int) -> DataFrame:
+        return self._between(adj, self.order[0], self.order[1]).withColumnsRenamed({"_b": "born", "_d": "died"})
+
+    def _extend(self, prefix: DataFrame, adj: DataFrame, n: int, new: DataFrame | None = None, which: int = 0) -> DataFrame:
+        """``prefix`` with position ``n``. With ``new``, its edge number ``which`` comes from the new edges, those
+        before from the old ones and those after from all, so each match comes once."""
+        x, out = self.order[n], prefix
+        for k, y in enumerate(self._back(n)):
+            source = adj if new is None or k > which else new if k == which else adj.filter(F.col("born") <= self.now)
+            out = out.join(self._between(source, y, x), [f"m{y}"] if k == 0 else [f"m{y}", f"m{x}"])
+            out = out.withColumn("born", F.greatest("born", "_b")).withColumn("died", F.least("died", "_d")).drop("_b", "_d").filter("born < died")
+        for y in self.order[:n]:
+            if self.pattern.labels[y] == self.pattern.labels[x]:
+                out = out.filter(F.col(f"m{y}") != F.col(f"m{x}"))
         return out
 
-    def answers(self, t0: int, t1: int) -> DataFrame:
-        if self.g.edge_life.filter((F.col("died") > t0) & (F.col("died") <= t1)).limit(1).count():
+    def advance(self, g: Graph, t1: int) -> DataFrame:
+        """Answers born in (now, t1]; the stored prefixes move on to ``t1``."""
+        if g.edge_life.filter((F.col("died") > self.now) & (F.col("died") <= t1)).limit(1).count():
             raise NotImplementedError("the partial-result tree has no deletions")
-        last = self.prefixes()[-1]
-        back = [F.col(f"m{self.order.index(i)}") for i in range(len(self.order))]
-        return last.filter((F.col("born") > t0) & (F.col("born") <= t1)).select(F.lit(0).alias("query_id"), F.array(*back).alias("m"), "born", "died")
+        adj = g.adjacency().filter(F.col("born") <= t1)
+        new = adj.filter(F.col("born") > self.now)
+        fresh: DataFrame | None = None
+        for n in range(1, len(self.order)):
+            if n == 1:
+                more = self._edges(new, 1)
+            else:
+                more = self._extend(fresh, adj, n)
+                for k in range(len(self._back(n))):
+                    more = more.unionByName(self._extend(self.stored[n - 2], adj, n, new, k))
+            before, fresh = fresh, materialise(more, "prefix-new")
+            if before is not None:
+                self.stored[n - 2] = materialise(self.stored[n - 2].unionByName(before), "prefix")
+        self.stored[-1] = materialise(self.stored[-1].unionByName(fresh), "prefix")
+        self.now = t1
+        return as_rows(fresh, self.pattern, 0)
 
     def stored_rows(self) -> int:
-        return sum(x.count() for x in self.prefixes())
+        return sum(x.count() for x in self.stored)
 
 
 def _semi_join_program(adj: DataFrame, pattern: Pattern, edges: list[tuple[int, int]], rounds: int) -> DataFrame:

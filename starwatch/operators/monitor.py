@@ -14,50 +14,48 @@ from ..plans.patterns import Patterns, embed_patterns
 from ..storage import materialise
 from .bands import degree_boxes_for
 from .prune import candidates
-from .refine import as_rows, lifetimes, match_all_static, match_levels, match_static
-from .stars import neighbour_sums, peak_histogram
+from .refine import OUT, as_rows, lifetimes, match_all_static, match_levels, match_plans, match_static, seeds
+from .stars import neighbour_sums
 
 
 def peak_candidates(g: Graph, patterns: Patterns, p: BuildParams, t0: int, t1: int) -> DataFrame:
-    """cand(query_id, qv, v) from the largest stars of an epoch: a superset of the candidates at
-    any time in it, as corners and boxes only widen with more neighbours. Upper bounds only
-    (a star smaller at some time has smaller sums), degree and label exact."""
-    hist = peak_histogram(g, t0, t1)
+    """cand(query_id, qv, v): a superset of the candidates at any time in [t0, t1] among the ends of edges that
+    are born in it. Corners and boxes only widen with more neighbours, so they are taken from all
+    edges a vertex has in that time; labels are exact. Other vertices are not judged and not read."""
+    adj = g.adjacency().filter((F.col("born") <= t1) & (F.col("died") > t0))
+    ends = adj.filter(F.col("born") > t0).select("src").distinct()
+    hist = adj.join(ends, "src", "left_semi").groupBy(F.col("src").alias("v"), F.col("dst_label").alias("nlabel")).agg(F.count(F.lit(1)).cast("int").alias("cnt"))
     vertices = g.vertices if g.vertex_life is None else g.vertex_life.select("v", "label").distinct()
+    hist = materialise(hist, "peak-hist")
     d = label_dict(vertices, p)
     star = vertices.join(neighbour_sums(hist, d, p), "v").join(F.broadcast(d), "label").select("v", "label", "deg", *embedding_columns(p))
     q = patterns.hinted(embed_patterns(star.sparkSession, patterns, p).withColumnRenamed("label", "q_label").withColumnRenamed("deg", "q_deg"))
     test = (F.col("label") == F.col("q_label")) & (F.col("deg") >= F.col("q_deg")) & all_of([F.col(f"q{k}") <= F.col(f"e{k}") for k in p.dims])
-    first = star.join(q, test)
+    first = materialise(star.join(q, test), "peak-first")
     boxes = degree_boxes_for(hist, star, first.select("v", F.col("q_deg").alias("delta")).distinct(), p)
     top = boxes.select("v", F.col("delta").alias("q_deg"), *[f"hi{k}" for k in p.dims])
     return first.join(top, ["v", "q_deg"]).filter(all_of([F.col(f"q{k}") <= F.col(f"hi{k}") for k in p.dims])).select("query_id", "qv", "v")
 
 
-def on_insert(g: Graph, patterns: Patterns, t0: int, t1: int, cand: DataFrame | None = None) -> DataFrame:
+def on_insert(g: Graph, patterns: Patterns, t0: int, t1: int, cand: DataFrame | None = None, live: set[int] | None = None, counts: dict[int, dict[int, int]] | None = None) -> DataFrame:
     """Answers born in (t0, t1]: every new edge starts each pattern edge it fits, both ways round.
 
-    A match belongs to its newest edge: all its other edges are older than the anchor, which keeps
-    the order of updates within an epoch without going through them one by one.
+    A match belongs to its newest edge by (born, u, v): all its other edges are older than the anchor, which
+    keeps the order of updates within an epoch without going through them one by one. ``cand`` holds the ends
+    of new edges that may take part; pairs without both ends in it start nothing. All patterns and pattern edges
+    advance in one plan, from ``counts`` (sizes of candidate sets) in order of the fewest candidates. ``live``: the query ids to answer.
     """
     adj = g.adjacency()
     fresh = adj.filter((F.col("born") > t0) & (F.col("born") <= t1))
-    out = None
+    plans = []
     for q, p in patterns:
-        mine = cand.filter(F.col("query_id") == q).select("qv", "v") if cand is not None else None
-        for i, j, order in anchored_orders(p):
-            if not any((i, j) == e[:2] for e in p.edges):
-                continue  # adj holds both directions of a data edge, so one of the pattern edge serves
-            seed = fresh.filter((F.col("src_label") == p.labels[i]) & (F.col("dst_label") == p.labels[j]))
-            el = p.edge_label(i, j)
-            seed = seed.filter(F.col("elabel") == el) if el is not None else seed
-            seed = seed.select(F.col("src").alias(f"m{i}"), F.col("dst").alias(f"m{j}"), "born", "died", F.col("born").alias("anchor"))
-            if mine is not None:
-                for x in (i, j):
-                    seed = seed.join(mine.filter(F.col("qv") == x).select(F.col("v").alias(f"m{x}")), f"m{x}", "left_semi")
-            rows = as_rows(match_static(adj, p, order, mine, seed=seed, before_anchor=True), p, q)
-            out = rows if out is None else out.unionAll(rows)
-    return out
+        if live is not None and q not in live:
+            continue
+        # adj holds both directions of a data edge, so one of each pattern edge serves
+        plans += [(q, p, order) for i, j, order in anchored_orders(p, (counts or {}).get(q)) if any((i, j) == e[:2] for e in p.edges)]
+    if not plans:
+        return fresh.sparkSession.createDataFrame([], OUT)
+    return match_plans(adj, patterns, plans, seed=seeds(fresh, patterns, plans, cand, anchored=True))
 
 
 def answer_edges(answers: DataFrame, patterns: Patterns) -> DataFrame:
@@ -86,14 +84,15 @@ class Delta:
 class Monitor:
     """Keeps the answers of registered patterns over epochs of updates.
 
-    ``apply`` takes the raw updates of one epoch (any size); its cost is a fixed number of
-    stages. State is written tables, one version per epoch.
+    ``apply`` takes the raw updates of one epoch (any size); its number of stages grows with the largest
+    pattern, not with the number of patterns or updates. State is written tables, one version per epoch.
     """
 
     def __init__(self, initial: DataFrame | None, vertices: DataFrame, patterns: Patterns, params: BuildParams | None = None, prune: bool = True):
         self.vertices, self.patterns, self.params, self.prune = vertices, patterns, params or BuildParams(), prune
         self.initial = initial
         self.now = 0
+        self.live = {q for q, _ in patterns}
         self.updates: DataFrame | None = None
         self.edge_life = materialise(edge_lifetimes(initial, self._none()), "edge-life")
         self.state = materialise(lifetimes(self.graph, patterns), "answers")
@@ -121,7 +120,8 @@ class Monitor:
         t0, t1 = self.now, last
         g = self.graph
         cand = materialise(peak_candidates(g, self.patterns, self.params, t0, t1), "peak") if self.prune else None
-        added = materialise(on_insert(g, self.patterns, t0, t1, cand), "added")
+        counts = candidate_counts(cand) if self.prune else None
+        added = materialise(on_insert(g, self.patterns, t0, t1, cand, self.live, counts), "added")
         removed = materialise(on_delete(self.state, clean.filter("op = '-'"), self.patterns), "removed")
         ended = self.state.join(removed.select("query_id", "m", "born", F.col("died").alias("_d")), ["query_id", "m", "born"], "left")
         self.state = materialise(ended.withColumn("died", F.coalesce("_d", "died")).drop("_d").select("query_id", "m", "born", "died").unionByName(added), "answers")
@@ -135,16 +135,18 @@ class Monitor:
         return self.state.filter((F.col("born") <= t) & (F.col("died") > t)).select("query_id", "m")
 
     def register(self, pattern) -> int:
-        """A new pattern, answered on the graph as it is now; returns its query id."""
+        """A new pattern, answered as if it had always stood: with the times at which its matches
+        came and went. Returns its query id."""
         q = len(self.patterns)
         self.patterns = Patterns([*self.patterns.items, pattern])
-        now = self.graph.snapshot(self.now)
-        rows = as_rows(match_static(now.adjacency(), pattern), pattern, q)
+        self.live.add(q)
+        rows = as_rows(match_static(self.graph.adjacency(), pattern), pattern, q)
         self.state = materialise(self.state.unionByName(rows), "answers")
         return q
 
     def unregister(self, query_id: int) -> None:
-        """The pattern's answers go; its query id is not used again."""
+        """The pattern's answers go, and none come any more; its query id is not used again."""
+        self.live.discard(query_id)
         self.state = materialise(self.state.filter(F.col("query_id") != query_id), "answers")
 
     def stats(self) -> DataFrame:

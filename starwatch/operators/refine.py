@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..model import ALIVE, Graph
+from ..storage import materialise
 from ..plans.joinorder import candidate_counts, join_orders, order_from, plan_steps, steps_of
 from ..plans.patterns import Pattern, Patterns
 
@@ -30,13 +31,22 @@ def _distinct_from(pattern: Pattern, x: int, placed: list[int]) -> list[Column]:
     return [F.col(f"m{x}") != F.col(f"m{y}") for y in placed if pattern.labels[y] == pattern.labels[x]]
 
 
+#: Edges are ordered by (born, u, v): edges that share a time of birth are told apart by their ends.
+def edge_name(name: str) -> Column:
+    return F.struct(F.col("born").alias("born"), F.least("src", "dst").alias("u"), F.greatest("src", "dst").alias("v")).alias(name)
+
+
+#: An edge is older than the anchor, and alive when the anchor is born.
+OLDER = "_n < anchor AND _d > anchor.born"
+
+
 def match_static(adj: DataFrame, pattern: Pattern, order: list[int] | None = None, cand: DataFrame | None = None, semantics: str = "iso", seed: DataFrame | None = None, before_anchor: bool = False) -> DataFrame:
     """m0..mk, born, died of all matches of one pattern, by one chain of equi-joins.
 
     semantics: ``iso`` (injective), ``homo`` (positions may coincide) or ``induced`` (no further
     edges between matched vertices). ``cand(qv, v)`` restricts each position by a semi-join. ``seed``
     (m_a, m_b, born, died and more) starts from given pairs for the first two positions of
-    ``order``; with ``before_anchor`` every other edge must be born before the seed's edge (column ``anchor``).
+    ``order``; with ``before_anchor`` every other edge must be older than the seed's edge (column ``anchor``).
     """
     order = order or order_from(pattern, {}, [0])
     steps = steps_of(pattern, order)
@@ -55,7 +65,7 @@ def match_static(adj: DataFrame, pattern: Pattern, order: list[int] | None = Non
         if frozenset((a, b)) in done:
             continue
         done.add(frozenset((a, b)))
-        e = _edge(adj, pattern, a, b).select(F.col("src").alias(f"m{a}"), F.col("dst").alias(f"m{b}"), F.col("born").alias("_b"), F.col("died").alias("_d"))
+        e = _edge(adj, pattern, a, b).select(F.col("src").alias(f"m{a}"), F.col("dst").alias(f"m{b}"), F.col("born").alias("_b"), F.col("died").alias("_d"), *([edge_name("_n")] if before_anchor else []))
         if state is None:
             state = allowed(allowed(e.withColumnRenamed("_b", "born").withColumnRenamed("_d", "died"), a), b)
             placed = [a, b]
@@ -66,7 +76,7 @@ def match_static(adj: DataFrame, pattern: Pattern, order: list[int] | None = Non
         keys = [f"m{a}"] if kind == "expand" else [f"m{a}", f"m{b}"]
         state = state.join(e, keys)
         if before_anchor:
-            state = state.filter((F.col("_b") < F.col("anchor")) & (F.col("_d") > F.col("anchor")))
+            state = state.filter(OLDER).drop("_n")
         state = state.withColumn("born", F.greatest("born", "_b")).withColumn("died", F.least("died", "_d")).drop("_b", "_d").filter("born < died")
         if kind == "expand":
             if semantics != "homo":
@@ -75,14 +85,22 @@ def match_static(adj: DataFrame, pattern: Pattern, order: list[int] | None = Non
             state = allowed(state, b)
             placed.append(b)
     if semantics == "induced":
-        # snapshot semantics: an absent pattern edge must be absent in the data
         for a, b in combinations(range(len(pattern.labels)), 2):
             if b not in pattern.neighbours(a):
-                e = adj.select(F.col("src").alias(f"m{a}"), F.col("dst").alias(f"m{b}"))
-                state = state.join(e, [f"m{a}", f"m{b}"], "left_anti")
+                state = without_edge(state, adj, f"m{a}", f"m{b}", [f"m{i}" for i in range(len(pattern.labels))])
     return state
 
 
+def without_edge(state: DataFrame, adj: DataFrame, a: str, b: str, key: list[str]) -> DataFrame:
+    """``state`` (``key``, born, died) without the times at which an edge joins ``a`` and ``b``: a match is
+    split into the parts of its life outside the lives of that edge."""
+    e = adj.select(F.col("src").alias(a), F.col("dst").alias(b), F.col("born").alias("_b"), F.col("died").alias("_d"))
+    met = state.join(e, [a, b], "left").withColumn("_cut", F.when((F.col("_b") < F.col("died")) & (F.col("_d") > F.col("born")), F.struct("_b", "_d")))
+    lives = met.groupBy(*key, "born", "died").agg(F.sort_array(F.collect_list("_cut")).alias("_cuts"))  # lives of one edge do not overlap
+    gaps = F.expr("transform(sequence(0, size(_cuts)), i -> struct(greatest(born, if(i = 0, born, get(_cuts, i - 1)._d)) AS b, least(died, if(i = size(_cuts), died, get(_cuts, i)._b)) AS d))")
+    return lives.withColumn("_gap", F.explode(gaps)).filter("_gap.b < _gap.d").select(*key, F.col("_gap.b").alias("born"), F.col("_gap.d").alias("died"))
+
+
 def as_rows(matches: DataFrame, pattern: Pattern, query_id: int) -> DataFrame:
     return matches.select(F.lit(query_id).alias("query_id"), F.array(*[F.col(f"m{i}") for i in range(len(pattern.labels))]).alias("m"), "born", "died")
 
@@ -98,52 +116,74 @@ def match_all_static(adj: DataFrame, patterns: Patterns, orders: dict[int, list[
 
 
 def match_levels(adj: DataFrame, patterns: Patterns, orders: dict[int, list[int]] | None = None, cand: DataFrame | None = None) -> DataFrame:
-    """The same for many patterns at once: all of them advance together, a join per level.
+    """The same for many patterns at once: all of them advance together, a join per level."""
+    orders = orders or join_orders(patterns, {})
+    return match_plans(adj, patterns, [(q, p, orders[q]) for q, p in patterns], cand)
 
-    The number of shuffles is the largest number of pattern edges, whatever the number of patterns.
-    ``m`` grows in join order; the last step puts it back into position order.
+
+def seeds(fresh: DataFrame, patterns: Patterns, plans: list[tuple[int, Pattern, list[int]]], cand: DataFrame | None = None, anchored: bool = False) -> DataFrame:
+    """(pid, query_id, m, born, died) of the directed edges that fit the first two positions of the
+    plans, all at once; ``pid`` numbers the plans, and ``anchor`` names the edge."""
+    rows = [(n, q, o[0], o[1], p.labels[o[0]], p.labels[o[1]], p.edge_label(o[0], o[1])) for n, (q, p, o) in enumerate(plans)]
+    plan = patterns.hinted(fresh.sparkSession.createDataFrame(rows, "pid int, query_id int, qi int, qj int, src_label int, dst_label int, want int"))
+    hit = fresh.join(plan, ["src_label", "dst_label"]).filter("want IS NULL OR want = elabel")
+    for pos, end in (("qi", "src"), ("qj", "dst")) if cand is not None else ():
+        hit = hit.join(cand.select("query_id", F.col("qv").alias(pos), F.col("v").alias(end)), ["query_id", pos, end], "left_semi")
+    extra = [edge_name("anchor")] if anchored else []
+    return hit.select("pid", "query_id", F.array("src", "dst").alias("m"), "born", "died", *extra)
+
+
+def match_plans(adj: DataFrame, patterns: Patterns, plans: list[tuple[int, Pattern, list[int]]], cand: DataFrame | None = None, seed: DataFrame | None = None) -> DataFrame:
+    """answers(query_id, m, born, died) of plans (query id, pattern, order), all advancing together.
+
+    The number of shuffles is the largest number of pattern edges, whatever the number of plans. ``seed`` gives
+    the matches of each plan's first two positions (see ``seeds``); with a column ``anchor`` all other edges must be older.
+    An expanding step joins on (vertex, wanted label), a closing one on both ends: the adjacency stands
+    twice, once without and once with the far end as a key, so that hubs are not opened to close a cycle.
+    The state is written where a plan ends, so that no level is worked out twice.
     """
     spark = adj.sparkSession
-    orders = orders or join_orders(patterns, {})
-    place = {q: {x: n for n, x in enumerate(o)} for q, o in orders.items()}
+    place = [{x: n for n, x in enumerate(o)} for _, _, o in plans]
     steps: dict[int, list[tuple]] = {}
-    for q, p in patterns:
-        for n, (kind, a, b) in enumerate(steps_of(p, orders[q])[1:]):
-            el = p.edge_label(a, b)
-            steps.setdefault(n, []).append((q, kind, place[q][a], place[q][b], b, p.labels[a], p.labels[b], el))
-    schema = "query_id int, kind string, from_at int, to_at int, to_pos int, from_label int, to_label int, want_elabel int"
-    finished = None
-    state = None
-    for n in sorted(steps):
-        plan = patterns.hinted(spark.createDataFrame(steps[n], schema))
-        fits = (F.col("src_label") == F.col("from_label")) & (F.col("dst_label") == F.col("to_label"))
-        fits = fits & (F.col("want_elabel").isNull() | (F.col("elabel") == F.col("want_elabel")))
-        e = adj.select("src", "dst", "src_label", "dst_label", "elabel", F.col("born").alias("_b"), F.col("died").alias("_d"))
-        if state is None:
-            rows = e.join(plan, fits).filter("src <> dst").select("query_id", F.array("src", "dst").alias("m"), F.col("_b").alias("born"), F.col("_d").alias("died"), "to_pos")
-            if cand is not None:
-                starts = spark.createDataFrame([(q, o[0]) for q, o in orders.items()], "query_id int, first_pos int")
-                rows = rows.join(patterns.hinted(starts), "query_id")
-                first = cand.select("query_id", F.col("qv").alias("first_pos"), F.col("v").alias("_v"))
-                rows = rows.withColumn("_v", F.col("m")[0]).join(first, ["query_id", "first_pos", "_v"], "left_semi").drop("_v", "first_pos")
-        else:
-            todo = state.join(plan, "query_id").withColumn("src", F.expr("get(m, from_at)")).withColumn("_t", F.expr("get(m, to_at)"))
-            hit = todo.join(e, "src").filter(fits & ((F.col("kind") == "expand") & ~F.array_contains("m", F.col("dst")) | (F.col("kind") == "close") & (F.col("_t") == F.col("dst"))))
+    last: dict[int, int] = {}
+    for pid, (_, p, o) in enumerate(plans):
+        todo = steps_of(p, o)[2:]
+        last[pid] = len(todo)
+        for n, (kind, a, b) in enumerate(todo, 1):
+            steps.setdefault(n, []).append((pid, kind == "close", place[pid][a], place[pid][b], b, p.labels[a], p.labels[b], p.edge_label(a, b)))
+    state = seed if seed is not None else seeds(adj, patterns, plans, cand)
+    anchored = "anchor" in state.columns
+    extra = ["anchor"] if anchored else []
+    keys = adj.select(F.col("src").alias("_from"), F.col("dst").alias("_to"), F.col("src_label").alias("from_label"), F.col("dst_label").alias("to_label"), "elabel", F.col("born").alias("_b"), F.col("died").alias("_d"), *([edge_name("_n")] if anchored else []))
+    finished: list[DataFrame] = []
+    for n in range(len(steps) + 1):
+        if n:
+            closing = {x[1] for x in steps[n]}
+            plan = patterns.hinted(spark.createDataFrame(steps[n], "pid int, close boolean, from_at int, to_at int, to_pos int, from_label int, to_label int, want int"))
+            far = {False: keys.withColumn("_far", F.lit(-1).cast("long")), True: keys.withColumn("_far", F.col("_to"))}
+            e = far[closing.pop()] if len(closing) == 1 else far[False].unionAll(far[True])
+            todo = state.join(plan, "pid").withColumn("_from", F.expr("get(m, from_at)")).withColumn("_far", F.when(F.col("close"), F.expr("get(m, to_at)")).otherwise(F.lit(-1)))
+            hit = todo.join(e, ["_from", "from_label", "to_label", "_far"]).filter("want IS NULL OR want = elabel").filter(F.col("close") | ~F.array_contains("m", F.col("_to")))
+            if anchored:
+                hit = hit.filter(OLDER)
             born, died = F.greatest("born", "_b"), F.least("died", "_d")
-            rows = hit.filter(born < died).select("query_id", F.when(F.col("kind") == "expand", F.array_append("m", F.col("dst"))).otherwise(F.col("m")).alias("m"), born.alias("born"), died.alias("died"), F.when(F.col("kind") == "expand", F.col("to_pos")).alias("to_pos"))
-        if cand is not None:
-            c = cand.select("query_id", F.col("qv").alias("to_pos"), F.col("v").alias("_v"))
-            closing = rows.filter("to_pos IS NULL") if state is not None else None
-            rows = rows.filter("to_pos IS NOT NULL").withColumn("_v", F.element_at("m", -1)).join(c, ["query_id", "to_pos", "_v"], "left_semi").drop("_v")
-            rows = rows.unionByName(closing) if closing is not None else rows
-        state = rows.drop("to_pos")
-        over = [q for q, p in patterns if len(steps_of(p, orders[q])) - 2 == n]
-        if over:
-            ready = state.filter(F.col("query_id").isin(over))
-            finished = ready if finished is None else finished.unionAll(ready)
-            state = state.filter(~F.col("query_id").isin(over))
-    back = spark.createDataFrame([(q, [place[q][x] for x in range(len(o))]) for q, o in orders.items()], "query_id int, at array<int>")
-    return finished.join(patterns.hinted(back), "query_id").select("query_id", F.expr("transform(at, i -> get(m, i))").alias("m"), "born", "died")
+            rows = hit.filter(born < died).select("pid", "query_id", F.when(F.col("close"), F.col("m")).otherwise(F.array_append("m", F.col("_to"))).alias("m"), born.alias("born"), died.alias("died"), *extra, F.when(~F.col("close"), F.col("_to")).alias("_v"), "to_pos")
+            if cand is not None and not all(x[1] for x in steps[n]):
+                c = cand.select("query_id", F.col("qv").alias("to_pos"), F.col("v").alias("_v"), F.lit(True).alias("_in"))
+                rows = rows.join(c, ["query_id", "to_pos", "_v"], "left").filter("_v IS NULL OR _in").drop("_in")
+            state = rows.select("pid", "query_id", "m", "born", "died", *extra)
+        over = [pid for pid, k in last.items() if k == n]
+        if over and n < len(steps):
+            state = materialise(state, f"level-{n}")
+            finished.append(state.filter(F.col("pid").isin(over)))
+            state = state.filter(~F.col("pid").isin(over))
+    finished.append(state)
+    back = patterns.hinted(spark.createDataFrame([(pid, [at[x] for x in range(len(at))]) for pid, at in enumerate(place)], "pid int, at array<int>"))
+    done = [x.select("pid", "query_id", "m", "born", "died") for x in finished]
+    out = done[0]
+    for x in done[1:]:
+        out = out.unionAll(x)
+    return out.join(back, "pid").select("query_id", F.expr("transform(at, i -> get(m, i))").alias("m"), "born", "died")
 
 
 def match_intersect(adj: DataFrame, pattern: Pattern, order: list[int] | None = None) -> DataFrame:
@@ -191,11 +231,11 @@ def delta_at(answers: DataFrame, t0: int, t1: int) -> DataFrame:
     return added.unionAll(gone)
 
 
-def directed_only(matches: DataFrame, pattern: Pattern, adj: DataFrame) -> DataFrame:
-    """Matches of which every pattern edge (i, j) runs along a data edge stored in that direction."""
+def directed_only(matches: DataFrame, pattern: Pattern, arcs: DataFrame) -> DataFrame:
+    """Matches of which every pattern edge (i, j) runs along an arc (src, dst), one way only."""
     out = matches
     for a, b, *_ in pattern.edges:
-        e = adj.filter("forward").select(F.col("src").alias(f"m{a}"), F.col("dst").alias(f"m{b}")).distinct()
+        e = arcs.select(F.col("src").alias(f"m{a}"), F.col("dst").alias(f"m{b}")).distinct()
         out = out.join(e, [f"m{a}", f"m{b}"], "left_semi")
     return out
 

@@ -156,10 +156,11 @@ def match_select(p: Pattern, semantics: str = "iso", source: str = "adj") -> str
     where += edges[0][1]
     if semantics != "homo":
         where += [f"{where_is[i]} <> {where_is[j]}" for i in range(len(p.labels)) for j in range(i) if p.labels[i] == p.labels[j]]
-    if semantics == "induced":
-        where += [f"NOT EXISTS (SELECT 1 FROM {source} z WHERE z.src = {where_is[i]} AND z.dst = {where_is[j]})" for i in range(len(p.labels)) for j in range(i) if j not in p.neighbours(i)]
     born = f"greatest({', '.join(a + '.born' for a, _ in edges)})" if len(edges) > 1 else f"{edges[0][0]}.born"
     died = f"least({', '.join(a + '.died' for a, _ in edges)})" if len(edges) > 1 else f"{edges[0][0]}.died"
+    if semantics == "induced":  # on a stream without deletions: a forbidden edge ends the match when it comes
+        ends = [f"coalesce((SELECT min(z.born) FROM {source} z WHERE z.src = {where_is[i]} AND z.dst = {where_is[j]}), {ALIVE})" for i in range(len(p.labels)) for j in range(i) if j not in p.neighbours(i)]
+        died = f"least({died}, {', '.join(ends)})" if ends else died
     cols = ", ".join(f"{where_is[i]} AS m{i}" for i in range(len(p.labels)))
     return f"SELECT {cols}, {born} AS born, {died} AS died FROM {joins} WHERE {' AND '.join(where)} AND {born} < {died}"
 

@@ -15,6 +15,7 @@ from .functions.arithmetic import normal_cdf
 from .functions.vectors import label_dict
 from .model import ALIVE, BuildParams, Graph, edge_lifetimes, graph_stats, insertion_cases, normalise_updates, split_label, validate_graph
 from .operators import bands, batchgroups, monitor, prune, refine, stars, synopsis
+from .plans.joinorder import candidate_counts
 from .plans.patterns import Patterns, embed_patterns, parse, trade_pattern
 from .sources import synth, views
 from .storage import materialise
@@ -377,11 +378,22 @@ def match_square_subgraphs(spark, d):
     return refine.subgraphs(refine.match_static(trade(spark, d).adjacency(), p), p).select("m0", "m1", "m2", "m3")
 
 
-@query("match_directed", o.with_(BASE, f"m AS ({o.match_select(trade_pattern('triangle'))}),\n", select="SELECT m0, m1, m2 FROM m WHERE m0 < m1 AND m1 < m2 AND m0 < m2"))
-def match_directed(spark, d):
-    p = trade_pattern("triangle")
-    adj = trade(spark, d).adjacency()
-    return refine.directed_only(refine.match_static(adj, p), p, adj).select("m0", "m1", "m2")
+_ARC = "EXISTS (SELECT 1 FROM te WHERE te.a = m.m{0} AND te.b = m.m{1})"
+
+
+def _directed_query(name: str, pattern):
+    want = " AND ".join(_ARC.format(i, j) for i, j, *_ in pattern.edges)
+    cols = [f"m{i}" for i in range(len(pattern.labels))]
+
+    @query(name, o.with_(BASE, f"m AS ({o.match_select(pattern)}),\n", select=f"SELECT {', '.join(cols)} FROM m WHERE {want}"))
+    def run(spark, d):
+        arcs = edges_of(spark, d).select(F.col("a").alias("src"), F.col("b").alias("dst"))
+        return refine.directed_only(refine.match_static(trade(spark, d).adjacency(), pattern), pattern, arcs).select(*cols)
+
+
+#: Edges run from customers to parts and suppliers, and from parts to suppliers.
+_directed_query("match_directed", parse("directed", "a:1-b:6, b-c:12, a-c"))
+_directed_query("match_directed_against", parse("against", "a:1-b:6, c:12-b, a-c"))
 
 
 @query("match_with_loop", o.with_(BASE, f"m AS ({o.match_select(trade_pattern('triangle'))}),\n", select="SELECT m0, m1, m2 FROM m WHERE m0 % 3 = 0"))
@@ -435,7 +447,7 @@ def delta_at_t(spark, d):
 def delta_insert_only(spark, d):
     g = trade(spark, d)
     cand = materialise(monitor.peak_candidates(g, CORE, D, 0, ALIVE - 1), "peak")
-    return _text(monitor.on_insert(g, CORE, 0, ALIVE - 1, cand).select("query_id", "m"))
+    return _text(monitor.on_insert(g, CORE, 0, ALIVE - 1, cand, counts=candidate_counts(cand)).select("query_id", "m"))
 
 
 @query("delta_delete_only", _rows_sql(f"died < {ALIVE}", o.DELETED))
@@ -494,7 +506,7 @@ def bl_delta_join(spark, d):
 
 @query("bl_partial_tree", o.with_(BASE, f"a AS ({o.match_select(trade_pattern('star3'))}),\n", select="SELECT m0, m1, m2, m3 FROM a WHERE born > 0"))
 def bl_partial_tree(spark, d):
-    rows = baselines.PartialTree(trade(spark, d), trade_pattern("star3")).answers(0, ALIVE - 1)
+    rows = baselines.PartialTree(trade(spark, d), trade_pattern("star3")).advance(trade(spark, d), ALIVE - 1)
     return rows.select(*[F.col("m")[i].alias(f"m{i}") for i in range(4)])
 
 

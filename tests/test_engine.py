@@ -81,7 +81,7 @@ def test_intersect_and_baselines_agree(micro):
         for kind in ("tree", "dag") if len(p.edges) < 4 else ():
             assert {tuple(r.m) for r in baselines.indexed_answers(g, p, None, kind).collect()} == want
     with pytest.raises(NotImplementedError):
-        baselines.PartialTree(g, PATTERNS.items[0]).answers(0, 50)
+        baselines.PartialTree(g, PATTERNS.items[0]).advance(g, 50)
     with pytest.raises(ValueError):
         baselines.acyclic_reduce(adj, PATTERNS.items[0])
 
