@@ -80,6 +80,6 @@ def label_frequency(hist: DataFrame, star: DataFrame, patterns: Patterns) -> Dat
 
 
 def update_candidates(cand: DataFrame, after: Index, patterns: Patterns, touched: DataFrame) -> DataFrame:
-    """Candidates after updates: only touched vertices are judged anew, in the index as it is now."""
-    fresh = candidates(after, patterns).join(touched, "v", "left_semi").select("query_id", "qv", "v")
+    """Candidates after updates: only the touched vertices' rows of the index as it is now are judged."""
+    fresh = candidates(after.of_vertices(touched), patterns)
     return cand.join(touched, "v", "left_anti").select("query_id", "qv", "v").unionByName(fresh)

@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+from copy import copy
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.vectors import embedding_columns, label_dict
 from ..model import BuildParams, Graph
 from ..storage import materialise
 from .bands import degree_bands, degree_boxes, upper_corners
-from .stars import neighbour_histogram, stars
+from .stars import neighbour_histogram, neighbour_sums, stars, update_histogram
 
 SENTINEL = (1 << 63) - 1
 
@@ -41,7 +44,7 @@ class Index:
     """Everything query answering reads: stars, bands, synopsis and boxes of one snapshot."""
 
     def __init__(self, g: Graph, p: BuildParams, deltas: DataFrame, t: int | None = None, bands: DataFrame | None = None, grid: DataFrame | None = None):
-        self.graph, self.params, self.t = g, p, t
+        self.graph, self.params, self.t, self.deltas = g, p, t, deltas
         self.hist = materialise(neighbour_histogram(g, t, p.elabel_weight), "hist")
         self.star = materialise(stars(g, p, t, self.hist), "star")
         runs = self.hist if not p.elabel_weight else self.hist.groupBy("v", "nlabel").agg(F.sum("cnt").cast("int").alias("cnt"))
@@ -51,6 +54,39 @@ class Index:
         self.synopsis = materialise(place_in_grid(self.corners, self.grid, p), "synopsis")
         self.boxes = materialise(degree_boxes(runs, self.star, deltas, p), "boxes")
 
+    def advance(self, ops: DataFrame, vertices: DataFrame | None = None) -> Index:
+        """The index after normalised updates (op, u, v), with the bands and the grid as they are.
+
+        Only the ends of updated edges are worked on: their counters are changed, and their stars, corners, cells
+        and boxes made anew from the counters; all other rows are carried over. ``vertices`` adds new ones.
+        """
+        p = self.params
+        if p.elabel_weight:
+            raise NotImplementedError("counters by edge label are not kept up")
+        vertices = self.graph.vertices if vertices is None else vertices
+        t = materialise(touched(ops), "touched")
+        hist = materialise(update_histogram(self.hist.join(t, "v", "left_semi"), ops, vertices), "hist-touched")
+        d = label_dict(vertices, p)
+        own = vertices.join(t, "v", "left_semi").select("v", "label")
+        sums = neighbour_sums(hist, d, p)
+        star = own.join(sums, "v", "left").fillna(0, ["deg", *[f"ns{k}" for k in range(p.d)]]).join(F.broadcast(d), "label")
+        star = materialise(star.select("v", "label", "deg", *[f"ns{k}" for k in range(p.d)], *embedding_columns(p)), "star-touched")
+        corners = materialise(upper_corners(hist, star, self.bands, p), "corners-touched")
+        fresh = {"hist": hist, "star": star, "corners": corners, "synopsis": place_in_grid(corners, self.grid, p), "boxes": degree_boxes(hist, star, self.deltas, p)}
+        out = copy(self)
+        out.graph, out.t, out.n_touched = Graph(vertices, self.graph.edge_life, name=self.graph.name), None, t.count()
+        for name, new in fresh.items():
+            old: DataFrame = getattr(self, name)
+            setattr(out, name, materialise(old.join(t, "v", "left_anti").unionByName(new.select(*old.columns)), name))
+        return out
+
+    def of_vertices(self, t: DataFrame) -> Index:
+        """The index's rows of some vertices (v)."""
+        out = copy(self)
+        for name in ("hist", "star", "corners", "synopsis", "boxes"):
+            setattr(out, name, getattr(self, name).join(t, "v", "left_semi"))
+        return out
+
     def cells(self) -> DataFrame:
         """One row per occupied cell, by band and falling key."""
         p = self.params
@@ -76,15 +112,6 @@ def touched(ops: DataFrame) -> DataFrame:
     return ops.select(F.explode(F.array("u", "v")).alias("v")).distinct()
 
 
-def maintain(index: Index, after: Index, ops: DataFrame) -> DataFrame:
-    """The synopsis after ``ops``: rows of touched vertices are replaced, all others kept.
-
-    ``after`` is built with the same bands and grid; only its rows of touched vertices are read.
-    """
-    t = touched(ops)
-    return index.synopsis.join(t, "v", "left_anti").unionByName(after.synopsis.join(t, "v", "left_semi"))
-
-
 def synopsis_space(star: DataFrame, p: BuildParams) -> DataFrame:
     """Scalars by the space formula: 2d per vertex and 5d per unit of degree (4d of boxes, d of
     lists), beside what is stored here: boxes for wanted degrees and label runs."""

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from .functions.arithmetic import EDGE, base_values, label_value
 from .model import ALIVE, BuildParams
 from .plans.joinorder import order_from, steps_of
@@ -132,6 +134,16 @@ def index_ctes(patterns: Patterns, p: BuildParams = D, t: str | None = "0") -> s
     return labels_cte(p) + snapshot_cte(t) + star_cte(p) + bands_cte(p.m) + corners_cte(p) + synopsis_cte(p) + boxes_cte("bx", wanted, p) + query_cte(patterns, p)
 
 
+def after_ctes(patterns: Patterns, p: BuildParams = D) -> str:
+    """The index of the first graph, and as hist_z, star_z, syn_z, bx_z the final graph's with the first one's bands and grid."""
+    deltas = sorted({len(x.neighbours(i)) for _, x in patterns for i in range(len(x.labels))})
+    wanted = f"SELECT v, delta FROM star, (SELECT unnest([{', '.join(map(str, deltas))}]) AS delta) WHERE delta <= deg"
+    grid = synopsis_cte(p)
+    last = snapshot_cte(None) + star_cte(p) + corners_cte(p) + grid[grid.index("pl AS (") :] + boxes_cte("bx", wanted, p)
+    names = re.findall(r"^(\w+)(?:\([^)]*\))? AS \(", last, re.M)
+    return index_ctes(patterns, p) + re.sub(rf"\b({'|'.join(names)})\b", r"\1_z", last)
+
+
 def with_(*parts: str, select: str) -> str:
     return "WITH " + "".join(parts).rstrip().rstrip(",") + "\n" + select
 

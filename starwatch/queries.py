@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 from contextlib import contextmanager
 
@@ -255,12 +256,38 @@ def synopsis_space(spark, d):
     return synopsis.synopsis_space(index(spark, d).star, D)
 
 
-@query("synopsis_after_updates")
+def _insertions(spark, d) -> DataFrame:
+    return trade(spark, d).edge_life.filter("born > 0").select(F.lit("+").alias("op"), "u", "v")
+
+
+def _advanced(spark, d) -> synopsis.Index:
+    return once(spark, d, "index after", lambda: index(spark, d).advance(_insertions(spark, d)))
+
+
+AFTER = BASE + o.after_ctes(CORE)
+
+
+@query("hist_after_updates", o.with_(AFTER, select="SELECT v, nlabel, cnt FROM hist_z"))
+def hist_after_updates(spark, d):
+    return _advanced(spark, d).hist.select("v", "nlabel", "cnt")
+
+
+@query("hist_after_deletions", o.with_(o.TRADE, o.DELETED, o.ADJ, o.labels_cte(), o.snapshot_cte(None), o.star_cte(), select="SELECT v, nlabel, cnt FROM hist"))
+def hist_after_deletions(spark, d):
+    g = trade_deleted(spark, d)
+    ops = g.edge_life.filter(F.col("died") != ALIVE).select(F.lit("-").alias("op"), "u", "v")
+    return stars.update_histogram(stars.neighbour_histogram(g, 0), ops, g.vertices)
+
+
+@query("synopsis_after_updates", o.with_(AFTER, select="SELECT band, cell, v, deg, ub0, ub1, ub2, ub3 FROM syn_z"))
 def synopsis_after_updates(spark, d):
-    """Rows of touched vertices replaced, others kept."""
-    g, ix = trade(spark, d), index(spark, d)
-    after = once(spark, d, "index after", lambda: synopsis.Index(g, D, CORE.deltas(spark), None, ix.bands, ix.grid))
-    return synopsis.maintain(ix, after, g.edge_life.filter("born > 0")).select("band", "cell", "v", "deg", "ub0", "ub1", "ub2", "ub3")
+    """Rows of touched vertices made anew from their counters, others kept."""
+    return _advanced(spark, d).synopsis.select("band", "cell", "v", "deg", "ub0", "ub1", "ub2", "ub3")
+
+
+@query("boxes_after_updates", o.with_(AFTER, select=f"SELECT v, deg, delta, {_BOX} FROM bx_z"))
+def boxes_after_updates(spark, d):
+    return _advanced(spark, d).boxes.select("v", "deg", "delta", *[f"{w}{k}" for k in D.dims for w in ("lo", "hi")])
 
 
 # --- filtering ---------------------------------------------------------------------------------
@@ -305,12 +332,10 @@ def cand_label_freq(spark, d):
     return prune.label_frequency(ix.hist, ix.star, CORE)
 
 
-@query("cand_after_updates")
+@query("cand_after_updates", o.with_(AFTER, select=re.sub(r"\b(syn|bx)\b", r"\1_z", o.candidate_sql(prune.STAGES))))
 def cand_after_updates(spark, d):
-    g, ix = trade(spark, d), index(spark, d)
-    after = once(spark, d, "index after", lambda: synopsis.Index(g, D, CORE.deltas(spark), None, ix.bands, ix.grid))
-    touched = synopsis.touched(g.edge_life.filter("born > 0"))
-    return prune.update_candidates(prune.candidates(ix, CORE), after, CORE, touched)
+    touched = materialise(synopsis.touched(_insertions(spark, d)), "touched")
+    return prune.update_candidates(prune.candidates(index(spark, d), CORE), _advanced(spark, d), CORE, touched)
 
 
 @query("pruning_power", o.with_(FULL, f"c AS ({o.candidate_sql(prune.STAGES)}),\n", select="SELECT qv.query_id, qv.qv, count(c.v) AS n_cand, (SELECT count(*) FROM star) AS n_vertices, round(1 - count(c.v) / (SELECT count(*) FROM star), 6) AS pruned_share FROM qv LEFT JOIN c ON c.query_id = qv.query_id AND c.qv = qv.qv GROUP BY 1, 2"))
