@@ -11,10 +11,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.query import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..model import BuildParams
+from ..model import EDGE_LIFE, VERTICES, BuildParams
 from ..operators.monitor import Monitor
+from ..operators.refine import OUT
 from ..plans.patterns import Patterns
-from ..sources.io import upsert_epoch
+from ..sources.io import RECORD, upsert_epoch
 from ..storage import materialise, shared_root
 from .numbering import numbered_epoch
 
@@ -23,42 +24,88 @@ class StreamMonitor:
     """Feeds a Monitor from a stream of update records, one epoch per trigger.
 
     Within a trigger the order is (ts, op, u, v) with deletions before insertions of the same
-    time. Records older than the newest time seen less ``late_seconds`` do not rewrite history:
-    they go to ``late``. A batch that was already applied is skipped, so a restart repeats nothing.
+    time. Records older than the newest time seen less ``late_seconds`` do not rewrite history; they go to
+    the table ``late``. Records that give a vertex another label than it has go to ``rejected`` and are not applied.
+
+    ``store``: a folder on which everything is kept by epoch: edges, vertices, answers, late and rejected
+    records, and last of all a row that says the epoch is done. A monitor made anew on the same folder goes on from
+    the last such row, and a batch it names is skipped, so a restart neither repeats nor loses an epoch. Unset: a
+    folder of this run.
     """
 
-    def __init__(self, spark: SparkSession, patterns: Patterns, vertices: DataFrame, params: BuildParams | None = None, late_seconds: int = 0, sink: str | None = None):
+    TABLES = {"edge_life": EDGE_LIFE, "vertices": VERTICES, "answers": OUT}
+
+    def __init__(self, spark: SparkSession, patterns: Patterns, vertices: DataFrame, params: BuildParams | None = None, late_seconds: int = 0, sink: str | None = None, store: str | None = None):
         self.spark, self.sink, self.late_seconds = spark, sink, late_seconds
+        self.store = store or f"{shared_root(spark)}/stream-{uuid.uuid4().hex}"
         self.monitor = Monitor(None, vertices, patterns, params)
-        self.applied: set[int] = set()
-        self.newest = None
-        self.late_rows = 0
-        self.rejected = 0
+        self.last_batch, self.newest = -1, None
+        self._resume()
+
+    def _table(self, name: str, schema: str) -> DataFrame:
+        """One of the epoch tables; empty until it is first written."""
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.store}/{name}")
+        there = path.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(path)
+        return self.spark.read.schema(f"{schema}, epoch BIGINT").parquet(f"{self.store}/{name}") if there else self.spark.createDataFrame([], f"{schema}, epoch BIGINT")
+
+    def _resume(self) -> None:
+        done = self._table("done", DONE).orderBy(F.desc("epoch")).first()
+        if done is None:
+            return
+        m = self.monitor
+        m.edge_life, m.vertices, m.state = (self._table(n, s).filter(F.col("epoch") == done.epoch).drop("epoch") for n, s in self.TABLES.items())
+        m.now, self.newest, self.last_batch = done.now, done.newest, done.epoch
+
+    def _write(self, df: DataFrame, name: str, batch_id: int) -> None:
+        df.write.mode("overwrite").parquet(f"{self.store}/{name}/epoch={batch_id}")
+
+    @property
+    def late(self) -> DataFrame:
+        return self._table("late", RECORD)
+
+    @property
+    def rejected(self) -> DataFrame:
+        return self._table("rejected", RECORD)
+
+    @property
+    def late_rows(self) -> int:
+        return self.late.count()
 
     def epoch(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id in self.applied:
+        if batch_id <= self.last_batch:
             return
+        batch = materialise(batch, "batch")  # read several times
+        m = self.monitor
         if self.newest is not None:
             limit = F.lit(self.newest) - F.expr(f"INTERVAL {self.late_seconds} SECONDS")
-            self.late_rows += batch.filter(F.col("ts") < limit).count()
+            self._write(batch.filter(F.col("ts") < limit), "late", batch_id)
             batch = batch.filter(F.col("ts") >= limit)
         newest = batch.agg(F.max("ts")).first()[0]
         if newest is not None:
             self.newest = max(newest, self.newest) if self.newest else newest
-            known = self.monitor.vertices
             ends = batch.select(F.col("u").alias("v"), F.col("u_label").alias("label")).unionByName(batch.select("v", F.col("v_label").alias("label"))).filter("label IS NOT NULL").groupBy("v").agg(F.min("label").alias("label"))
-            self.rejected += ends.join(known.withColumnRenamed("label", "old"), "v").filter("old <> label").count()
-            self.monitor.vertices = materialise(known.unionByName(ends.join(known, "v", "left_anti").select("v", "label")), "vertices")
-            self.monitor.apply(numbered_epoch(batch, self.monitor.now))
-        self.applied.add(batch_id)
+            fresh = ends.join(m.vertices, "v", "left_anti").select("v", "label")
+            known = materialise(m.vertices.select("v", "label").unionByName(fresh), "vertices")
+            a, b = (known.select(F.col("v").alias(x), F.col("label").alias(f"_{x}")) for x in "uv")
+            judged = materialise(batch.join(a, "u", "left").join(b, "v", "left").withColumn("_bad", F.coalesce((F.col("u_label") != F.col("_u")) | (F.col("v_label") != F.col("_v")), F.lit(False))).select(*batch.columns, "_bad"), "judged")
+            self._write(judged.filter("_bad").drop("_bad"), "rejected", batch_id)
+            m.vertices = known
+            m.apply(numbered_epoch(judged.filter("NOT _bad").drop("_bad"), m.now))
+        for name, df in zip(self.TABLES, (m.edge_life, m.vertices, m.state), strict=True):
+            self._write(df, name, batch_id)
+        self._write(self.spark.createDataFrame([(m.now, self.newest)], DONE), "done", batch_id)
+        self.last_batch = batch_id
         if self.sink:
-            upsert_epoch(self.monitor.answers(), self.sink, batch_id)
+            upsert_epoch(m.answers(), self.sink, batch_id)
 
     def start(self, source: DataFrame, checkpoint: str, available_now: bool = True) -> StreamingQuery:
         writer = source.writeStream.foreachBatch(self.epoch).option("checkpointLocation", checkpoint)
         return (writer.trigger(availableNow=True) if available_now else writer).start()
 
 
+DONE = "now BIGINT, newest TIMESTAMP"
+
+
 def update_rates(updates: DataFrame, size: str = "1 day", slide: str | None = None, delay: str = "2 days") -> DataFrame:
     """Updates per tumbling (or sliding) window and operation; late rows beyond ``delay`` are left out."""
     w = F.window("ts", size, slide) if slide else F.window("ts", size)

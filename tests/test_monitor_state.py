@@ -82,3 +82,16 @@ def test_forbidden_edges_end_a_match_when_they_come(spark, stream):
         ones = [i for i, x in labels.items() if x == 1]
         want = {(a, b, c) for a in ones for b in ones for c in ones if len({a, b, c}) == 3 and near(a, b) and near(b, c) and not near(a, c)}
         assert {(r.m0, r.m1, r.m2) for r in got if r.born <= t < r.died} == want
+
+
+def test_monitor_asks_the_synopsis(spark, stream):
+    g, _, edges = stream
+    start = spark.createDataFrame([(u, v, 1) for u, v, b, _ in edges if b == 0], "u long, v long, elabel int")
+    m = monitor.Monitor(start, g.vertices, ALL)
+    updates = [(b, "+", u, v) for u, v, b, _ in edges if b] + [(d, "-", u, v) for u, v, _, d in edges if d != ALIVE]
+    want = rows(refine.lifetimes(g, ALL))
+    for low, high in ((0, 4), (4, 20)):
+        some = [x for x in updates if low < x[0] <= high]
+        m.apply(ops(spark, some))
+    assert m.index is not None and m.index.n_touched < 12
+    assert rows(m.state) == want

@@ -48,3 +48,22 @@ def test_files_round_trip(spark, tmp_path):
     records(spark).coalesce(1).write.option("header", True).csv(f"{tmp_path}/c")
     records(spark).coalesce(1).write.json(f"{tmp_path}/j")
     assert sorted(io.read_updates(spark, f"{tmp_path}/c", "csv").select("op", "u", "v").collect()) == sorted(io.read_updates(spark, f"{tmp_path}/j", "json").select("op", "u", "v").collect())
+
+
+def test_stream_monitor_restarts_and_keeps_what_it_leaves_out(spark, tmp_path):
+    patterns = Patterns([parse("tri", "a:1-b:2, b-c:1, a-c")])
+    vertices = spark.createDataFrame([], "v long, label int")
+    store = f"file://{tmp_path}/store"
+    first = streaming.StreamMonitor(spark, patterns, vertices, store=store)
+    first.epoch(records(spark).limit(2), 0)
+    bad = records(spark).limit(1).selectExpr("ts + INTERVAL 1 HOUR AS ts", "op", "1L AS u", "9L AS v", "2 AS u_label", "1 AS v_label", "elabel")
+    again = streaming.StreamMonitor(spark, patterns, vertices, store=store)  # a new driver
+    assert again.last_batch == 0 and again.monitor.edge_life.count() == 2
+    again.epoch(records(spark).limit(2), 0)
+    again.epoch(records(spark).filter("u = 1 AND v = 3 AND op = '+'").unionByName(bad), 1)
+    assert again.monitor.answers().count() == 2
+    assert [(r.u, r.v) for r in again.rejected.collect()] == [(1, 9)] and again.monitor.edge_life.count() == 3
+    again.epoch(records(spark).limit(1), 2)
+    third = streaming.StreamMonitor(spark, patterns, vertices, store=store)
+    assert third.last_batch == 2 and third.monitor.answers().count() == 2
+    assert [(r.u, r.v, r.epoch) for r in third.late.collect()] == [(1, 2, 2)]
