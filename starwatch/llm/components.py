@@ -35,6 +35,6 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
         raise RuntimeError("components: not settled")
     if state is None or not state[0]:
         return nodes.select("node", F.col("node").alias("component"))
-    out = materialise(nodes.join(links.withColumnRenamed("a", "node"), "node", "left").select("node", F.coalesce("b", "node").alias("component")), "components")
+    out = materialise(nodes.join(links.withColumnRenamed("a", "node"), "node", "left").select("node", F.coalesce("b", "node").alias("component")), "components", 2 * state[0])
     free(links)
     return out

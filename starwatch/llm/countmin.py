@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import materialise
+from .storage import free, materialise
 
 BLOCKS = "tile int, part long, once binary, twice binary"
 FAN_IN = 256
@@ -100,7 +100,8 @@ def merge(blocks: DataFrame, shape: SketchShape) -> bytes:
 
     left = blocks.agg(F.max("part")).first()[0]
     while left is not None:
-        blocks = materialise(blocks.groupBy("tile", F.floor(F.col("part") / FAN_IN).alias("_group")).applyInPandas(step, BLOCKS), "sketch")
+        before, blocks = blocks, materialise(blocks.groupBy("tile", F.floor(F.col("part") / FAN_IN).alias("_group")).applyInPandas(step, BLOCKS), "sketch")
+        free(before)
         left = left // FAN_IN
         if left == 0:
             break
@@ -109,6 +110,7 @@ def merge(blocks: DataFrame, shape: SketchShape) -> bytes:
         tile = np.zeros(tile_size, bool)
         tile[_unpack(bytes(r.twice))] = True
         bits[r.tile * tile_size // 8 : (r.tile + 1) * tile_size // 8] = np.packbits(tile, bitorder="little")
+    free(blocks)
     return bits.tobytes()
 
 

@@ -34,6 +34,7 @@ from .wordhash import Words, byte_groups, groups, mix, words_of
 
 SKETCH_BITS = 1024  # of the short sketch, at least; two a shingle for larger sets
 MOST_BITS = 1 << 17
+PAIRS_PER_TASK = 2000
 PAIR_GROUP = 16  # up to so many classes on one block, all pairs are tried; more go by leaders first
 SENT_PAIRS = 200_000  # pairs a task remembers, so that copies with many common blocks do not come again and again
 TILE = 256  # classes of a component that are counted together with as many others in one task
@@ -463,7 +464,8 @@ class Linked:
         return reduce(DataFrame.unionAll, self.links)
 
     def free(self) -> None:
-        free(self.features, *self.links, self.comp, self.classes, self.large)
+        """All but the features."""
+        free(*self.links, self.comp, self.classes, self.large)
 
 
 def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
@@ -473,7 +475,7 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
     features = materialise(_features(docs, k), "sketch-features")
     # of each class: its first document (the smallest id), size and short sketch
     first = features.filter("n > 0").groupBy(F.col("f1").alias("cls"), "f2").agg(F.min(F.struct("doc_id", "mark")).alias("first"), F.max("n").alias("n"), F.max("sketch").alias("sketch"))
-    classes = materialise(first, "sketch-classes")
+    classes = materialise(first, "sketch-classes", features.count())
     other = shared_names(classes)
     if other:
 
@@ -499,7 +501,8 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
         need = near.select(F.explode(F.array("a", "b")).alias("cls")).distinct()
         texts = materialise(texts_of(docs, classes.join(need, "cls").select("cls", "first.doc_id", "first.mark"), 2 * near.count()), "sketch-texts")
         both = near.join(texts.select(F.col("cls").alias("a"), F.col("text").alias("t1")), "a").join(texts.select(F.col("cls").alias("b"), F.col("text").alias("t2")), "b")
-        out = materialise(both.select("a", "b", "t1", "t2").mapInArrow(_verify(k, percent), "a long, b long"), "sketch-links")  # (texts pass here: many tasks)
+        tasks = 1 + near.count() // PAIRS_PER_TASK  # texts pass here, but a few pairs make no task
+        out = materialise(both.select("a", "b", "t1", "t2").coalesce(tasks).mapInArrow(_verify(k, percent), "a long, b long"), "sketch-links")
         free(near, texts)
         return out
 
@@ -552,7 +555,7 @@ def _rows(docs: DataFrame, k: int, percent: int, id_col: str, text_col: str, eve
         degree = all_degrees(docs, found.classes, found.all_links(), found.comp, found.large, k, percent)
     else:
         degree = found.all_links().select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count(F.lit(1)).alias("n_verified_links"))
-    slim = materialise(found.features.select("doc_id", "mark", F.col("n").alias("n_shingles"), "f1"), "sketch-rows")
+    slim = found.features.select("doc_id", "mark", F.col("n").alias("n_shingles"), "f1")
     sizes = slim.filter("n_shingles > 0").groupBy("f1").agg(F.min("doc_id").alias("low"))
     named = sizes.join(found.comp.withColumnRenamed("node", "f1"), "f1", "left").withColumn("component", F.coalesce("component", "f1")).join(degree.withColumnRenamed("node", "f1"), "f1", "left")
     n_classes = found.classes.count()
@@ -570,10 +573,11 @@ def keep_one(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """``docs`` with one row of each component: the one with the smallest (id, mark), null ids last (of repeated rows, one).
     Texts without words link with nothing and all stay. Components go by fingerprint, as ids may be null or shared."""
     rows = _rows(docs, k, percent, "doc_id", "text", False).groupBy("component", "doc_id", "mark").agg(F.count(F.lit(1)).alias("n"))
-    rows = materialise(rows, "keep-one-rows")
+    n = docs.count()
+    rows = materialise(rows, "keep-one-rows", n)
     first = rows.filter("component IS NOT NULL").groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "mark", "n")).alias("f"))
     found = first.select("f.doc_id", "f.mark", "f.n").unionAll(rows.filter("component IS NULL").select("doc_id", "mark", "n"))
-    found = materialise(found.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"), "n"), "keep-one")
+    found = materialise(found.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"), "n"), "keep-one", n)
     free(rows)
     kept = docs.withColumn("_own_mark", F.xxhash64("text"))
     kept = kept.join(found.drop("n").hint("shuffle_hash"), kept.doc_id.eqNullSafe(found._id) & (kept._own_mark == found._mark), "left_semi")
