@@ -687,3 +687,77 @@ def _full_query(name: str, first_lines: Query):
 for _n, _f in list(QUERIES.items()):
     if not _n.startswith(NO_LINES):
         _full_query(_n, _f)
+
+
+# --- workloads: what each method finds (times are in workloads.py) ---------------------------------
+RATES = (10, 20, 30, 40, 50)
+
+
+def _rate_sql(life: str, old: str, new: str, condition: str) -> str:
+    """percent, query_id, n over the rates: the stream's SQL once per rate."""
+    parts = []
+    for r in RATES:
+        some = life.replace(old, new.format(r))
+        assert some != life or r == 10
+        names = o.with_(o.TRADE, some, o.ADJ, select="")
+        cells = " UNION ALL ".join(f"SELECT {r} AS percent, {q} AS query_id, count(*) AS n FROM ({o.match_select(p)}) WHERE {condition}" for q, p in CORE)
+        parts.append(f"SELECT * FROM ({names} {cells})")
+    return " UNION ALL ".join(parts)
+
+
+def _counted(df: DataFrame, percent: int) -> DataFrame:
+    every = df.sparkSession.createDataFrame([(q,) for q, _ in CORE], "query_id int")
+    n = df.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+    return every.join(n, "query_id", "left").select(F.lit(percent).alias("percent"), "query_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
+
+
+def _inserted(spark, d, percent: int) -> Graph:
+    return once(spark, d, f"insert {percent}", lambda: views.insertion_stream(views.trade_vertices(spark, d), edges_of(spark, d), percent, "trade").stored())
+
+
+def _over_rates(make) -> DataFrame:
+    out = None
+    for r in RATES:
+        rows = _counted(make(r), r)
+        out = rows if out is None else out.unionAll(rows)
+    return out
+
+
+@query("wl_insert_rates", _rate_sql(o.LIFE, "* 90", "* (100 - {})", "born > 0"))
+def wl_insert_rates(spark, d):
+    """New answers at 10 to 50 percent insertions, by the method."""
+
+    def one(r):
+        g = _inserted(spark, d, r)
+        cand = materialise(monitor.peak_candidates(g, CORE, D, 0, ALIVE - 1), "peak")
+        return monitor.on_insert(g, CORE, 0, ALIVE - 1, cand, counts=candidate_counts(cand))
+
+    return _over_rates(one)
+
+
+@query("wl_insert_rates_delta_join", _rate_sql(o.LIFE, "* 90", "* (100 - {})", "born > 0"))
+def wl_insert_rates_delta_join(spark, d):
+    return _over_rates(lambda r: baselines.delta_join(_inserted(spark, d, r), CORE, 0, ALIVE - 1))
+
+
+@query("wl_delete_rates", _rate_sql(o.DELETED, "% 100 < 10", "% 100 < {}", f"died < {ALIVE}"))
+def wl_delete_rates(spark, d):
+    """Answers lost at 10 to 50 percent deletions."""
+
+    def one(r):
+        g = views.deletion_stream(views.trade_vertices(spark, d), edges_of(spark, d), r, "trade_del").stored()
+        deletes = g.edge_life.filter(F.col("died") != ALIVE).select("u", "v", F.col("died").alias("seq"))
+        return monitor.on_delete(refine.lifetimes(g.snapshot(0), CORE, "levels"), deletes, CORE)
+
+    return _over_rates(one)
+
+
+_MANY = 10
+
+
+@query("wl_concurrent_patterns", o.with_(BASE, select=" UNION ALL ".join(f"SELECT {q} + {len(CORE)} * i AS query_id, n FROM (SELECT count(*) AS n FROM ({o.match_select(p)})), (SELECT unnest(range({_MANY}))::INT AS i)" for q, p in CORE)))
+def wl_concurrent_patterns(spark, d):
+    """Fifty patterns in one plan."""
+    many = Patterns(CORE.items * _MANY)
+    n = refine.lifetimes(trade(spark, d), many, "levels").groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
+    return spark.createDataFrame([(q,) for q, _ in many], "query_id int").join(n, "query_id", "left").select("query_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -66,4 +67,10 @@ def free(*tables: DataFrame | None) -> None:
         _remove(t.sparkSession, t._stored_at)
         t._stored_at = None
     if stored:
-        stored[0].sparkSession._jvm.System.gc()
+        drop_shuffles(stored[0].sparkSession)
+
+
+def drop_shuffles(spark: SparkSession) -> None:
+    """Let the executors delete the shuffle files of plans that nobody holds any more."""
+    gc.collect()
+    spark._jvm.System.gc()
