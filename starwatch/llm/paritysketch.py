@@ -37,6 +37,7 @@ MOST_BITS = 1 << 17
 PAIRS_PER_TASK = 2000
 PAIR_GROUP = 16  # up to so many classes on one block, all pairs are tried; more go by leaders first
 SENT_PAIRS = 200_000  # pairs a task remembers, so that copies with many common blocks do not come again and again
+GROUP_TILE = 4096  # classes of a larger group whose sketches are held with as many others in one task
 TILE = 256  # classes of a component that are counted together with as many others in one task
 
 
@@ -344,10 +345,10 @@ def _leftover(bands: Bands, nearest: bool):
     return run
 
 
-def in_tiles(rows: DataFrame, sizes: DataFrame, group: str, member: str) -> DataFrame:
+def in_tiles(rows: DataFrame, sizes: DataFrame, group: str, member: str, tile: int) -> DataFrame:
     """``rows`` once for each pair of tiles (p <= q) of its group that its own tile is in. ``sizes``: group, size;
-    a group is dealt by hash into tiles of about TILE members, so a task never holds a large group."""
-    tiles = F.ceil(F.col("size") / TILE).cast("int")
+    a group is dealt by hash into tiles of about ``tile`` members, so a task never holds a large group."""
+    tiles = F.ceil(F.col("size") / tile).cast("int")
     dealt = rows.join(sizes.withColumn("tiles", tiles).drop("size"), group).withColumn("tile", F.pmod(F.xxhash64(member), F.col("tiles")).cast("int"))
     each = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
     return each.withColumn("p", F.least("tile", "other")).withColumn("q", F.greatest("tile", "other")).drop("tiles", "other")
@@ -421,7 +422,7 @@ def all_degrees(docs: DataFrame, classes: DataFrame, links: DataFrame, comp: Dat
     members = materialise(large.select(F.col("cls").alias("node")).distinct().join(comp, "node"), "tile-members")
     named = members.join(classes.select(F.col("cls").alias("node"), "first.doc_id", "first.mark"), "node")
     texts = materialise(texts_of(docs, named.select(F.col("node").alias("cls"), "component", "doc_id", "mark"), members.count(), "component"), "tile-texts")
-    pairs = in_tiles(texts, members.groupBy("component").agg(F.count(F.lit(1)).alias("size")), "component", "cls")
+    pairs = in_tiles(texts, members.groupBy("component").agg(F.count(F.lit(1)).alias("size")), "component", "cls", TILE)
     inner = pairs.repartition("component", "p", "q").sortWithinPartitions("component", "p", "q").mapInArrow(_tile_links(k, percent), "node long, n long")
     a, b = (members.select(F.col("node").alias(x), F.lit(True).alias(f"_{x}")) for x in "ab")
     outer = links.join(a, "a", "left").join(b, "b", "left").filter("_a IS NULL OR _b IS NULL").select(F.explode(F.array("a", "b")).alias("node"), F.lit(1).cast("long").alias("n"))
@@ -521,7 +522,7 @@ def linked_classes(docs: DataFrame, k: int, percent: int) -> Linked:
         if not split.limit(1).count():
             free(members, split)
             break
-        rows = in_tiles(members, split, "key", "cls").join(classes.select("cls", "n", "sketch"), "cls").select("key", "p", "q", "cls", "n", "component", "tile", "sketch")
+        rows = in_tiles(members, split, "key", "cls", GROUP_TILE).join(classes.select("cls", "n", "sketch"), "cls").select("key", "p", "q", "cls", "n", "component", "tile", "sketch")
         more = rows.repartition("key", "p", "q").sortWithinPartitions("key", "p", "q", "cls").mapInArrow(_leftover(bands, nearest), "a long, b long")
         fresh = verified(more)
         if fresh.limit(1).count():

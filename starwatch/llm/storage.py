@@ -2,9 +2,9 @@
 
 from pyspark.sql import SparkSession
 
-from ..storage import free, materialise, shared_root
+from ..storage import drop_shuffles, free, materialise, shared_root
 
-__all__ = ["free", "materialise", "shared_root", "small_batches"]
+__all__ = ["drop_shuffles", "free", "materialise", "shared_root", "small_batches"]
 
 BATCH_ROWS = 1000
 

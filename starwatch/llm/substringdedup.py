@@ -19,11 +19,11 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .countmin import BLOCKS, Partial, SketchShape, at_least_twice, merge
-from .storage import small_batches
+from .storage import drop_shuffles, small_batches
 from .wordhash import Words, byte_groups, mix, sliding, words_of
 
 WIDTH = 20
-FLUSH = 600_000
+FLUSH = 1_000_000
 CELLS_PER_ANCHOR = 8  # at this load about one unrepeated window in a hundred passes
 BYTES_PER_ANCHOR = 24  # anchors are a sixth of the words or so
 LOG_WIDTHS = (20, 30)  # the smallest sketch, and the largest (256 MB as bits, sent to every worker)
@@ -175,6 +175,7 @@ def drop_repeats(docs: DataFrame, width: int = WIDTH, shape: SketchShape | None
     docs = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
     shape = shape or shape_for(docs)
     sent = spark.sparkContext.broadcast(merge(_sketch(docs, width, shape), shape))
+    drop_shuffles(spark)
     found = _candidates(docs, width, shape, sent)
     # each task sent one row per hash, so a window that is everywhere has a row per task
     place = F.rank().over(Window.partitionBy("h1", "h2").orderBy("doc_id", "start"))

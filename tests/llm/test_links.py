@@ -25,6 +25,7 @@ def near_copies():
 @pytest.mark.parametrize("tile", [8, 256])
 def test_every_link_of_a_large_group(spark, monkeypatch, tile):
     monkeypatch.setattr(paritysketch, "TILE", tile)
+    monkeypatch.setattr(paritysketch, "GROUP_TILE", tile)
     sets = {}
     for i, t in near_copies():
         w = (t or "").split()
