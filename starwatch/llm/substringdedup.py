@@ -24,9 +24,9 @@ from .wordhash import Words, byte_groups, mix, sliding, words_of
 
 WIDTH = 20
 FLUSH = 1_000_000
-CELLS_PER_ANCHOR = 8  # at this load about one unrepeated window in a hundred passes
+CELLS_PER_ANCHOR = 4  # rounded up to a power of two; at most about one unrepeated window in twenty passes
 BYTES_PER_ANCHOR = 24  # anchors are a sixth of the words or so
-LOG_WIDTHS = (20, 30)  # the smallest sketch, and the largest (256 MB as bits, sent to every worker)
+LOG_WIDTHS = (20, 30)  # the smallest sketch, and the largest (256 MB as bits; each executor keeps a copy on disk)
 NO_ID = -(1 << 63)
 
 
