@@ -432,10 +432,10 @@ def all_degrees(docs: DataFrame, classes: DataFrame, links: DataFrame, comp: Dat
 
 
 def texts_of(docs: DataFrame, named: DataFrame, most: int, *more: str) -> DataFrame:
-    """(cls, text, ``more``) of classes named by (doc_id, mark). The names are written first, so that the planner
-    knows their size (``most`` rows): a small table is sent to the documents, for a larger one both are shuffled."""
+    """(cls, text, ``more``) of classes named by (doc_id, mark), at most ``most`` of them. Names and documents are
+    shuffled at any size, so that the cost grows with the documents alone."""
     named = materialise(named, "text-names", most)
-    found = docs.join(named, docs.doc_id.eqNullSafe(named.doc_id) & (docs.mark == named.mark))
+    found = docs.join(named.hint("shuffle_hash"), docs.doc_id.eqNullSafe(named.doc_id) & (docs.mark == named.mark))
     return found.select("cls", "text", *more).dropDuplicates(["cls"])
 
 
