@@ -670,25 +670,6 @@ def adversarial_a2(spark, d):
     return prune.label_only(index(spark, d).star, synth.adversarial(g, CORE, "heavy"))
 
 
-# --- whole tables --------------------------------------------------------------------------------
-#: Queries that read no line item, and the one that reads all of them already.
-NO_LINES = ("trade_vertices", "trade_edges", "trade_full_edges", "query_embedding", "label_vec_", "base_vec_", "nws_", "knn_", "users_")
-
-
-def _full_query(name: str, first_lines: Query):
-    sql = ORACLES[name].replace("WHERE l_linenumber = 1", "") if name in ORACLES else None
-
-    @query(f"full_{name}", sql)
-    def run(spark, d):
-        with all_lines():
-            return first_lines(spark, d)
-
-
-for _n, _f in list(QUERIES.items()):
-    if not _n.startswith(NO_LINES):
-        _full_query(_n, _f)
-
-
 # --- workloads: what each method finds (times are in workloads.py) ---------------------------------
 RATES = (10, 20, 30, 40, 50)
 
@@ -761,3 +742,22 @@ def wl_concurrent_patterns(spark, d):
     many = Patterns(CORE.items * _MANY)
     n = refine.lifetimes(trade(spark, d), many, "levels").groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))
     return spark.createDataFrame([(q,) for q, _ in many], "query_id int").join(n, "query_id", "left").select("query_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
+
+
+# --- whole tables --------------------------------------------------------------------------------
+#: Queries that read no line item, and the one that reads all of them already.
+NO_LINES = ("trade_vertices", "trade_edges", "trade_full_edges", "query_embedding", "label_vec_", "base_vec_", "nws_", "knn_", "users_")
+
+
+def _full_query(name: str, first_lines: Query):
+    sql = ORACLES[name].replace("WHERE l_linenumber = 1", "") if name in ORACLES else None
+
+    @query(f"full_{name}", sql)
+    def run(spark, d):
+        with all_lines():
+            return first_lines(spark, d)
+
+
+for _n, _f in list(QUERIES.items()):
+    if not _n.startswith(NO_LINES):
+        _full_query(_n, _f)
