@@ -150,6 +150,121 @@ def dag_index(adj: DataFrame, pattern: Pattern, rounds: int = 2) -> DataFrame:
     return _semi_join_program(adj, pattern, _bfs_edges(pattern)[1], rounds)
 
 
+class KeptIndex:
+    """The tree or DAG index under updates: for each position the data vertices that fit it, by counters.
+
+    A vertex is *up* at a position if it has the label and, for each pattern edge to a child, a neighbour that is up there;
+    it is *down* if it is up and, for each edge from a parent, has a neighbour that is down there. A counter a
+    pattern edge and vertex holds the number of such neighbours. An epoch adds signed numbers of changed edges, and
+    of neighbours that came or went, so a change goes as far as memberships turn and no further.
+    ``down`` is what one upward and one downward pass of semi-joins leave.
+    """
+
+    def __init__(self, g: Graph, pattern: Pattern, kind: str = "tree", t0: int = 0):
+        tree, every = _bfs_edges(pattern)
+        self.pattern, self.now = pattern, t0
+        self.order = [0, *[b for _, b in tree]]
+        edges = tree if kind == "tree" else every
+        self.children = {x: [b for a, b in edges if a == x] for x in self.order}
+        self.parents = {x: [a for a, b in edges if b == x] for x in self.order}
+        labelled = {x: g.vertices.filter(F.col("label") == pattern.labels[x]).select("v") for x in self.order}
+        none = g.vertices.select("v").limit(0)
+        self.up = {x: none if self.children[x] else labelled[x] for x in self.order}
+        self.down = {x: none if self.parents[x] or self.children[x] else labelled[x] for x in self.order}
+        self.up_counts, self.down_counts = ({x: none.select("v", *[F.lit(0).cast("long").alias(f"n{k}") for k in range(len(ys[x]))]) for x in self.order} for ys in (self.children, self.parents))
+        adj = g.adjacency()
+        start = adj.filter((F.col("born") <= t0) & (F.col("died") > t0))
+        self._move(start.limit(0), start.withColumn("sign", F.lit(1)))
+
+    def _fits(self, adj: DataFrame, x: int, y: int) -> DataFrame:
+        """Edges from vertices that could be at ``x`` to those that could be at ``y``."""
+        e = adj.filter((F.col("src_label") == self.pattern.labels[x]) & (F.col("dst_label") == self.pattern.labels[y]))
+        want = self.pattern.edge_label(x, y)
+        e = e.filter(F.col("elabel") == want) if want is not None else e
+        return e.select(F.col("src").alias("v"), F.col("dst").alias("w"), "sign")
+
+    def _counted(self, x: int, ys: list[int], old: DataFrame, diff: DataFrame, counts: DataFrame, member: dict, turned: dict) -> DataFrame:
+        """v, n* before and a* after: the counters of ``x`` that change. ``member`` and ``turned`` (v, sign)
+        are the positions' vertices after the epoch, and those that came or went."""
+        parts = None
+        for k, y in enumerate(ys):
+            new = self._fits(diff, x, y).join(member[y].select(F.col("v").alias("w")), "w", "left_semi")
+            moved = self._fits(old.withColumn("sign", F.lit(1)), x, y).drop("sign").join(turned[y].select(F.col("v").alias("w"), "sign"), "w")
+            rows = new.select("v", "sign").unionByName(moved.select("v", "sign")).withColumn("k", F.lit(k))
+            parts = rows if parts is None else parts.unionByName(rows)
+        change = parts.groupBy("v").agg(*[F.coalesce(F.sum(F.when(F.col("k") == k, F.col("sign"))), F.lit(0)).cast("long").alias(f"d{k}") for k in range(len(ys))])
+        both = change.join(counts, "v", "left").fillna(0, [f"n{k}" for k in range(len(ys))])
+        return both.select("v", *[F.col(f"n{k}") for k in range(len(ys))], *[(F.col(f"n{k}") + F.col(f"d{k}")).alias(f"a{k}") for k in range(len(ys))])
+
+    @staticmethod
+    def _kept(counts: DataFrame, changed: DataFrame, n: int) -> DataFrame:
+        fresh = changed.select("v", *[F.col(f"a{k}").alias(f"n{k}") for k in range(n)])
+        return materialise(counts.join(changed, "v", "left_anti").unionByName(fresh.filter(" OR ".join(f"n{k} > 0" for k in range(n)))), "kept-counts")
+
+    @staticmethod
+    def _turned(member: DataFrame, touched: DataFrame) -> DataFrame:
+        """(v, sign) of ``touched`` (v, now) whose membership differs from before."""
+        was = touched.join(member.withColumn("_was", F.lit(True)), "v", "left").withColumn("_was", F.coalesce("_was", F.lit(False)))
+        return materialise(was.filter("now <> _was").select("v", F.when(F.col("now"), 1).otherwise(-1).alias("sign")), "kept-turned")
+
+    @staticmethod
+    def _after(member: DataFrame, turned: DataFrame) -> DataFrame:
+        return materialise(member.join(turned, "v", "left_anti").unionByName(turned.filter("sign > 0").select("v")), "kept-member")
+
+    def _move(self, old: DataFrame, diff: DataFrame) -> None:
+        diff = materialise(diff.select("src", "dst", "src_label", "dst_label", "elabel", "sign"), "kept-diff")
+        nothing = diff.select(F.col("src").alias("v"), "sign").limit(0)
+        turned: dict[int, DataFrame] = {}
+        for x in reversed(self.order):
+            ys = self.children[x]
+            if not ys:
+                turned[x] = nothing
+                continue
+            changed = materialise(self._counted(x, ys, old, diff, self.up_counts[x], self.up, turned), "kept-changed")
+            turned[x] = self._turned(self.up[x], changed.select("v", F.expr(" AND ".join(f"a{k} > 0" for k in range(len(ys)))).alias("now")))
+            self.up[x] = self._after(self.up[x], turned[x])
+            self.up_counts[x] = self._kept(self.up_counts[x], changed, len(ys))
+        fell: dict[int, DataFrame] = {}
+        for x in self.order:
+            ys = self.parents[x]
+            if not ys:
+                fell[x], self.down[x] = turned[x], self.up[x]
+                continue
+            changed = materialise(self._counted(x, ys, old, diff, self.down_counts[x], self.down, fell), "kept-changed")
+            self.down_counts[x] = self._kept(self.down_counts[x], changed, len(ys))
+            touched = changed.select("v").unionByName(turned[x].select("v")).distinct()
+            enough = self.down_counts[x].filter(" AND ".join(f"n{k} > 0" for k in range(len(ys)))).select("v").join(self.up[x], "v", "left_semi")
+            fell[x] = self._turned(self.down[x], touched.join(enough.withColumn("now", F.lit(True)), "v", "left").withColumn("now", F.coalesce("now", F.lit(False))))
+            self.down[x] = self._after(self.down[x], fell[x])
+
+    def candidates(self) -> DataFrame:
+        """cand(qv, v)."""
+        out = None
+        for x in self.order:
+            rows = self.down[x].select(F.lit(x).alias("qv"), "v")
+            out = rows if out is None else out.unionByName(rows)
+        return out
+
+    def advance(self, g: Graph, t1: int) -> DataFrame:
+        """Answers (query_id, m, born, died) that stand at ``t1`` and were born after the time before; the index moves
+        on to ``t1``. Each new edge starts every pattern edge it fits, within the candidates."""
+        t0, adj = self.now, g.adjacency()
+        before, after = ((F.col("born") <= t) & (F.col("died") > t) for t in (t0, t1))
+        came = adj.filter(after & (F.col("born") > t0)).withColumn("sign", F.lit(1))
+        went = adj.filter(before & (F.col("died") <= t1)).withColumn("sign", F.lit(-1))
+        self._move(adj.filter(before), came.unionByName(went))
+        self.now = t1
+        cand, p, now, out = materialise(self.candidates(), "kept-candidates"), self.pattern, adj.filter(after), None
+        for i, j, order in anchored_orders(p):
+            if not any((i, j) == e[:2] for e in p.edges):
+                continue
+            one = Patterns([p])
+            seed = seeds(came, one, [(0, p, order)], cand.withColumn("query_id", F.lit(0)), anchored=True).select(F.col("m")[0].alias(f"m{i}"), F.col("m")[1].alias(f"m{j}"), "born", "died", "anchor")
+            rows = as_rows(match_static(now, p, order, cand, seed=seed, before_anchor=True), p, 0)
+            out = rows if out is None else out.unionAll(rows)
+        return out
+
+
 def indexed_answers(g: Graph, pattern: Pattern, t: int | None = None, kind: str = "tree") -> DataFrame:
     """query_id, m on a snapshot, refined within the candidates of the tree or the DAG index."""
     adj = g.snapshot(t).adjacency()

@@ -128,6 +128,25 @@ def split_label(vertices: DataFrame, changes: DataFrame) -> DataFrame:
     return ops.withColumn("died", F.coalesce(F.lead("born").over(w), F.lit(ALIVE))).select("v", "label", "born", "died")
 
 
+def effective_changes(vertices: DataFrame, changes: DataFrame) -> DataFrame:
+    """Label changes (v, newlabel, t) of known vertices that give another label than the one before; of
+    several at one time the largest label counts."""
+    one = changes.groupBy("v", F.col("t").cast("long").alias("t")).agg(F.max("newlabel").cast("int").alias("newlabel"))
+    w = Window.partitionBy("v").orderBy("t")
+    known = one.join(vertices.select("v", "label"), "v").withColumn("_before", F.coalesce(F.lag("newlabel").over(w), F.col("label")))
+    return known.filter("newlabel <> _before").select("v", "newlabel", "t")
+
+
+def advance_labels(vertex_life: DataFrame, changes: DataFrame) -> DataFrame:
+    """vertex_life after later effective changes: the last life of a changed vertex is cut, all others stay."""
+    changed = changes.select("v").distinct()
+    going = vertex_life.filter(F.col("died") == ALIVE)
+    pieces = going.join(changed, "v", "left_semi").select("v", "label", "born").unionByName(changes.select("v", F.col("newlabel").alias("label"), F.col("t").alias("born")))
+    fresh = pieces.withColumn("died", F.coalesce(F.lead("born").over(Window.partitionBy("v").orderBy("born")), F.lit(ALIVE)))
+    rest = vertex_life.filter(F.col("died") != ALIVE).unionByName(going.join(changed, "v", "left_anti"))
+    return rest.select("v", "label", "born", "died").unionByName(fresh)
+
+
 def insertion_cases(g: Graph) -> DataFrame:
     """Each insertion's number of new ends (0, 1 or 2): seq, u, v, new_ends."""
     ends = g.edge_life.select("born", F.explode(F.array("u", "v")).alias("x"))

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.vectors import all_of, embedding_columns, label_dict
-from ..model import ALIVE, BuildParams, Graph, edge_lifetimes, normalise_updates
+from ..model import ALIVE, BuildParams, Graph, advance_labels, edge_lifetimes, effective_changes, normalise_updates
 from ..plans.joinorder import anchored_orders, candidate_counts, join_orders
 from ..plans.patterns import Patterns, embed_patterns
 from ..storage import materialise
@@ -76,6 +76,12 @@ def on_delete(answers: DataFrame, deletes: DataFrame, patterns: Patterns) -> Dat
     return hit.groupBy("query_id", "m", "born").agg(F.min("seq").alias("died"))
 
 
+def on_relabel(answers: DataFrame, changes: DataFrame) -> DataFrame:
+    """Living answers with a vertex that takes another label: (query_id, m, born, died), ``died`` the first change."""
+    living = answers.filter(F.col("died") == ALIVE).select("query_id", "m", "born", F.explode("m").alias("v"))
+    return living.join(changes.select("v", "t"), "v").filter("t > born").groupBy("query_id", "m", "born").agg(F.min("t").alias("died"))
+
+
 @dataclass
 class Delta:
     added: DataFrame
@@ -94,7 +100,7 @@ class Monitor:
         self.initial = initial
         self.now = 0
         self.live = {q for q, _ in patterns}
-        self.updates: DataFrame | None = None
+        self.vertex_life: DataFrame | None = None
         self.edge_life = materialise(edge_lifetimes(initial, self._none()), "edge-life")
         self.state = materialise(lifetimes(self.graph, patterns), "answers")
         self.index: Index | None = None
@@ -107,10 +113,20 @@ class Monitor:
 
     @property
     def graph(self) -> Graph:
-        return Graph(self.vertices, self.edge_life)
+        return Graph(self.vertices, self.edge_life, self.vertex_life)
 
-    def apply(self, ops: DataFrame) -> Delta:
+    def apply(self, ops: DataFrame, labels: DataFrame | None = None) -> Delta:
+        """Answers added and removed by one epoch: edge updates ``ops``, and label changes ``labels`` (v, newlabel,
+        t on the clock of seq). A changed vertex's edges end under its old label and begin anew under the new one.
+        Changes of unknown vertices, and those that change nothing, are passed over."""
         last = ops.agg(F.max("seq")).first()[0]
+        if labels is not None:
+            labels = materialise(effective_changes(self.vertices, labels), "label-changes")
+            newest = labels.agg(F.max("t")).first()[0]
+            if newest is None:
+                labels = None
+            else:
+                last = newest if last is None else max(last, newest)
         if last is None:
             return Delta(self.state.limit(0), self.state.limit(0))
         alive = self.edge_life.filter(F.col("died") == ALIVE)
@@ -121,12 +137,17 @@ class Monitor:
         living = alive.join(touched, ["u", "v"], "left_semi").select("u", "v", "elabel", F.col("born").alias("seq"), F.lit("+").alias("op"))
         fresh = edge_lifetimes(None, clean.select("u", "v", "elabel", "seq", "op").unionByName(living))
         self.edge_life = materialise(old.unionByName(fresh), "edge-life")
+        if labels is not None:
+            self._relabel(alive, labels)
         t0, t1 = self.now, last
         g = self.graph
-        cand = materialise(self._candidates(g, clean, t0, t1), "peak") if self.prune else None
+        cand = materialise(self._candidates(g, clean, t0, t1, labels is not None), "peak") if self.prune else None
         counts = candidate_counts(cand) if self.prune else None
         added = materialise(on_insert(g, self.patterns, t0, t1, cand, self.live, counts), "added")
-        removed = materialise(on_delete(self.state, clean.filter("op = '-'"), self.patterns), "removed")
+        gone = on_delete(self.state, clean.filter("op = '-'"), self.patterns)
+        if labels is not None:
+            gone = gone.unionByName(on_relabel(self.state, labels)).groupBy("query_id", "m", "born").agg(F.min("died").alias("died"))
+        removed = materialise(gone, "removed")
         ended = self.state.join(removed.select("query_id", "m", "born", F.col("died").alias("_d")), ["query_id", "m", "born"], "left")
         self.state = materialise(ended.withColumn("died", F.coalesce("_d", "died")).drop("_d").select("query_id", "m", "born", "died").unionByName(added), "answers")
         self.now = t1
@@ -134,12 +155,27 @@ class Monitor:
         short = added.filter(F.col("died") <= t1).select("query_id", "m", "born", "died")
         return Delta(added, removed.select("query_id", "m", "born", "died").unionByName(short))
 
-    def _candidates(self, g: Graph, clean: DataFrame, t0: int, t1: int) -> DataFrame:
+    def _relabel(self, alive: DataFrame, labels: DataFrame) -> None:
+        """Vertex lives, current labels and the index after label changes; ``alive``: the edges before the epoch."""
+        life = self.vertex_life
+        begun = self.vertices.select("v", "label", F.lit(0).cast("long").alias("born"), F.lit(ALIVE).alias("died"))
+        life = begun if life is None else life.unionByName(begun.join(life.select("v"), "v", "left_anti"))
+        self.vertex_life = materialise(advance_labels(life, labels), "vertex-life")
+        self.vertices = materialise(self.vertex_life.filter(F.col("died") == ALIVE).select("v", "label"), "vertices")
+        if self.index is not None:
+            moved = labels.select("v").distinct()
+            at = alive.select("u", "v").join(moved.withColumnRenamed("v", "u"), "u", "left_semi").unionByName(alive.select("u", "v").join(moved, "v", "left_semi")).distinct()
+            self.index = self.index.relabelled(materialise(at, "relabelled"), self.vertices)
+
+    def _candidates(self, g: Graph, clean: DataFrame, t0: int, t1: int, relabelled: bool = False) -> DataFrame:
         """Ends of the epoch's new edges that pass the synopsis. It is asked as it would be without the epoch's
         deletions, when corners and boxes are widest, so nothing that matched within the epoch is missed; then it
-        moves on by all updates. (A graph that began empty has no bands: it is judged by whole stars.)"""
-        if self.index is None:
-            return peak_candidates(g, self.patterns, self.params, t0, t1)
+        moves on by all updates. (A graph that began empty has no bands, and an epoch of label changes gives vertices
+        several stars: these are judged by all edges of the epoch.)"""
+        if self.index is None or relabelled:
+            if self.index is not None:
+                self.index = self.index.advance(clean, self.vertices)
+            return peak_candidates(g, self.patterns, self.params, t0, t1).distinct()
         inserts = clean.filter("op = '+'")
         ends = materialise(touched(inserts), "ends")
         cand = candidates(self.index.advance(inserts, self.vertices).of_vertices(ends), self.patterns)

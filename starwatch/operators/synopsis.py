@@ -80,6 +80,12 @@ class Index:
             setattr(out, name, materialise(old.join(t, "v", "left_anti").unionByName(new.select(*old.columns)), name))
         return out
 
+    def relabelled(self, edges: DataFrame, vertices: DataFrame) -> Index:
+        """The index once ``vertices`` have new labels; ``edges`` (u, v): all its edges at vertices whose label
+        changed. They leave under the old labels and come back under the new ones."""
+        out, in_ = (edges.select(F.lit(op).alias("op"), "u", "v") for op in "-+")
+        return self.advance(out).advance(in_, vertices)
+
     def of_vertices(self, t: DataFrame) -> Index:
         """The index's rows of some vertices (v)."""
         out = copy(self)

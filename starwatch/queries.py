@@ -483,7 +483,10 @@ def delta_delete_only(spark, d):
     return _text(monitor.on_delete(start, deletes, CORE).select("query_id", "m"))
 
 
-@query("delta_label_change", o.with_(BASE, "ch AS (SELECT v, label % 16 + 1 AS nl FROM tv WHERE v % 100 = 8),\n", f"vl AS (SELECT tv.v, tv.label, 0 AS born, CASE WHEN nl IS NULL THEN {ALIVE} ELSE 500 END AS died FROM tv LEFT JOIN ch ON ch.v = tv.v UNION ALL SELECT v, nl, 500, {ALIVE} FROM ch),\n", "adj2 AS (SELECT src, dst, elabel, greatest(adj.born, p.born, q.born) AS born, least(adj.died, p.died, q.died) AS died, p.label AS sl, q.label AS dl FROM adj JOIN vl p ON p.v = src JOIN vl q ON q.v = dst WHERE greatest(adj.born, p.born, q.born) < least(adj.died, p.died, q.died)),\n", select=o.match_select(trade_pattern("star3"), source="adj2")))
+_RELABEL = ("ch AS (SELECT v, label % 16 + 1 AS nl FROM tv WHERE v % 100 = 8),\n", f"vl AS (SELECT tv.v, tv.label, 0 AS born, CASE WHEN nl IS NULL THEN {ALIVE} ELSE 500 END AS died FROM tv LEFT JOIN ch ON ch.v = tv.v UNION ALL SELECT v, nl, 500, {ALIVE} FROM ch),\n", "adj2 AS (SELECT src, dst, elabel, greatest(adj.born, p.born, q.born) AS born, least(adj.died, p.died, q.died) AS died, p.label AS sl, q.label AS dl FROM adj JOIN vl p ON p.v = src JOIN vl q ON q.v = dst WHERE greatest(adj.born, p.born, q.born) < least(adj.died, p.died, q.died)),\n")
+
+
+@query("delta_label_change", o.with_(BASE, *_RELABEL, select=o.match_select(trade_pattern("star3"), source="adj2")))
 def delta_label_change(spark, d):
     g = trade(spark, d)
     changes = g.vertices.filter("v % 100 = 8").select("v", (F.col("label") % 16 + 1).alias("newlabel"), F.lit(500).cast("long").alias("t"))
@@ -491,6 +494,16 @@ def delta_label_change(spark, d):
     return refine.match_static(moved.adjacency(), trade_pattern("star3")).select("m0", "m1", "m2", "m3", "born", "died")
 
 
+@query("monitor_label_change", o.with_(BASE, *_RELABEL, select=" UNION ALL ".join(f"SELECT {q} AS query_id, concat_ws(',', {', '.join(f'm{i}' for i in range(len(p.labels)))}) AS m, born, died FROM ({o.match_select(p, source='adj2')})" for q, p in CORE)))
+def monitor_label_change(spark, d):
+    """Insertions and label changes go through the monitor in one epoch; every answer with its life."""
+    g = trade(spark, d)
+    m = monitor.Monitor(g.edge_life.filter("born = 0").select("u", "v", "elabel"), g.vertices, CORE)
+    ops = g.edge_life.filter("born > 0").select(F.col("born").alias("seq"), F.lit(None).cast("timestamp").alias("ts"), F.lit("+").alias("op"), "u", "v", "elabel")
+    m.apply(ops, g.vertices.filter("v % 100 = 8").select("v", (F.col("label") % 16 + 1).alias("newlabel"), F.lit(500).cast("long").alias("t")))
+    return _text(m.state)
+
+
 _PAIRS = [(q, e[i], e[1 - i]) for q, p in CORE for e in p.edges for i in (0,)]
 
 
@@ -543,6 +556,15 @@ for _kind in ("tree", "dag"):
     query(f"bl_{_kind}_index", o.with_(BASE, select=f"SELECT m0, m1, m2, m3 FROM ({o.match_select(trade_pattern('tri_tail'))})"))(_idx)
 
 
+for _kind in ("tree", "dag"):
+
+    def _kept(spark, d, kind=_kind):
+        rows = baselines.KeptIndex(trade(spark, d), trade_pattern("tri_tail"), kind).advance(trade(spark, d), ALIVE - 1)
+        return rows.select(*[F.col("m")[i].alias(f"m{i}") for i in range(4)])
+
+    query(f"bl_{_kind}_kept", o.with_(BASE, f"a AS ({o.match_select(trade_pattern('tri_tail'))}),\n", select="SELECT m0, m1, m2, m3 FROM a WHERE born > 0"))(_kept)
+
+
 @query("bl_acyclic", o.with_(BASE, select=f"SELECT m0, m1, m2, m3 FROM ({o.match_select(trade_pattern('path4'), 'homo')})"))
 def bl_acyclic(spark, d):
     return baselines.acyclic_reduce(trade(spark, d).adjacency(), trade_pattern("path4")).select("m0", "m1", "m2", "m3")
