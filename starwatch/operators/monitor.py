@@ -76,6 +76,15 @@ def on_delete(answers: DataFrame, deletes: DataFrame, patterns: Patterns) -> Dat
     return hit.groupBy("query_id", "m", "born").agg(F.min("seq").alias("died"))
 
 
+def lost(g: Graph, patterns: Patterns, t0: int, t1: int, engine: str = "static") -> DataFrame:
+    """Answers that stand at ``t0`` and end in (t0, t1]: (query_id, m, born, died), ``died`` the first deletion.
+
+    For many deletions and answers that are not stored: an answer's end comes out of the joins that find it, so it is
+    not opened into its edges to meet the deletions (``on_delete`` does that for the stored answers of an epoch)."""
+    at = Graph(g.vertices, g.edge_life.filter((F.col("born") <= t0) & (F.col("died") > t0)), g.vertex_life, g.name)
+    return lifetimes(at, patterns, engine).filter((F.col("died") > t0) & (F.col("died") <= t1))
+
+
 def on_relabel(answers: DataFrame, changes: DataFrame) -> DataFrame:
     """Living answers with a vertex that takes another label: (query_id, m, born, died), ``died`` the first change."""
     living = answers.filter(F.col("died") == ALIVE).select("query_id", "m", "born", F.explode("m").alias("v"))
