@@ -14,7 +14,7 @@ from ..plans.patterns import Patterns, embed_patterns
 from ..storage import grown, materialise, side_by_side, small
 from .bands import degree_boxes_for
 from .prune import candidates
-from .refine import OUT, as_rows, label_pairs, lifetimes, match_all_static, match_levels, match_plans, match_static, relevant, relevant_of, seeds
+from .refine import OUT, as_rows, fanouts, label_pairs, lifetimes, match_all_static, match_levels, match_plans, match_static, relevant, relevant_of, seeds
 from .stars import neighbour_sums
 from .synopsis import Index, Part
 
@@ -115,27 +115,41 @@ def epoch_lives(alive: DataFrame, ops: DataFrame) -> DataFrame:
     return lives.filter("op = '+'").select("u", "v", "elabel", "born", "died", "old")
 
 
+def lives_after(edge_life: DataFrame, lives: DataFrame) -> DataFrame:
+    """``edge_life`` after an epoch (see ``epoch_lives``)."""
+    rest = edge_life.join(lives.filter("old").select("u", "v", "born"), ["u", "v", "born"], "left_anti")
+    return rest.select(edge_life.columns).unionByName(lives.select(edge_life.columns))
+
+
 class Monitor:
     """Keeps the answers of registered patterns over epochs of updates.
 
     ``apply`` takes the raw updates of one epoch (any size); its number of stages grows with the largest
     pattern, not with the number of patterns or updates. State is written tables. An epoch without deletions and label
     changes writes rows of its own beside them; they are written anew when something in them ends.
+
+    ``known``: ``initial`` is a written table's, and holds each edge once with u < v. Then nothing is made of it that is not asked for: the index
+    is made of the graph before the first epoch that asks it, and the first answers may be found with their ends (see ``_apply_unasked``).
     """
 
-    def __init__(self, initial: DataFrame | None, vertices: DataFrame, patterns: Patterns, params: BuildParams | None = None, prune: bool = True):
+    def __init__(self, initial: DataFrame | None, vertices: DataFrame, patterns: Patterns, params: BuildParams | None = None, prune: bool = True, known: bool = False):
         self.vertices, self.patterns, self.params, self.prune = vertices, patterns, params or BuildParams(), prune
         self.initial = initial
         self.now = 0
         self.live = {q for q, _ in patterns}
         self.vertex_life: DataFrame | None = None
-        self.edge_life = materialise(edge_lifetimes(initial, self._none()), "edge-life")
+        self.known = known = known and initial is not None
+        if known:
+            self.edge_life = initial.select("u", "v", "elabel", F.lit(0).cast("long").alias("born"), F.lit(ALIVE).alias("died"))
+        else:
+            self.edge_life = materialise(edge_lifetimes(initial, self._none()), "edge-life")
         self._graph: Graph | None = None
         g = self.graph
-        self._near: tuple = (*self._now(), relevant(g.adjacency(), patterns) if initial is not None else None)
+        self._near: tuple = (*self._now(), relevant(g.adjacency(), patterns) if initial is not None and not known else None)
         self._state: DataFrame | None = None  # the answers of the first graph are found when they are first asked for
         empty = not prune or initial is None or not self.edge_life.limit(1).count()
-        self.index = None if empty else Index(g, self.params, patterns.deltas(vertices.sparkSession), 0)
+        self._index_due = known and not empty
+        self.index = None if empty or known else Index(g, self.params, patterns.deltas(vertices.sparkSession), 0)
         self.history: list[dict] = []
 
     def _none(self) -> DataFrame:
@@ -183,6 +197,14 @@ class Monitor:
             self.state = materialise(self.state, "answers")
         return self.state
 
+    def _written_lives(self) -> DataFrame:
+        if not self.edge_life.__dict__.get("_written", True):
+            near, now = self._near, self._now()
+            self.edge_life = materialise(self.edge_life, "edge-life")
+            if all(a is b for a, b in zip(now, near[:-1], strict=True)):
+                self._near = (*self._now(), near[-1])
+        return self.edge_life
+
     def apply(self, ops: DataFrame, labels: DataFrame | None = None) -> Delta:
         """Answers added and removed by one epoch: edge updates ``ops``, and label changes ``labels`` (v, newlabel,
         t on the clock of seq). A changed vertex's edges end under its old label and begin anew under the new one.
@@ -197,7 +219,11 @@ class Monitor:
                 last = newest if last is None else max(last, newest)
         if last is None:
             return Delta(self.state.limit(0), self.state.limit(0))
-        alive = self.edge_life.filter(F.col("died") == ALIVE)
+        if self.known and self._state is None and labels is not None:
+            return self._apply_unasked(ops, labels, last)
+        alive = self._written_lives().filter(F.col("died") == ALIVE)
+        if self._index_due and labels is None:
+            self.index, self._index_due = Index(self.graph.snapshot(self.now), self.params, self.patterns.deltas(ops.sparkSession)), False
         near = self.near if labels is None or self._state is None else None
         state, lives, _ = side_by_side(
             self._written_state,
@@ -243,6 +269,40 @@ class Monitor:
         short = added.filter(F.col("died") <= t1).select("query_id", "m", "born", "died")
         return Delta(added, removed.select("query_id", "m", "born", "died").unionByName(short))
 
+    def _apply_unasked(self, ops: DataFrame, labels: DataFrame, t1: int) -> Delta:
+        """A first epoch with label changes, before which nothing was asked. Only edges whose ends have labels of the patterns at some time are
+        worked on, and the first answers are found after it, with the ends that it gives them, as these come out of the same joins (see ``lost``);
+        so no stored answer has to meet a change. What follows is unwritten: the answers, and the lives of all edges, are written if a next epoch begins."""
+        t0, before = self.now, self.edge_life
+        self._relabel(before, labels)
+        wanted = small(ops.sparkSession, sorted({(a,) for a, _ in label_pairs(self.patterns)}), "label int")
+        some = self.vertex_life.join(self.patterns.hinted(wanted), "label", "left_semi").select("v")
+
+        def between(edges: DataFrame) -> DataFrame:
+            return edges.join(some.withColumnRenamed("v", "u"), "u", "left_semi").join(some, "v", "left_semi").select(edges.columns)
+
+        life, new = side_by_side(lambda: materialise(between(before), "near-life"), lambda: materialise(between(ops), "near-updates"))
+        lives = materialise(epoch_lives(life.filter(F.col("died") == ALIVE), new), "updates")
+        self.edge_life = lives_after(before, epoch_lives(before.filter(F.col("died") == ALIVE), ops))
+        self.edge_life._written = False
+        g = Graph(self.vertices, lives_after(life, lives), self.vertex_life)
+        adj = materialise(relevant_of(g, self.patterns), "relevant")
+        self._set_near(adj)
+        cand, fan = side_by_side(
+            lambda: materialise(peak_candidates(g, self.patterns, self.params, t0, t1, adj).distinct(), "peak") if self.prune else None,
+            lambda: fanouts(adj, *self.patterns.items),
+        )
+        counts = candidate_counts(cand) if self.prune else None
+        first = adj.filter(F.col("born") <= t0)
+        first._pairs, first._fanouts = adj._pairs, fan
+        first = match_all_static(first, self.patterns).filter(F.col("query_id").isin(sorted(self.live)))
+        added = on_insert(g, self.patterns, t0, t1, cand, self.live, counts, adj).select("query_id", "m", "born", "died")
+        self.state = first.unionByName(added)
+        self.state._written = False
+        self.now = t1
+        self.history.append({"t0": t0, "t1": t1})
+        return Delta(added, self.state.filter(F.col("died") <= t1))
+
     def _moved_near(self, before: DataFrame | None, fresh: DataFrame | None) -> DataFrame:
         """``near`` after an epoch: with rows of its ``fresh`` edges beside those of ``before``, if nothing else has changed."""
         if fresh is None:
