@@ -83,6 +83,8 @@ def test_first_lines(spark, codes, monkeypatch):
     r = random.Random(3)
     at = [datetime(1969, 12, 31, 23, 59, 59, 999_999), datetime(1970, 1, 1), datetime(1998, 5, 2, 3, 4, 5, 6)]
     rows_ = [(r.randrange(4), 9, r.choice(at), r.choice("ANR")) for _ in range(9)]
-    got = views.first_lines(small(spark, rows_, "a long, b long, ts timestamp, l_returnflag string"), ["A", "N", "R"])
+    flags = ["A", "N", "R"]
+    lines = small(spark, rows_, "a long, b long, ts timestamp, l_returnflag string")
+    got = views.first_lines(lines.select("a", "b", views.line_code(flags).alias("_code")), flags)
     want = {a: min((t, f) for x, _, t, f in rows_ if x == a) for a in {x[0] for x in rows_}}
     assert {(x.a, x.b): (x.ts, x.l_returnflag) for x in got.collect()} == {(a, 9): x for a, x in want.items()}
